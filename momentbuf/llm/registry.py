@@ -2,9 +2,19 @@
 
 from __future__ import annotations
 
+from momentbuf.llm.html import op10_main_text
+from momentbuf.llm.near_dup import op7_near_duplicates
 from momentbuf.llm.packing import op9_pack
 from momentbuf.llm.secrets import op8_secret_scan
 from momentbuf.llm.sstable import op6_token_tables
+from momentbuf.llm.toxicity import op5_toxicity
 
-QUERIES = {"op6_token_tables": op6_token_tables, "op8_secret_scan": op8_secret_scan, "op9_pack": op9_pack}
+QUERIES = {
+    "op5_toxicity": op5_toxicity,
+    "op6_token_tables": op6_token_tables,
+    "op7_near_duplicates": op7_near_duplicates,
+    "op8_secret_scan": op8_secret_scan,
+    "op9_pack": op9_pack,
+    "op10_main_text": op10_main_text,
+}
 ORACLES: dict[str, str] = {}
