@@ -63,7 +63,7 @@ def sum_of_squares(lengths: np.ndarray, capacity: int = CAPACITY) -> tuple[np.nd
     return bins, offsets, n
 
 
-def plan(histogram: np.ndarray, capacity: int = CAPACITY, block: int = 1 << 17) -> list[dict]:
+def plan(histogram: np.ndarray, capacity: int = CAPACITY, block: int = 1 << 16) -> list[dict]:
     """Levels of the plan: each has the pieces of each length a block takes, how often the block repeats, and where each piece lies.
 
     Level fields: taken (by length), times, base (first sequence), bins (of one
@@ -105,7 +105,7 @@ def tokenized(docs: DataFrame, vocabulary_path: str, end_id: int = 2, capacity:
     return arrow_map(docs.select("doc_id", "text"), run, "doc_id long, n_tokens long, crcs array<long>")
 
 
-def pack(pieces: DataFrame, capacity: int = CAPACITY, block: int = 1 << 17, salts: int | None = None) -> DataFrame:
+def pack(pieces: DataFrame, capacity: int = CAPACITY, block: int = 1 << 16, salts: int | None = None) -> DataFrame:
     """One row for each piece: doc_id, piece, start, length, ids_crc32, sequence_id, offset.
 
     `pieces` must be a written frame (its rows are counted, ranked and placed in

@@ -8,6 +8,7 @@ the word vocabulary, so ids of stretches, joined, are the ids of the text.
 
 from __future__ import annotations
 
+import gc
 import re
 from array import array
 
@@ -16,6 +17,8 @@ import numpy as np
 from momentbuf.llm.common import worker_limits
 
 _ODD_BLANK = re.compile(r"\s[ ]|[ ]\s")
+#: White space besides blank and line end.
+_RARE_BLANKS = "\t\r\x0b\x0c\x1c\x1d\x1e\x1f\x85\xa0\u1680\u2000\u2001\u2002\u2003\u2004\u2005\u2006\u2007\u2008\u2009\u200a\u2028\u2029\u202f\u205f\u3000"
 _PLAIN_BLANK = re.compile(r"(?<=\S) (?=\S)")
 #: The word vocabulary's own pre-split, a fixed value; used only to count the pre-tokens of a stretch.
 _WORD_PARTS = r"'s|'t|'re|'ve|'m|'ll|'d|\p{L}+|\p{N}|[^\s\p{L}\p{N}]+"
@@ -23,18 +26,34 @@ _JOINED = 64
 _loaded: dict = {}
 
 
+def _odd(t: str) -> bool:
+    """Whether a blank stands next to other white space; the plain searches settle nearly all texts."""
+    if "  " in t or "\n " in t or " \n" in t:
+        return True
+    return any(c in t for c in _RARE_BLANKS) and bool(_ODD_BLANK.search(t))
+
+
+class _Known(dict):
+    """What stays, and behind it what one batch alone needed."""
+
+    def __init__(self):
+        self.passing: dict[str, bytes] = {}
+
+    def __missing__(self, w: str) -> bytes:
+        return self.passing[w]
+
+
 class CachedEncoder:
     """Texts to little-endian unsigned 32-bit ids. `blanks`: whether a blank belongs to the pre-token behind it."""
 
-    def __init__(self, path: str, blanks: bool, entries: int = 900_000):
+    def __init__(self, path: str, blanks: bool, entries: int = 1_200_000):
         worker_limits()
         from tokenizers import Tokenizer
 
         self.lib = Tokenizer.from_file(path)
         self.lib.encode_special_tokens = True
         self.blanks, self.entries = blanks, entries
-        self.known: dict[str, bytes] = {"": b""}
-        self.after: dict[str, bytes] = {}
+        self.known, self.after = _Known(), _Known()
         pieces = [self.lib.id_to_token(i) or "" for i in range(self.lib.get_vocab_size())]
         #: Ids that open a stretch (byte level) or close a pre-token (word level).
         self.edge = np.array([x.startswith("\u0120") if blanks else x.endswith("</w>") for x in pieces])
@@ -43,13 +62,11 @@ class CachedEncoder:
 
             self.parts = regex.compile(_WORD_PARTS)
 
-    def _learn(self, into: dict, words: set, before: str = "") -> None:
-        """Many short stretches go to the library as one text, whose ids are cut again at the stretches' edges."""
-        new = [w for w in words if w not in into]
-        if len(into) + len(new) > self.entries:
-            into.clear()
-            new = list(words)
-            into[""] = self._alone(before)
+    def _learn(self, kept: _Known, words: set, before: str = "") -> None:
+        """The first stretches stay, for frequent ones are among them; later ones pass with their batch. Many short stretches go to the library as one text, whose ids are cut again at the stretches' edges."""
+        new = [w for w in words if w not in kept]
+        kept.passing = {}
+        into = kept if len(kept) + len(new) <= self.entries else kept.passing
         alone = []
         if self.blanks:
             plain = [w for w in new if w and w.strip() is w] if before else []
@@ -81,11 +98,18 @@ class CachedEncoder:
         return array("I", self.lib.encode(text, add_special_tokens=False).ids).tobytes()
 
     def encode(self, texts: list[str | None]) -> list[bytes]:
+        gc.disable()  # millions of strings and no cycles
+        try:
+            return self._encode(texts)
+        finally:
+            gc.enable()
+
+    def _encode(self, texts: list[str | None]) -> list[bytes]:
         if not self.blanks:
             cut = [(t or "").replace("\n", " ").split(" ") for t in texts]
             self._learn(self.known, set().union(*cut))
             return [b"".join(map(self.known.__getitem__, x)) for x in cut]
-        cut = [(t or "").split(" ") if not _ODD_BLANK.search(t or "") else _PLAIN_BLANK.split(t) for t in texts]
+        cut = [(t or "").split(" ") if not _odd(t or "") else _PLAIN_BLANK.split(t) for t in texts]
         self._learn(self.known, {x[0] for x in cut})
         self._learn(self.after, set().union(*(x[1:] for x in cut)), " ")
         return [self.known[x[0]] + b"".join(map(self.after.__getitem__, x[1:])) for x in cut]
