@@ -244,7 +244,7 @@ def read_shards(manifest: DataFrame) -> DataFrame:
                         yield records(_ROWS, **dict(zip(_ROWS.names, zip(*rows, strict=True), strict=True)))
 
     placed = manifest.withColumn("before", before).select("path", "before")
-    return arrow_map(placed.repartition("path"), read, "doc_id long, start long, n_tokens long, ids_crc32 long")
+    return arrow_map(placed.repartition(max(1, min(manifest.count(), 10_000)), "path"), read, "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
 def op6_token_tables(spark: SparkSession, sf_dir: str) -> DataFrame:
