@@ -7,9 +7,11 @@ from momentbuf.llm.near_dup import op7_near_duplicates
 from momentbuf.llm.packing import op9_pack
 from momentbuf.llm.secrets import op8_secret_scan
 from momentbuf.llm.sstable import op6_token_tables
+from momentbuf.llm.suffix_dedup import op2_repeated_strings
 from momentbuf.llm.toxicity import op5_toxicity
 
 QUERIES = {
+    "op2_repeated_strings": op2_repeated_strings,
     "op5_toxicity": op5_toxicity,
     "op6_token_tables": op6_token_tables,
     "op7_near_duplicates": op7_near_duplicates,
