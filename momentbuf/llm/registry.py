@@ -2,16 +2,22 @@
 
 from __future__ import annotations
 
+from momentbuf.llm.embeddings import op1_embedding_links
 from momentbuf.llm.html import op10_main_text
 from momentbuf.llm.near_dup import op7_near_duplicates
 from momentbuf.llm.packing import op9_pack
+from momentbuf.llm.pieces import op3_sampled_pieces
 from momentbuf.llm.secrets import op8_secret_scan
 from momentbuf.llm.sstable import op6_token_tables
 from momentbuf.llm.suffix_dedup import op2_repeated_strings
+from momentbuf.llm.topk import op4_exact_top_k
 from momentbuf.llm.toxicity import op5_toxicity
 
 QUERIES = {
+    "op1_embedding_links": op1_embedding_links,
     "op2_repeated_strings": op2_repeated_strings,
+    "op3_sampled_pieces": op3_sampled_pieces,
+    "op4_exact_top_k": op4_exact_top_k,
     "op5_toxicity": op5_toxicity,
     "op6_token_tables": op6_token_tables,
     "op7_near_duplicates": op7_near_duplicates,
