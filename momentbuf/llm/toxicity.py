@@ -38,6 +38,7 @@ IDENTITY = (
     "disabled deaf blind autistic elderly old young".split(),
 )
 NEUTRAL = ("people", "person")
+_TERMS = frozenset(x for g in IDENTITY for x in g)
 _WORD = re.compile(r"\w+")
 
 
@@ -72,31 +73,55 @@ def _swaps(words: set[str]) -> list[tuple[str, str]]:
     return [(t, x) for g in IDENTITY for t in g if t in words for x in (*g, *NEUTRAL) if x != t and x not in words]
 
 
-def fit(texts: list[set[str]], labels: np.ndarray, fairness: float = 1.0, l1: float = 2e-3, features: int = 4096, steps: int = 300) -> Model:
-    """Select words by weighted log-odds, fit with an l1 penalty, then refit the words that stay with a small l2 penalty."""
+_BUCKETS = 1 << 21
+
+
+def _bucket(feature: str) -> int:
+    return zlib.crc32(feature.encode("utf-8", "surrogatepass")) & (_BUCKETS - 1)
+
+
+def fit(texts: list[str], labels: np.ndarray, fairness: float = 1.0, l1: float = 2e-3, features: int = 4096, steps: int = 300) -> Model:
+    """Select features by weighted log-odds, fit with an l1 penalty, then refit those that stay with a small l2 penalty.
+
+    texts: each one's distinct words, joined by line ends. Features are counted in hashed
+    buckets first, so that memory holds the words and the promising features alone.
+    """
     y = np.asarray(labels, float)
     if not len(y) or y.min() == y.max():
         return Model()
-    sentences, texts = texts, [features_of(t) for t in texts]
-    sign = [tuple(sorted(zlib.crc32(w.encode()) for w in t)[:4]) for t in texts]
+    words = lambda t: set(t.split("\n")) - {""}
+    sign = [tuple(sorted(zlib.crc32(w.encode("utf-8", "surrogatepass")) for w in features_of(words(t)))[:4]) for t in texts]
     copies = Counter(sign)
     weight = np.array([1 / copies[s] for s in sign])
     for k in (0.0, 1.0):
         weight[y == k] /= weight[y == k].sum()
+    eps = 1 / len(y)
+
+    def gain(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+        return np.where(a + b > 4 * eps, np.abs(a - b) * np.abs(np.log((a + eps) / (b + eps))), 0.0)
+
+    bucket = np.zeros((2, _BUCKETS), np.float32)
+    for t, k, w in zip(texts, y.astype(int).tolist(), weight.tolist(), strict=True):
+        bucket[k, list({_bucket(x) for x in features_of(words(t))})] += w
+    most = gain(bucket[1], bucket[0])
+    promising = most >= np.sort(most)[-min(len(most), 4 * features)]
+    promising &= most > 0
     share: tuple[dict, dict] = ({}, {})
     for t, k, w in zip(texts, y.astype(int).tolist(), weight.tolist(), strict=True):
         d = share[k]
-        for x in t:
-            d[x] = d.get(x, 0.0) + w
-    eps = 1 / len(y)
-    gain = {x: abs(a - b) * abs(np.log((a + eps) / (b + eps))) for x in share[0].keys() | share[1].keys() if (a := share[1].get(x, 0.0)) + (b := share[0].get(x, 0.0)) > 4 * eps}
-    chosen = sorted(gain, key=lambda x: (-gain[x], x))[:features]
-    chosen = list(dict.fromkeys([*chosen, *(x for g in IDENTITY for x in g if x in share[0] or x in share[1])]))
+        for x in features_of(words(t)):
+            if promising[_bucket(x)]:
+                d[x] = d.get(x, 0.0) + w
+    names = sorted(share[0].keys() | share[1].keys())
+    exact = gain(*(np.array([share[k].get(x, 0.0) for x in names]) for k in (1, 0)))
+    chosen = [names[i] for i in np.argsort(-exact, kind="stable")[:features] if exact[i] > 0]
+    seen = set().union(*(words(t) & _TERMS for t in texts))
+    chosen = list(dict.fromkeys([*chosen, *sorted(seen)]))
     at = {x: i for i, x in enumerate(chosen)}
-    lists = [[at[x] for x in t if x in at] for t in texts]
+    lists = [sorted(at[x] for x in features_of(words(t)) if x in at) for t in texts]
     cols = np.fromiter((c for r in lists for c in r), np.int64)
     rows = np.repeat(np.arange(len(texts)), [len(r) for r in lists])
-    pairs = Counter((at[a] if a in at else -1, at[b] if b in at else -1) for t in sentences for a, b in _swaps(t))
+    pairs = Counter((at[a] if a in at else -1, at[b] if b in at else -1) for t in texts for a, b in _swaps(words(t)))
     pairs = {p: n for p, n in pairs.items() if p != (-1, -1)}
     pa_, pb = (np.array([p[i] for p in pairs], np.int64) for i in (0, 1))
     pn = np.array(list(pairs.values()), float)
@@ -138,11 +163,13 @@ def fit(texts: list[set[str]], labels: np.ndarray, fairness: float = 1.0, l1: fl
     first = solve(np.ones(len(chosen), bool), l1, 0.0, steps)
     on = np.abs(first[:-1]) > 0.02 * max(1e-9, np.abs(first[:-1]).max())
     w = solve(on, 0.0, 2e-5, 2 * steps)
-    # The threshold's score goes to the cut that separates the classes best (midway), so single marks count as they did in training.
+    # The threshold's score goes to the cut that separates the classes best; in its gap it lies nearer to the class that spreads less.
     z = np.bincount(rows, w[cols], len(texts)) + w[-1]
     order = np.argsort(z, kind="stable")
     lost = np.r_[0, np.cumsum(np.where(y[order] == 1, weight[order], 0))] + np.r_[0, np.cumsum(np.where(y[order] == 0, weight[order], 0))][-1] - np.r_[0, np.cumsum(np.where(y[order] == 0, weight[order], 0))]
-    edge = np.r_[z[order[0]] - 1, (z[order][1:] + z[order][:-1]) / 2, z[order[-1]] + 1]
+    sides = [float(np.sqrt(np.average((z[y == k] - np.average(z[y == k], weights=weight[y == k])) ** 2, weights=weight[y == k]))) for k in (0, 1)]
+    part = float(np.clip(sides[0] / max(1e-9, sum(sides)), 0.25, 0.75))
+    edge = np.r_[z[order[0]] - 1, z[order][:-1] + part * (z[order][1:] - z[order][:-1]), z[order[-1]] + 1]
     edge_width = np.r_[1, z[order][1:] - z[order][:-1], 1]
     best = np.flatnonzero(lost <= lost.min() + 1e-12)
     cut = edge[best[edge_width[best].argmax()]]
@@ -167,7 +194,7 @@ def train(docs: DataFrame, labels: DataFrame, most: int = 8_000, **options: floa
     some = rows.orderBy(F.xxhash64("doc_id"), "doc_id").limit(most)
     got = arrow_map(docs.select("doc_id", "text").join(F.broadcast(some), "doc_id").select("text", "toxic"), _distinct_words, "words string, toxic int").limit(2 * most).collect()
     got = sorted(got)  # whatever order tasks end in, sums are taken in the same one
-    return fit([set(r["words"].split("\n")) - {""} for r in got], np.array([r["toxic"] for r in got]), **options)
+    return fit([r["words"] for r in got], np.array([r["toxic"] for r in got]), **options)
 
 
 _SCORES = pa.schema([("doc_id", pa.int64()), ("score", pa.float64())])
