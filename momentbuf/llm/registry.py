@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from pyspark.sql import DataFrame, SparkSession
+
 from momentbuf.llm.embeddings import op1_embedding_links
 from momentbuf.llm.html import op10_main_text
 from momentbuf.llm.near_dup import op7_near_duplicates
@@ -13,7 +15,16 @@ from momentbuf.llm.suffix_dedup import op2_repeated_strings
 from momentbuf.llm.topk import op4_exact_top_k
 from momentbuf.llm.toxicity import op5_toxicity
 
+
+
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from corpus_pipeline import run
+
+    return run(spark, sf_dir)
+
+
 QUERIES = {
+    "pipeline": pipeline,
     "op1_embedding_links": op1_embedding_links,
     "op2_repeated_strings": op2_repeated_strings,
     "op3_sampled_pieces": op3_sampled_pieces,

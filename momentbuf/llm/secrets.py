@@ -37,8 +37,8 @@ MORE = (
 )
 _ORDER = {k: i for i, k in enumerate([*KINDS, *(k for k, _ in MORE)])}
 _HINTS = ("_", "-", "eyJ", "://", "AIza")
-_SCHEMA = pa.schema([("doc_id", pa.int64()), ("owner", pa.string()), ("repo", pa.string()), ("found", pa.list_(pa.struct([("kind", pa.string()), ("start", pa.int64()), ("end", pa.int64()), ("value", pa.string())])))])
-_DDL = "doc_id long, owner string, repo string, found array<struct<kind:string,start:long,end:long,value:string>>"
+_SCHEMA = pa.schema([("rid", pa.int64()), ("doc_id", pa.int64()), ("owner", pa.string()), ("repo", pa.string()), ("found", pa.list_(pa.struct([("kind", pa.string()), ("start", pa.int64()), ("end", pa.int64()), ("value", pa.string())])))])
+_DDL = "rid long, doc_id long, owner string, repo string, found array<struct<kind:string,start:long,end:long,value:string>>"
 
 
 def base_spans(text: str) -> list[tuple[str, int, int, str]]:
@@ -63,13 +63,14 @@ def _scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             t = t or ""
             hits = base_spans(t) + (further_spans(t) if any(h in t for h in _HINTS) else [])
             found.append([{"kind": k, "start": s, "end": e, "value": hashlib.blake2b(v.encode("utf-8", "surrogatepass"), digest_size=16).hexdigest()} for k, s, e, v in _ordered(hits)])
-        yield records(_SCHEMA, doc_id=b.column("doc_id"), owner=b.column("owner"), repo=b.column("repo"), found=found)
+        yield records(_SCHEMA, rid=b.column("rid"), doc_id=b.column("doc_id"), owner=b.column("owner"), repo=b.column("repo"), found=found)
 
 
 def candidates(docs: DataFrame) -> DataFrame:
-    """doc_id, owner, repo and found: every candidate span of the whole text with its value's hash (values themselves don't leave the scan)."""
+    """rid, doc_id, owner, repo and found: every candidate span of the whole text with its value's hash (values themselves don't leave the scan)."""
     owner = F.coalesce(F.col("source"), F.lit("?"))
-    return arrow_map(docs.select("doc_id", owner.alias("owner"), F.concat_ws("/", owner, F.coalesce("lang", F.lit("?"))).alias("repo"), "text"), _scan, _DDL)
+    rid = F.col("rid") if "rid" in docs.columns else F.monotonically_increasing_id()
+    return arrow_map(docs.select(rid.alias("rid"), "doc_id", owner.alias("owner"), F.concat_ws("/", owner, F.coalesce("lang", F.lit("?"))).alias("repo"), "text"), _scan, _DDL)
 
 
 def ownership(found: DataFrame, widespread: int = 3) -> DataFrame:
@@ -82,14 +83,20 @@ def ownership(found: DataFrame, widespread: int = 3) -> DataFrame:
     return one.groupBy("value").agg(F.countDistinct("owner").alias("owners"), F.countDistinct("repo").alias("repos"), F.sum("n").alias("uses")).withColumn("widely", F.col("owners") >= widespread)
 
 
-def scan(docs: DataFrame, widespread: int = 3) -> DataFrame:
-    """One row for each document (with its row number rid, since ids may repeat): doc_id, spans (kind, start, end, value, owners, repos, widely)."""
-    found = cut(candidates(docs).withColumn("rid", F.monotonically_increasing_id()))
+def scan(docs: DataFrame, widespread: int = 3, keep: tuple[str, ...] = ()) -> DataFrame:
+    """Every row's doc_id, the columns to keep, and spans (start, kind, end, value, owners, repos, widely).
+
+    Rows are told apart by the number they get when they are first written, so ids may
+    repeat. Texts to keep are written with the number and joined once; else they stay behind.
+    """
+    if keep:
+        docs = cut(docs.withColumn("rid", F.monotonically_increasing_id()))
+    found = cut(candidates(docs))
     own = ownership(found, widespread)
     flat = found.select("rid", F.explode("found").alias("f")).select("rid", "f.*")
-    judged = flat.join(own, "value")
-    spans = judged.groupBy("rid").agg(F.collect_list(F.struct("start", "kind", "end", "value", "owners", "repos", "widely")).alias("spans"))
-    return found.select("rid", "doc_id", "owner").join(spans, "rid", "left").drop("rid")
+    spans = flat.join(own, "value").groupBy("rid").agg(F.collect_list(F.struct("start", "kind", "end", "value", "owners", "repos", "widely")).alias("spans"))
+    rows = docs.select("rid", "doc_id", *keep) if keep else found.select("rid", "doc_id")
+    return rows.join(spans, "rid", "left").drop("rid")
 
 
 def _rank(x):

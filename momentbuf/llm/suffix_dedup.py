@@ -323,9 +323,9 @@ def _repeats(docs: DataFrame, width: int) -> DataFrame:
     return met.where("ranges is not null").select("doc", "ord", "ranges").union(merged.select("doc", "ord", "ranges"))
 
 
-def _numbered(docs: DataFrame) -> DataFrame:
+def _numbered(docs: DataFrame, extra: tuple[str, ...] = ()) -> DataFrame:
     """doc, ord, doc_id, text: ord tells rows apart that repeat a doc_id."""
-    base = docs.select(F.coalesce("doc_id", F.lit(_NULL_ID)).alias("doc"), "doc_id", "text")
+    base = docs.select(F.coalesce("doc_id", F.lit(_NULL_ID)).alias("doc"), "doc_id", "text", *extra)
     twice = cut(base.groupBy("doc").agg(F.count("*").alias("n")).where("n > 1").select("doc"))
     if twice.isEmpty():
         return base.withColumn("ord", F.lit(0))
@@ -357,11 +357,11 @@ def kept_bytes(raw: bytes, runs: np.ndarray) -> bytes:
     return b"".join([*out, raw[at:]])
 
 
-def with_ranges(docs: DataFrame, width: int = WIDTH) -> DataFrame:
-    """doc_id, text and ranges (array of byte-offset pairs, packed) of every row."""
-    one = _numbered(docs)
+def with_ranges(docs: DataFrame, width: int = WIDTH, extra: tuple[str, ...] = ()) -> DataFrame:
+    """doc_id, text, extra columns and ranges (arrays of packed byte-offset pairs) of every row."""
+    one = _numbered(docs, extra)
     ranges = _repeats(one.select("doc", "ord", "text"), width).groupBy("doc", "ord").agg(F.collect_list("ranges").alias("ranges"))
-    return one.join(ranges, ["doc", "ord"], "left").select("doc_id", "text", "ranges")
+    return one.join(ranges, ["doc", "ord"], "left").select("doc_id", "text", *extra, "ranges")
 
 
 _DIGEST = pa.schema([("doc_id", pa.int64()), ("n_bytes", pa.int64()), ("n_removed", pa.int64()), ("n_spans", pa.int64()), ("kept_sha256", pa.string())])
