@@ -80,24 +80,52 @@ def text_chunks(texts: list, most: int = 4_000_000) -> Iterator[tuple[int, int]]
         yield at, len(texts)
 
 
+def local_forest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Edges (u, v) of one partition to stars: every vertex with the smallest one it reaches within the partition."""
+    pairs = [(b.column("u").to_numpy(), b.column("v").to_numpy()) for b in batches if b.num_rows]
+    if not pairs:
+        return
+    u, v = (np.concatenate([p[i] for p in pairs]) for i in (0, 1))
+    ids, at = np.unique(np.r_[u, v], return_inverse=True)
+    p, q = at[: len(u)], at[len(u) :]
+    root = np.arange(len(ids))
+    while True:  # hook the larger root to the smaller, then halve all paths
+        a, b = root[p], root[q]
+        if (a == b).all():
+            break
+        np.minimum.at(root, np.maximum(a, b), np.minimum(a, b))
+        while (root != (up := root[root])).any():
+            root = up
+    on = np.flatnonzero(root != np.arange(len(ids)))
+    yield pa.RecordBatch.from_arrays([pa.array(ids[on]), pa.array(ids[root[on]])], names=["u", "v"])
+
+
+#: Edges of one partition in which components are contracted locally.
+FOREST = 1_000_000
+
+
 def components(edges: DataFrame, a: str = "a", b: str = "b", rounds: int = 60) -> DataFrame:
     """Connected components: (id, component) for every id of an edge, component being its smallest member.
 
-    Alternating large-star and small-star steps; each is one aggregation and
-    one join over the edges, so no component is ever gathered in one task.
+    Partitions of bounded size contract their edges to stars, then alternating
+    large-star and small-star steps run over what is left until nothing
+    changes; each is an aggregation and a join, so no component is gathered in one
+    task. Edges that fit in one partition are done after the contraction.
     """
-    e = cut(edges.select(F.greatest(a, b).alias("u"), F.least(a, b).alias("v")).where("u <> v").distinct())
-    for _ in range(rounds):
+    e = cut(edges.select(F.greatest(a, b).alias("u"), F.least(a, b).alias("v")).where("u <> v"))
+    parts = max(1, -(-e.count() // FOREST))
+    e = cut(e.repartition(parts).mapInArrow(local_forest, "u long, v long"))
+    was = None
+    for _ in range(rounds if parts > 1 else 0):
         both = e.select("u", "v").union(e.select(F.col("v").alias("u"), F.col("u").alias("v")))
         low = both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"))
         large = both.join(low, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
         least = large.groupBy("u").agg(F.min("v").alias("m"))
-        small = large.join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").union(least.select("u", F.col("m").alias("v"))).distinct()
-        new = cut(small)
-        x, y = (d.agg(F.count("*").alias("n"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)")).alias("h")).first() for d in (new, e))
-        e = new
-        if (x["n"], x["h"]) == (y["n"], y["h"]):
+        e = cut(large.join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").union(least.select("u", F.col("m").alias("v"))).distinct())
+        now = tuple(e.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first())
+        if now == was:
             break
+        was = now
     return e.select(F.col("u").alias("id"), F.col("v").alias("component")).union(e.select(F.col("v").alias("id"), F.col("v").alias("component")).distinct())
 
 

@@ -13,6 +13,12 @@ across components are left to compare. So a group of n near copies costs about n
 comparisons and not their square, and a pair of different components that meets
 in any tree is still compared.
 
+Large nodes with much left to compare are of two kinds. Where documents are unlike
+on average (they share a passage) further branching parts them. Where they are alike
+on average (a cloud of copies around the threshold) it would not, so such nodes are
+joined to clusters and compared exhaustively in blocks, by sketch and then on full
+sets within the task; no pairs are moved.
+
 Defined results: null, empty and wordless texts have no set and link with
 nothing; a text of fewer words than a shingle has its whole sequence as the one
 shingle; equal rows are one vertex; a null doc_id takes part under no other
@@ -167,8 +173,14 @@ def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 _EDGES = pa.schema([("a", pa.int64()), ("b", pa.int64())])
 
 
+def sets_of(docs: DataFrame, ids: DataFrame, most: int) -> DataFrame:
+    """doc and its full shingle set (packed) for the given distinct ids, of which there are at most so many."""
+    texts = docs.select(F.col("doc_id").alias("doc"), "text").join(F.broadcast(ids) if most <= BROADCAST_IDS else ids, "doc", "left_semi")
+    return cut(arrow_map(texts, _sets, "doc long, shingles binary"))
+
+
 def confirmed(pairs: DataFrame, docs: DataFrame, percent: int) -> DataFrame:
-    """Pairs whose full sets have 100 * intersection >= percent * union."""
+    """Pairs (a written frame) whose full sets have 100 * intersection >= percent * union."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for x in batches:
@@ -180,51 +192,136 @@ def confirmed(pairs: DataFrame, docs: DataFrame, percent: int) -> DataFrame:
             keep = pa.array(keep, pa.bool_())
             yield records(_EDGES, a=x.column("a").filter(keep), b=x.column("b").filter(keep))
 
-    ids = cut(pairs.select(F.col("a").alias("doc")).union(pairs.select(F.col("b").alias("doc"))).distinct())
-    few = ids.count() <= BROADCAST_IDS
-    texts = docs.select(F.col("doc_id").alias("doc"), "text").join(F.broadcast(ids) if few else ids, "doc", "left_semi")
-    sets = cut(arrow_map(texts, _sets, "doc long, shingles binary"))
+    n = pairs.count()
+    if not n:
+        return pairs.select("a", "b")
+    sets = sets_of(docs, pairs.select(F.col("a").alias("doc")).union(pairs.select(F.col("b").alias("doc"))).distinct(), 2 * n)
     one = lambda s: sets.select(F.col("doc").alias(s), F.col("shingles").alias(f"h{s}"))
     return arrow_map(pairs.select("a", "b").join(one("a"), "a").join(one("b"), "b").select("a", "b", "ha", "hb"), run, "a long, b long")
 
 
-def join_components(docs: DataFrame, percent: int = 85, trees: int = TREES, small: int = 64) -> DataFrame:
-    """doc_id, n_shingles, component_id and kept of every row of docs (doc_id, text)."""
+def _alike(nodes: DataFrame, sketches: DataFrame) -> DataFrame:
+    """node, alike: mean estimated similarity of a node's documents to one of them, picked by hash. nodes: node, doc, peer."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for x in batches:
+            if x.num_rows:
+                u, v = (np.frombuffer(b"".join(x.column(c).to_pylist()), np.uint32).reshape(-1, SKETCH) for c in ("sketch", "other"))
+                yield pa.RecordBatch.from_arrays([x.column("node"), pa.array((u == v).mean(axis=1))], names=["node", "like"])
+
+    both = nodes.join(sketches.select("doc", "sketch"), "doc").join(sketches.select(F.col("doc").alias("peer"), F.col("sketch").alias("other")), "peer")
+    return arrow_map(both.select("node", "sketch", "other"), run, "node long, like double").groupBy("node").agg(F.avg("like").alias("alike"))
+
+
+def _exhaust(cluster: DataFrame, sketches: DataFrame, docs: DataFrame, percent: int, block: int = 512) -> DataFrame:
+    """Confirmed links (a, b) within clusters (cluster, doc, component), a spanning forest of each block's; pairs of one component are known."""
+    floor = percent / 100 - MARGIN
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def compare(rows: list[tuple]) -> pa.RecordBatch:
+            u, v = ([r for r in rows if r[3] == side] for side in (0, 1))
+            v = v or u
+            full = [[np.frombuffer(r[6], np.uint64) for r in x] for x in (u, v)]
+            low = [np.frombuffer(b"".join(r[5] for r in x), np.uint32).reshape(-1, SKETCH).astype(np.uint8) for x in (u, v)]
+            same = np.zeros((len(u), len(v)), np.int16)
+            for c in range(SKETCH):
+                same += low[0][:, c, None] == low[1][None, :, c]
+            sizes = [np.array([len(s) for s in x]) for x in full]
+            fits = np.minimum(sizes[0][:, None], sizes[1]) * 100 >= np.maximum(sizes[0][:, None], sizes[1]) * percent
+            i, j = np.nonzero((same >= floor * SKETCH) & fits & (np.array([r[4] for r in u])[:, None] != np.array([r[4] for r in v])))
+            best = np.argsort(-same[i, j], kind="stable")
+            root: dict[int, int] = {}
+
+            def find(x: int) -> int:
+                while (y := root.get(x, x)) != x:
+                    root[x] = root.get(y, y)
+                    x = y
+                return x
+
+            out = []
+            for p, q in zip(i[best].tolist(), j[best].tolist(), strict=True):
+                x, y = find(u[p][4]), find(v[q][4])
+                if x == y:
+                    continue
+                s, t = full[0][p], full[1][q]
+                both = len(np.intersect1d(s, t, assume_unique=True))
+                if 100 * both >= percent * (len(s) + len(t) - both):
+                    root[x] = y
+                    out.append((u[p][7], v[q][7]))
+            return records(_EDGES, a=[x for x, _ in out], b=[x for _, x in out])
+
+        held: list[tuple] = []
+        for b in batches:
+            for r in zip(*(b.column(c).to_pylist() for c in ("cluster", "i", "j", "side", "component", "sketch", "shingles", "doc")), strict=True):
+                if held and r[:3] != held[0][:3]:
+                    yield compare(held)
+                    held = []
+                held.append(r)
+        if held:
+            yield compare(held)
+
+    sets = sets_of(docs, cluster.select("doc").distinct(), cluster.count())
+    chunks = cluster.groupBy("cluster").agg(F.ceil(F.count("*") / block).cast("int").alias("k"))
+    own = cluster.join(chunks, "cluster").withColumn("c", F.pmod(F.xxhash64("doc"), F.col("k")).cast("int"))
+    # Chunk c meets every chunk once: as first side those from c on, as second side those before it.
+    meets = F.transform(F.sequence(F.lit(0), F.col("k") - 1), lambda x: F.struct(F.least(x, F.col("c")).alias("i"), F.greatest(x, F.col("c")).alias("j"), (x < F.col("c")).cast("int").alias("side")))
+    dealt = own.select("cluster", "doc", "component", F.inline(meets))
+    parts = max(1, int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    rows = dealt.join(sketches.select("doc", "sketch"), "doc").join(sets, "doc").repartition(parts, "cluster", "i", "j").sortWithinPartitions("cluster", "i", "j", "side", "doc")
+    return arrow_map(rows.select("cluster", "i", "j", "side", "component", "sketch", "shingles", "doc"), run, "a long, b long")
+
+
+def join_components(docs: DataFrame, percent: int = 85, trees: int = TREES, small: int = 4096, dense: float = 0.6) -> DataFrame:
+    """doc_id, n_shingles, component_id and kept of every row of docs (doc_id, text).
+
+    small: most pairs left in a node that is compared pair by pair; dense: mean similarity
+    from which a larger node is exhausted in blocks and not branched.
+    """
     similarity = percent / 100
     signed = cut(arrow_map(docs.select("doc_id", "text"), _sign, "doc_id long, n_shingles long, digest binary, sketch binary"))
     sets = signed.where("digest is not null and doc_id is not null")
     reps = cut(sets.groupBy("digest", "n_shingles").agg(F.min("doc_id").alias("doc"), F.first("sketch").alias("sketch")).select("doc", "n_shingles", "digest", "sketch"))
     sketches = reps.select("doc", "n_shingles", "sketch")
-    members = cut(_walk(sketches.select("doc", "sketch"), similarity, 2, trees))
-    edges, part = None, None
-    for depth in range(40):
+    members = _walk(sketches.select("doc", "sketch"), similarity, 2, trees)
+    edges = None
+    for depth in range(SKETCH):
+        members = cut(members)
         nodes = members.groupBy("node").agg(F.count("*").alias("n"), F.min("doc").alias("pivot")).where("n > 1")
         shared = cut(members.join(nodes, "node").select("node", "doc", "pivot"))
-        # One candidate for each document: the most alike of its nodes' smallest documents.
-        star = shared.where("doc <> pivot").select(F.col("doc").alias("a"), F.col("pivot").alias("b")).distinct()
-        if part is not None:
-            star = star.join(part.select(F.col("id").alias("a"), F.col("component").alias("ca")), "a", "left").join(part.select(F.col("id").alias("b"), F.col("component").alias("cb")), "b", "left").where(F.coalesce("ca", "a") != F.coalesce("cb", "b"))
-        best = cut(_estimated(star, sketches, similarity).groupBy("a").agg(F.max_by("b", F.struct("like", -F.col("b"))).alias("b")))
-        found = confirmed(best, docs, percent)
-        edges = cut(found if edges is None else edges.union(found))
+        if edges is None:
+            # One candidate for each document: of its nodes' smallest documents the one it shares most nodes with.
+            star = shared.where("doc <> pivot").groupBy("doc", "pivot").agg(F.count("*").alias("k")).groupBy("doc").agg(F.max(F.struct("k", (-F.col("pivot")).alias("p"))).alias("best")).select(F.col("doc").alias("a"), (-F.col("best.p")).alias("b"))
+            edges = cut(confirmed(cut(_estimated(star, sketches, similarity).select("a", "b")), docs, percent))
         part = cut(components(edges))
-        # What is left: nodes of more than one component. `odd`: documents outside the node's first component by size.
+        # What is left: nodes of more than one component. odd: documents outside the node's largest component.
         in_part = shared.join(part.withColumnRenamed("id", "doc"), "doc", "left").withColumn("component", F.coalesce("component", "doc")).select("node", "doc", "component")
         parts = in_part.groupBy("node", "component").agg(F.count("*").alias("k"))
-        mixed = parts.groupBy("node").agg(F.sum("k").alias("n"), F.count("*").alias("parts"), F.max(F.struct("k", "component")).alias("main")).where("parts > 1").select("node", (F.col("n") - F.col("main.k")).alias("odd"), F.col("main.component").alias("main"))
+        mixed = parts.groupBy("node").agg(F.sum("k").alias("n"), F.count("*").alias("parts"), F.max(F.struct("k", "component")).alias("main")).where("parts > 1").select("node", "n", (F.col("n") - F.col("main.k")).alias("odd"), F.col("main.component").alias("main"))
         left = cut(in_part.join(mixed, "node"))
-        near = left.where(F.col("odd") <= small)
+        few = F.col("odd") * F.col("n") <= small
+        near = left.where(few)
         x = near.where("component <> main").select("node", F.col("doc").alias("a"), F.col("component").alias("ca"))
         y = near.select("node", F.col("doc").alias("b"), F.col("component").alias("cb"), (F.col("component") == F.col("main")).alias("of_main"))
-        pairs = x.join(y, "node").where((F.col("ca") != F.col("cb")) & (F.col("of_main") | (F.col("a") < F.col("b")))).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-        likely = cut(_estimated(pairs, sketches, similarity).select("a", "b"))
-        new = confirmed(likely, docs, percent)
-        edges = cut(edges.union(new))
-        large = left.where(F.col("odd") > small)
+        pairs = x.join(y, "node").where((F.col("ca") != F.col("cb")) & (F.col("of_main") | (F.col("a") < F.col("b")))).groupBy(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).agg(F.count("*").alias("k"))
+        # A similar pair shares one tree's node with a chance above 0.7, so among the first nodes it shares two.
+        pairs = pairs.where(F.col("k") >= (2 if depth == 0 and trees >= TREES else 1))
+        edges = edges.union(confirmed(cut(_estimated(pairs, sketches, similarity).select("a", "b")), docs, percent))
+        large = left.where(~few)
         if large.isEmpty():
             break
-        part = cut(components(edges))
-        members = cut(_walk(large.select("node", "doc").join(sketches.select("doc", "sketch"), "doc"), similarity, 2))
+        peers = large.groupBy("node").agg(F.min_by("doc", F.xxhash64("node", "doc")).alias("peer"))
+        alike = _alike(large.join(peers, "node").select("node", "doc", "peer"), sketches)
+        judged = cut(large.join(alike, "node").join(peers, "node").select("node", "doc", "component", "peer", (F.col("alike") >= dense).alias("dense")))
+        cloud = judged.where("dense")
+        if not cloud.isEmpty():
+            group = components(cloud.select(F.col("doc").alias("a"), F.col("peer").alias("b"))).withColumnRenamed("id", "doc").withColumnRenamed("component", "cluster")
+            whole = cut(group.join(cloud.select("doc", "component").distinct(), "doc").select("cluster", "doc", "component"))
+            edges = edges.union(_exhaust(whole, sketches, docs, percent))
+        edges = cut(edges)
+        sparse = judged.where(~F.col("dense"))
+        if sparse.isEmpty():
+            break
+        members = _walk(sparse.select("node", "doc").join(sketches.select("doc", "sketch"), "doc"), similarity, 4)
     part = components(edges)
     of_rep = reps.select("digest", "n_shingles", "doc").join(part.withColumnRenamed("id", "doc"), "doc", "left").select("digest", F.coalesce("component", "doc").alias("component_id"))
     out = signed.select("doc_id", "n_shingles", "digest").join(of_rep, "digest", "left")
