@@ -121,9 +121,11 @@ def fit(texts: list[str], labels: np.ndarray, fairness: float = 1.0, l1: float =
     lists = [sorted(at[x] for x in features_of(words(t)) if x in at) for t in texts]
     cols = np.fromiter((c for r in lists for c in r), np.int64)
     rows = np.repeat(np.arange(len(texts)), [len(r) for r in lists])
-    pairs = Counter((at[a] if a in at else -1, at[b] if b in at else -1) for t in texts for a, b in _swaps(words(t)))
-    pairs = {p: n for p, n in pairs.items() if p != (-1, -1)}
-    pa_, pb = (np.array([p[i] for p in pairs], np.int64) for i in (0, 1))
+    pairs = Counter(p for t in texts for p in _swaps(words(t)))
+    # A swap takes the term's features away and puts the other's in.
+    moved = [(i, at[x], sign) for i, (a, b) in enumerate(pairs) for w, sign in ((a, 1.0), (b, -1.0)) for x in features_of({w}) if x in at]
+    pr, pc = (np.array([m[k] for m in moved], np.int64) for k in (0, 1))
+    ps = np.array([m[2] for m in moved])
     pn = np.array(list(pairs.values()), float)
     pn = pn / max(1.0, pn.sum())
 
@@ -131,15 +133,14 @@ def fit(texts: list[str], labels: np.ndarray, fairness: float = 1.0, l1: float =
         keep = on[cols] if len(cols) else np.zeros(0, bool)
         r, c = rows[keep], cols[keep]
         m, n = len(chosen), len(texts)
-        ext = lambda w: np.r_[w[:m], 0.0]  # noqa: E731  index -1: a word without weight
+
         def grad(w: np.ndarray) -> np.ndarray:
             z = np.bincount(r, w[c], n) + w[m]
             e = weight * (1 / (1 + np.exp(-z)) - y)
             g = np.r_[np.bincount(c, e[r], m), e.sum()]
-            if len(pn):
-                d = 2 * fairness * pn * (ext(w)[pa_] - ext(w)[pb])
-                np.add.at(g, np.where(pa_ >= 0, pa_, m), np.where(pa_ >= 0, d, 0))
-                np.add.at(g, np.where(pb >= 0, pb, m), np.where(pb >= 0, -d, 0))
+            if len(moved):
+                d = np.bincount(pr, ps * w[pc], len(pn))
+                g[:m] += np.bincount(pc, 2 * fairness * pn[pr] * d[pr] * ps, m)
             g[:m] += l2 * w[:m]
             return g
 
@@ -149,7 +150,7 @@ def fit(texts: list[str], labels: np.ndarray, fairness: float = 1.0, l1: float =
             v2 = np.r_[np.bincount(c, (weight * u)[r], m), (weight * u).sum()] / 4
             size = float(np.linalg.norm(v2)) or 1.0
             v = v2 / size
-        rate = 1 / (1.1 * size + (4 * fairness * pn.max() * 2 if len(pn) else 0.0) + l2)
+        rate = 1 / (1.1 * size + (16 * fairness if moved else 0.0) + l2)
         w = q = np.zeros(m + 1)
         t = 1.0
         for _ in range(steps):
