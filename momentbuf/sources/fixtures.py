@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from momentbuf.session import ship
 from momentbuf.sources.arrays import IndexedArray, make_array
 
 CENTS = "CAST(round({0} * 100) AS BIGINT)"
@@ -38,6 +39,7 @@ _DUCK = {
 
 
 def read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
+    ship(spark)
     return spark.read.parquet(f"{sf_dir}/{table}.parquet")
 
 
