@@ -48,4 +48,4 @@ def query_overlap(arr: IndexedArray, buf: DataFrame, b: int, M: int, Mp: int, we
 
 def check_edge_condition(b: int, M: int, Mp: int, weight: Callable[[int], float]) -> bool:
     """Whether the weight at the other buffer cells' positions is zero and at the own one is one."""
-    return all(abs(weight(k * b) - (k == 0)) < 1e-12 for k in range(-M + 1, Mp))
+    return all(abs(weight(k * b) - (k == 0)) < 1e-12 for k in range(-M, Mp))
