@@ -66,10 +66,10 @@ def _scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield records(_SCHEMA, rid=b.column("rid"), doc_id=b.column("doc_id"), owner=b.column("owner"), repo=b.column("repo"), found=found)
 
 
-def candidates(docs: DataFrame) -> DataFrame:
+def candidates(docs: DataFrame, numbered: bool = False) -> DataFrame:
     """rid, doc_id, owner, repo and found: every candidate span of the whole text with its value's hash (values themselves don't leave the scan)."""
     owner = F.coalesce(F.col("source"), F.lit("?"))
-    rid = F.col("rid") if "rid" in docs.columns else F.monotonically_increasing_id()
+    rid = F.col("rid") if numbered else F.monotonically_increasing_id()
     return arrow_map(docs.select(rid.alias("rid"), "doc_id", owner.alias("owner"), F.concat_ws("/", owner, F.coalesce("lang", F.lit("?"))).alias("repo"), "text"), _scan, _DDL)
 
 
@@ -90,8 +90,8 @@ def scan(docs: DataFrame, widespread: int = 3, keep: tuple[str, ...] = ()) -> Da
     repeat. Texts to keep are written with the number and joined once; else they stay behind.
     """
     if keep:
-        docs = cut(docs.withColumn("rid", F.monotonically_increasing_id()))
-    found = cut(candidates(docs))
+        docs = cut(docs.select(*dict.fromkeys(("doc_id", "text", "lang", "source", *keep)), F.monotonically_increasing_id().alias("rid")))
+    found = cut(candidates(docs, bool(keep)))
     own = ownership(found, widespread)
     flat = found.select("rid", F.explode("found").alias("f")).select("rid", "f.*")
     spans = flat.join(own, "value").groupBy("rid").agg(F.collect_list(F.struct("start", "kind", "end", "value", "owners", "repos", "widely")).alias("spans"))
