@@ -8,7 +8,8 @@ equal windows have equal anchors:
 
 1. a map finds the anchors of every text with the region their windows span;
 2. regions with equal anchors meet; equal regions collapse to the earliest, the
-   others' windows are repeats. Only anchors with several different regions go on;
+   others' windows are repeats. A window reaches half its remaining bytes to one side of
+   its anchor at least, so only regions that share an anchor so extended go on;
 3. the bytes of those regions are dealt out by anchor. Each task cuts its strings into
    shards, builds every shard's transform, and merges the transforms by iterative
    interleave refinement: each round orders the merged suffixes by one more byte
@@ -38,9 +39,9 @@ from momentbuf.llm.near_dup import _BASE, _power, mix
 
 WIDTH = 100
 ANCHOR = 24
-SEGMENT = 4 << 20
+SEGMENT = 1 << 20
 _PLACE = 24  # bits for a place in a segment; the others are the hash
-_ANCHORS = [("v", "<u8"), ("h", "<u8"), ("doc", "<i8"), ("ord", "<i4"), ("lo", "<i8"), ("off", "u1"), ("span", "u1")]
+_ANCHORS = [("v", "<u8"), ("h", "<u8"), ("right", "<u4"), ("left", "<u4"), ("doc", "<i8"), ("ord", "<i4"), ("lo", "<i8"), ("off", "u1"), ("span", "u1")]
 _ASKED = np.dtype([("v", "<u8"), ("lo", "<i8"), ("off", "u1"), ("span", "u1")])
 _NULL_ID = -(1 << 63)
 
@@ -71,7 +72,10 @@ def _sliding_min(x: np.ndarray, w: int) -> np.ndarray:
 
 
 def anchors(raws: list[bytes], width: int = WIDTH, k: int = ANCHOR) -> dict[str, np.ndarray]:
-    """Anchors of texts: row, lo (first window), off (anchor - lo), span (last window - lo), v (anchor's hash), h (hash of the region and its shape)."""
+    """Anchors of texts: row, lo (first window), off (anchor - lo), span (last window - lo), v (anchor's hash), h (hash of the region and its shape).
+
+    right, left: short hashes of the anchor with half a window's other bytes behind or before it; 0 where the region is too short.
+    """
     found: list[tuple] = []
     pieces, held = [], 0
 
@@ -97,9 +101,16 @@ def anchors(raws: list[bytes], width: int = WIDTH, k: int = ANCHOR) -> dict[str,
         end = hi + width
         region = mix((total[end] - total[lo]) * down[lo])
         h = mix(region + mix(((at - lo) * 1024 + (hi - lo)).astype(np.uint64)))
+        half = (width - k + 1) // 2
+
+        def short(a: np.ndarray, e: np.ndarray, fits: np.ndarray) -> np.ndarray:
+            a, e = np.where(fits, a, 0), np.where(fits, e, 0)
+            return np.where(fits, (mix((total[e] - total[a]) * down[a]) >> np.uint64(32)) | np.uint64(1), np.uint64(0)).astype(np.uint32)
+
+        right, left = short(at, at + k + half, at + k + half <= end), short(at - half, at + k, at - half >= lo)
         piece = np.searchsorted(start, lo, "right") - 1
         row, base = (np.array([p[i] for p in pieces])[piece] for i in (0, 1))
-        found.append((row, lo - start[piece] + base, at - lo, hi - lo, hashed[at], h))
+        found.append((row, lo - start[piece] + base, at - lo, hi - lo, hashed[at], h, right, left))
         pieces, held = [], 0
 
     for i, raw in enumerate(raws):
@@ -110,70 +121,82 @@ def anchors(raws: list[bytes], width: int = WIDTH, k: int = ANCHOR) -> dict[str,
             pieces.append((i, at, part))
             held += len(part)
     flush()
-    names = ("row", "lo", "off", "span", "v", "h")
-    return dict(zip(names, (np.concatenate(x) for x in zip(*found, strict=True)), strict=True)) if found else {n: np.zeros(0, np.uint64 if n in "vh" else np.int64) for n in names}
+    names = ("row", "lo", "off", "span", "v", "h", "right", "left")
+    return dict(zip(names, (np.concatenate(x) for x in zip(*found, strict=True)), strict=True)) if found else {n: np.zeros(0, np.uint64 if n in ("v", "h", "right", "left") else np.int64) for n in names}
 
 
-def shard_transform(t: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Suffix array and transform of strings that each end in symbol 0; ends are told apart by their place."""
+def shard_transform(t: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Suffix array, transform and LF mapping of strings that each end in symbol 0; ends are told apart by their place.
+
+    Prefix doubling from seven symbols; each round sorts only what is still tied.
+    """
     n = len(t)
-    rank = np.zeros(n, np.int64)
-    padded = np.r_[t, np.zeros(4, t.dtype)].astype(np.int64)
-    for i in range(4):  # symbols take 9 bits; what lies behind an end isn't looked at
-        rank = rank * 512 + padded[i : i + n]
-        if i:
-            rank[ended] = rank[ended] // 512 * 512
-            ended |= padded[i : i + n] == 0
-        else:
-            ended = t == 0
     ends = np.flatnonzero(t == 0)
-    _, rank = np.unique(rank, return_inverse=True)
-    rank = rank + len(ends)
-    rank[ends] = np.arange(len(ends))
-    have = 4
-    while True:
-        nxt = np.zeros(n, np.int64)
-        if have < n:
-            nxt[:-have] = rank[have:] + 1
-        nxt[ends] = 0
-        both = rank * (rank.max() + 2) + nxt
-        sa = np.argsort(both, kind="stable")
-        step = both[sa]
-        new = np.r_[0, np.cumsum(step[1:] != step[:-1])]
-        rank = np.empty(n, np.int64)
-        rank[sa] = new
-        if new[-1] == n - 1:
-            break
+    padded = np.r_[t, np.zeros(7, t.dtype)].astype(np.int64)
+    key, open_ = np.zeros(n, np.int64), np.ones(n, bool)
+    for i in range(7):  # nine bits a symbol; what lies behind an end isn't looked at
+        key = key * 512 + np.where(open_, padded[i : i + n], 0)
+        open_ &= padded[i : i + n] != 0
+    key[ends] = np.arange(len(ends)) - len(ends)
+    sa = np.argsort(key, kind="stable")
+    k = key[sa]
+    group = np.maximum.accumulate(np.where(np.r_[True, k[1:] != k[:-1]], np.arange(n), 0))
+    rank = np.empty(n + 1, np.int64)
+    rank[sa], rank[n] = group, -1
+    have = 7
+    tied = np.flatnonzero(np.r_[group[1:] == group[:-1], False] | np.r_[False, group[1:] == group[:-1]])
+    while len(tied):
+        rows = sa[tied]
+        both = group[tied] * (n + 1) + rank[np.minimum(rows + have, n)] + 1
+        o = np.argsort(both, kind="stable")
+        both, rows = both[o], rows[o]
+        sa[tied] = rows
+        new = np.maximum.accumulate(np.where(np.r_[True, both[1:] != both[:-1]], tied, 0))
+        group[tied] = new
+        rank[rows] = new
+        keep = np.r_[new[1:] == new[:-1], False] | np.r_[False, new[1:] == new[:-1]]
+        tied = tied[keep]
         have *= 2
-    before = np.where(np.r_[True, t[:-1] == 0], 0, np.r_[t[:1], t[:-1]])
-    return sa, before[sa].astype(np.uint16)
+    bwt = np.where(np.r_[True, t[:-1] == 0], 0, np.r_[t[:1], t[:-1]])[sa].astype(np.uint16)
+    lf = np.empty(n, np.int64)
+    lf[np.argsort(bwt, kind="stable")] = np.arange(n)
+    return sa, bwt, lf
 
 
 def merged_intervals(shards: list[np.ndarray], depth: int) -> list[np.ndarray]:
-    """For each shard (strings that end in symbol 0) the block of each suffix: suffixes share a block if their first `depth` symbols are equal.
+    """For each shard (strings that end in symbol 0) the repeated interval of each suffix, -1 where its first `depth` symbols occur once.
 
-    The interleave is refined from the shards' transforms; no suffixes are compared
-    or sorted again. Suffixes shorter than `depth` have no meaningful block.
+    The interleave of all shards' rows is refined through their transforms alone: a round
+    takes every row to the one of its preceding symbol and orders them by that symbol,
+    stably; no suffixes are compared or sorted again. A block is a run of rows whose
+    first h symbols agree, so the round that parts two neighbours gives their common
+    prefix. Rows alone in their block can't come to share a longer prefix and drop out.
     """
     built = [shard_transform(t) for t in shards]
-    symbols = np.concatenate([b for _, b in built])
-    who = np.repeat(np.arange(len(shards), dtype=np.uint8), [len(t) for t in shards])
-    block = np.zeros(len(who), np.int32)
-    merged = np.empty(len(who), np.uint16)
+    base = np.cumsum([0, *(len(t) for t in shards)])
+    symbols = np.concatenate([b for _, b, _ in built])
+    used = np.flatnonzero(np.bincount(symbols, minlength=1))
+    if len(used) <= 256:  # one byte a symbol, in the same order
+        narrow = np.zeros(int(used[-1]) + 1, np.uint8)
+        narrow[used] = np.arange(len(used)) + (used[0] > 0)
+        symbols = narrow[symbols]
+    small = np.int32 if base[-1] < 1 << 31 else np.int64
+    lf = np.concatenate([m + o for (_, _, m), o in zip(built, base, strict=False)]).astype(small)
+    row, block = np.arange(base[-1], dtype=small), np.zeros(base[-1], small)
     for _ in range(depth):
-        merged[np.argsort(who, kind="stable")] = symbols
-        order = np.argsort(merged, kind="stable")
-        m, b = merged[order], block[order]
-        who = who[order]
-        block = np.r_[0, np.cumsum((m[1:] != m[:-1]) | (b[1:] != b[:-1]), dtype=np.int32)].astype(np.int32)
-    place = np.argsort(who, kind="stable")
-    out, at = [], 0
-    for (sa, _), t in zip(built, shards, strict=True):
-        x = np.empty(len(t), np.int64)
-        x[sa] = block[place[at : at + len(t)]]
-        out.append(x)
-        at += len(t)
-    return out
+        s = symbols[row]
+        order = np.argsort(s, kind="stable")[len(s) - np.count_nonzero(s) :]
+        m, b, row = s[order], block[order], lf[row[order]]
+        edge = np.ones(len(row) + 1, bool)
+        np.not_equal(m[1:], m[:-1], out=edge[1:-1])
+        edge[1:-1] |= b[1:] != b[:-1]
+        several = ~(edge[:-1] & edge[1:])
+        block = edge[:-1].cumsum(dtype=small)[several]
+        row = row[several]
+    out = np.full(base[-1], -1, np.int64)
+    sa = np.concatenate([x + o for (x, _, _), o in zip(built, base, strict=False)])
+    out[sa[row]] = block
+    return [out[i:j] for i, j in zip(base[:-1], base[1:], strict=True)]
 
 
 def repeated_windows(regions: list[bytes], order: np.ndarray, width: int = WIDTH, shards: int = 4) -> list[np.ndarray]:
@@ -195,12 +218,13 @@ def repeated_windows(regions: list[bytes], order: np.ndarray, width: int = WIDTH
     inner = np.arange(len(who)) - np.repeat(np.r_[0, count.cumsum()[:-1]], count)
     block = np.concatenate([b[np.repeat(s, count[g.start : g.stop]) + inner[(who >= g.start) & (who < g.stop)]] for b, s, g in zip(blocks, at, groups, strict=True)])
     place = order[who, 2] + inner
-    by = np.lexsort((place, order[who, 1], order[who, 0], block))
-    first = np.r_[True, block[by][1:] != block[by][:-1]]
-    head = by[np.flatnonzero(first)][np.cumsum(first) - 1]  # the earliest window of each one's block
-    same = (order[who[by], 0] == order[who[head], 0]) & (order[who[by], 1] == order[who[head], 1]) & (place[by] == place[head])
+    hit = np.flatnonzero(block >= 0)
+    by = hit[np.lexsort((place[hit], order[who[hit], 1], order[who[hit], 0], block[hit]))]
     again = np.zeros(len(who), bool)
-    again[by] = ~same
+    if len(by):
+        first = np.r_[True, block[by][1:] != block[by][:-1]]
+        head = by[np.flatnonzero(first)][np.cumsum(first) - 1]  # the earliest window of each one's interval
+        again[by] = (order[who[by], 0] != order[who[head], 0]) | (order[who[by], 1] != order[who[head], 1]) | (place[by] != place[head])
     edge = count.cumsum()
     return [np.flatnonzero(again[e - c : e]) for c, e in zip(count.tolist(), edge.tolist(), strict=True)]
 
@@ -268,9 +292,9 @@ def _repeats(docs: DataFrame, width: int) -> DataFrame:
             keep, gone = _collapse({k: np.concatenate([x[k] for x in held]) for k, _ in _ANCHORS}, width)
             held.clear()
             several = np.zeros(len(keep["v"]), bool)
-            same = keep["v"][1:] == keep["v"][:-1]
-            several[1:] |= same
-            several[:-1] |= same
+            for side in ("right", "left"):
+                _, which, n = np.unique(keep["v"] ^ mix(keep[side].astype(np.uint64)), return_inverse=True, return_counts=True)
+                several |= (keep[side] > 0) & (n[which] > 1)
             asked = np.empty(int(several.sum()), _ASKED)
             for k in _ASKED.names:
                 asked[k] = keep[k][several]
@@ -308,7 +332,7 @@ def _repeats(docs: DataFrame, width: int) -> DataFrame:
         size = 0
         for b in batches:  # sorted by anchor: a group of regions is whole when the anchor changes
             for x in zip(*(b.column(c).to_pylist() for c in ("v", "doc", "ord", "lo", "region")), strict=True):
-                if size >= 1 << 20 and x[0] != held[-1][0]:
+                if size >= 1 << 18 and x[0] != held[-1][0]:
                     yield from out()
                     held.clear()
                     size = 0
