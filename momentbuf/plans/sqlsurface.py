@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -44,7 +45,6 @@ class LagrangeCells:
 
 def moments_udaf(order: int):
     """Grouped Python aggregate of one moment about an origin, for parity checks of the built-in expressions."""
-    import pandas as pd
 
     @F.pandas_udf("double")
     def moment(idx: pd.Series, val: pd.Series) -> float:

@@ -764,3 +764,30 @@ def stream_stateful_buffer(s: SparkSession, d: str) -> DataFrame:
     return got.groupBy("cell").agg(F.last("v").alias("v")).select("cell", F.round(F.col("v") * 32).cast("long").alias("v32"))
 
 
+
+
+# --- sources, and the experiments
+
+
+@query("SELECT CAST(200 AS BIGINT) AS cells, CAST(100 AS BIGINT) AS first, round((SELECT sum(sin(CAST(i AS DOUBLE))) FROM range(100, 300) t(i)), 6) AS total")
+def source_virtual_array(s: SparkSession, d: str) -> DataFrame:
+    """The data source with its bounds pushed down."""
+    from momentbuf.sources.virtual import register
+
+    register(s)
+    df = s.read.format("virtual_array").option("n", 4096).option("partitions", 4).load().where("idx >= 100 AND idx < 300")
+    return df.agg(F.count("*").alias("cells"), F.min("idx").alias("first"), F.round(F.sum("val"), 6).alias("total"))
+
+
+@query("SELECT event_type, CAST(sum((event_id - lo) * v) AS DOUBLE) AS m1 FROM (SELECT event_type, event_id, CAST(round(value * 100) AS BIGINT) AS v, min(event_id) OVER (PARTITION BY event_type) AS lo FROM events) GROUP BY 1")
+def udaf_moment(s: SparkSession, d: str) -> DataFrame:
+    """A grouped Python aggregate, for parity with the built-in expressions."""
+    from momentbuf.plans.sqlsurface import moments_udaf
+
+    df = fixture(s, d, "event_value", ("event_type",)).df
+    return df.groupBy("event_type").agg(moments_udaf(1)("idx", "val").alias("m1"))
+
+
+from momentbuf.experiments import EXPERIMENTS  # noqa: E402
+
+QUERIES |= EXPERIMENTS
