@@ -29,6 +29,8 @@ from momentbuf.llm.tokens import vocabulary
 
 MARK = "▁"
 LONG = 64  # longer stretches take the rescaled pass, one by one
+_SLOT_BITS = 18
+_BLOCK = 1 << 16
 _loaded: dict = {}
 
 
@@ -58,10 +60,19 @@ class Lattice:
         every = np.array(list(self.ids.values()), np.int64)
         words = [self.text[i] for i in every]
         h = self._hashes("".join(words), np.array([len(w) for w in words]))
-        order = np.argsort(h)
-        self.hash, self.by_hash = h[order], every[order].astype(np.int32)
-        self.filter = np.zeros(1 << 22, bool)
-        self.filter[(h >> np.uint64(42)).astype(np.int64)] = True
+        # Open tables by the hash's slot; what collides goes to the next table.
+        self.hash = np.zeros(n, np.uint64)
+        self.hash[every] = h
+        self.tables, left = [], every
+        while len(left):
+            slots = self._slot(self.hash[left])
+            first = np.unique(slots, return_index=True)[1]
+            table_ = np.full(1 << _SLOT_BITS, -1, np.int32)
+            table_[slots[first]] = left[first]
+            self.tables.append(table_)
+            left = np.delete(left, first)
+        self.plain = [chr(b) if 0 <= (b := int(self.byte_of[i])) < 128 else t for i, t in enumerate(self.text)]
+        self.part_of_char = self.byte_of >= 128
         self.length = np.array([len(p) if p else 0 for p in self.text])
         self.weight = weight * self.tilt**self.length
 
@@ -69,13 +80,17 @@ class Lattice:
     def _codes(text: str) -> np.ndarray:
         return np.frombuffer(text.encode("utf-32-le", "surrogatepass"), "<u4").astype(np.uint64)
 
+    @staticmethod
+    def _slot(h: np.ndarray) -> np.ndarray:
+        return (h * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(64 - _SLOT_BITS)).astype(np.int64)
+
     def _hashes(self, text: str, sizes: np.ndarray) -> np.ndarray:
         c = self._codes(text)
         up, down = _power(len(c) + 1)
         total = np.r_[np.uint64(0), ((c + np.uint64(1)) * up[: len(c)]).cumsum(dtype=np.uint64)]
         end = sizes.cumsum()
         start = end - sizes
-        return mix((total[end] - total[start]) * down[start] + sizes.astype(np.uint64))
+        return (total[end] - total[start]) * down[start] + sizes.astype(np.uint64)
 
     def edges(self, text: str, inner: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Weight and piece of the match of each length (column length - 1) that ends at each place of the joined stretches.
@@ -87,17 +102,36 @@ class Lattice:
         total = np.r_[np.uint64(0), ((c + np.uint64(1)) * up[: len(c)]).cumsum(dtype=np.uint64)]
         weight, piece = np.zeros((len(c), self.most), np.float32), np.full((len(c), self.most), -1, np.int32)
         weight[:, 0] = self.rare * self.tilt
-        at = np.arange(len(c))
-        for n in range(1, self.most + 1):
-            at = at[inner[at] >= n]
-            if not len(at):
-                break
-            h = mix((total[at + 1] - total[at + 1 - n]) * down[at + 1 - n] + np.uint64(n))
-            may = np.flatnonzero(self.filter[(h >> np.uint64(42)).astype(np.int64)])
-            k = np.minimum(np.searchsorted(self.hash, h[may]), len(self.hash) - 1)
-            hit = self.hash[k] == h[may]
-            p, e = self.by_hash[k[hit]], at[may[hit]]
-            weight[e, n - 1], piece[e, n - 1] = self.weight[p], p
+        for lo in range(0, len(c), _BLOCK):  # blocks of places that stay in the cache
+            hi = min(lo + _BLOCK, len(c))
+            own = inner[lo:hi]
+            for n in range(1, self.most + 1):
+                if n <= 8:
+                    first = max(lo, n - 1)
+                    if first >= hi:
+                        break
+                    h = (total[first + 1 : hi + 1] - total[first + 1 - n : hi + 1 - n]) * down[first + 1 - n : hi + 1 - n] + np.uint64(n)
+                    at = None
+                else:  # few stretches are this long
+                    at = np.flatnonzero(own >= n) + lo if n == 9 else at[inner[at] >= n]
+                    if not len(at):
+                        break
+                    h = (total[at + 1] - total[at + 1 - n]) * down[at + 1 - n] + np.uint64(n)
+                slot = self._slot(h)
+                for t in self.tables:
+                    p = t[slot]
+                    may = np.flatnonzero(p >= 0)
+                    p = p[may]
+                    hit = self.hash[p] == h[may]
+                    p, e = p[hit], may[hit]
+                    if at is not None:
+                        e = at[e]
+                    else:
+                        e = e + first
+                        if n > 1:
+                            inside = inner[e] >= n
+                            p, e = p[inside], e[inside]
+                    weight[e, n - 1], piece[e, n - 1] = self.weight[p], p
         return weight, piece
 
     def sample(self, stretches: list[str], which: np.ndarray, seed: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -145,7 +179,8 @@ class Lattice:
             out[stop[live] - 1 - k] = p
         odd = np.flatnonzero(out < 0)
         if len(odd):
-            out[odd] = -1 - self._codes(text)[-1 - out[odd]].astype(np.int64)
+            code = self._codes(text)[-1 - out[odd]].astype(np.int64)
+            out[odd] = np.where(code < 128, self.bytes[np.minimum(code, 127)], -1 - code)
         return out, count
 
     def encode(self, keys: list, texts: list[str | None]) -> list[np.ndarray]:
@@ -176,8 +211,8 @@ class Lattice:
         """The text whose pieces these are, without the blank that encoding puts in front."""
         if not len(ids):
             return ""
-        if (self.byte_of[ids] < 0).all():
-            return "".join(map(self.text.__getitem__, ids.tolist()))[1:]
+        if not self.part_of_char[ids].any():
+            return "".join(map(self.plain.__getitem__, ids.tolist()))[1:]
         return b"".join(bytes([self.byte_of[i]]) if self.byte_of[i] >= 0 else self.text[i].encode("utf-8", "surrogatepass") for i in ids.tolist()).decode("utf-8", "surrogatepass")[1:]
 
 
