@@ -12,7 +12,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from momentbuf.llm.common import cut, ship, table
+from momentbuf.llm.common import arrow_map, cut, ship, table
 from momentbuf.llm.near_dup import join_components
 from momentbuf.llm.packing import pack, tokenized
 from momentbuf.llm.secrets import KINDS, scan
@@ -54,7 +54,7 @@ def repeated_strings(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
             yield b.set_column(b.schema.get_field_index("text"), "text", pa.array(texts, pa.string())).drop_columns(["ranges"])
 
     kept = with_ranges(docs.select(*COLUMNS), extra=("lang", "source"))
-    cleaned = kept.select("doc_id", "text", "lang", "source", "ranges").mapInArrow(run, "doc_id long, text string, lang string, source string")
+    cleaned = arrow_map(kept.select("doc_id", "text", "lang", "source", "ranges"), run, "doc_id long, text string, lang string, source string")
     return cleaned.select("doc_id", "text", "lang", "source", F.length("text").cast("long").alias("n_chars"))
 
 
@@ -76,7 +76,7 @@ def secret_scans(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
                 texts.append(t if not out else "".join([*out, t[at:]]))
             yield b.set_column(b.schema.get_field_index("text"), "text", pa.array(texts, pa.string())).drop_columns(["spans"])
 
-    masked = found.select("doc_id", "text", "lang", "source", "spans").mapInArrow(run, "doc_id long, text string, lang string, source string")
+    masked = arrow_map(found.select("doc_id", "text", "lang", "source", "spans"), run, "doc_id long, text string, lang string, source string")
     return masked.select("doc_id", "text", "lang", "source", F.length("text").cast("long").alias("n_chars"))
 
 

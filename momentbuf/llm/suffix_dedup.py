@@ -34,7 +34,7 @@ import zstandard
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from momentbuf.llm.common import arrow_map, cut, records, table
+from momentbuf.llm.common import arrow_map, cut, records, table, text_chunks
 from momentbuf.llm.near_dup import _BASE, _power, mix
 
 WIDTH = 100
@@ -42,7 +42,7 @@ ANCHOR = 24
 SEGMENT = 1 << 20
 _PLACE = 24  # bits for a place in a segment; the others are the hash
 _ANCHORS = [("v", "<u8"), ("h", "<u8"), ("right", "<u4"), ("left", "<u4"), ("doc", "<i8"), ("ord", "<i4"), ("lo", "<i8"), ("off", "u1"), ("span", "u1")]
-_ASKED = np.dtype([("v", "<u8"), ("lo", "<i8"), ("off", "u1"), ("span", "u1")])
+_ASKED = np.dtype([("v", "<u8"), ("lo", "<i8"), ("span", "<i4")])
 _NULL_ID = -(1 << 63)
 
 
@@ -265,19 +265,21 @@ def _repeats(docs: DataFrame, width: int) -> DataFrame:
 
     def find(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            raws = [(t or "").encode("utf-8", "surrogatepass") for t in b.column("text").to_pylist()]
-            a = anchors(raws, width)
-            row = a.pop("row")
-            a["doc"], a["ord"] = (b.column(c).to_numpy(zero_copy_only=False)[row] for c in ("doc", "ord"))
-            keep, gone = _collapse(a, width)
-            bucket = (keep["v"] % np.uint64(parts)).astype(np.int64)
-            o = np.argsort(bucket, kind="stable")
-            cuts = np.flatnonzero(np.r_[True, bucket[o][1:] != bucket[o][:-1], True]) if len(o) else np.zeros(1, np.int64)
-            groups = [o[i:j] for i, j in zip(cuts[:-1], cuts[1:], strict=True)]
-            rows = [(int(bucket[g[0]]), _squeeze({k: x[g] for k, x in keep.items()}), None, None, None) for g in groups]
-            rows += [(hash((d, r)) % parts, None, d, r, x) for d, r, x in _by_doc(gone["doc"], gone["ord"], _ranges(gone, width))]
-            if rows:
-                yield records(_DEALT, **dict(zip(_DEALT.names, zip(*rows, strict=True), strict=True)))
+            texts = b.column("text").to_pylist()
+            for i, j in text_chunks(texts, 8_000_000):
+                part = b.slice(i, j - i)
+                a = anchors([(t or "").encode("utf-8", "surrogatepass") for t in texts[i:j]], width)
+                row = a.pop("row")
+                a["doc"], a["ord"] = (part.column(c).to_numpy(zero_copy_only=False)[row] for c in ("doc", "ord"))
+                keep, gone = _collapse(a, width)
+                bucket = (keep["v"] % np.uint64(parts)).astype(np.int64)
+                o = np.argsort(bucket, kind="stable")
+                cuts = np.flatnonzero(np.r_[True, bucket[o][1:] != bucket[o][:-1], True]) if len(o) else np.zeros(1, np.int64)
+                groups = [o[x:y] for x, y in zip(cuts[:-1], cuts[1:], strict=True)]
+                rows = [(int(bucket[g[0]]), _squeeze({k: x[g] for k, x in keep.items()}), None, None, None) for g in groups]
+                rows += [(hash((d, r)) % parts, None, d, r, x) for d, r, x in _by_doc(gone["doc"], gone["ord"], _ranges(gone, width))]
+                if rows:
+                    yield records(_DEALT, **dict(zip(_DEALT.names, zip(*rows, strict=True), strict=True)))
 
     def meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[dict[str, np.ndarray]] = []
@@ -291,18 +293,23 @@ def _repeats(docs: DataFrame, width: int) -> DataFrame:
         if held:
             keep, gone = _collapse({k: np.concatenate([x[k] for x in held]) for k, _ in _ANCHORS}, width)
             held.clear()
-            several = np.zeros(len(keep["v"]), bool)
-            for side in ("right", "left"):
-                _, which, n = np.unique(keep["v"] ^ mix(keep[side].astype(np.uint64)), return_inverse=True, return_counts=True)
-                several |= (keep[side] > 0) & (n[which] > 1)
-            asked = np.empty(int(several.sum()), _ASKED)
-            for k in _ASKED.names:
-                asked[k] = keep[k][several]
-            for rows in ([(d, r, x, None) for d, r, x in _by_doc(gone["doc"], gone["ord"], _ranges(gone, width))], [(d, r, None, x) for d, r, x in _by_doc(keep["doc"][several], keep["ord"][several], asked)]):
+            done_rows = [(d, r, x, None) for d, r, x in _by_doc(gone["doc"], gone["ord"], _ranges(gone, width))]
+            # Windows that reach far behind their anchor go by the longer right key, the others by the left one.
+            turn = width - ANCHOR - (width - ANCHOR + 1) // 2
+            at = keep["lo"] + keep["off"]
+            asked = []
+            for side, lo, hi in (("right", np.maximum(keep["lo"], at - turn), keep["lo"] + keep["span"]), ("left", keep["lo"], np.minimum(keep["lo"] + keep["span"], at - turn - 1))):
+                key = keep["v"] ^ mix(keep[side].astype(np.uint64))
+                _, which, n = np.unique(key, return_inverse=True, return_counts=True)
+                some = (keep[side] > 0) & (n[which] > 1) & (lo <= hi)
+                rows = np.empty(int(some.sum()), _ASKED)
+                rows["v"], rows["lo"], rows["span"] = key[some], lo[some], (hi - lo)[some]
+                asked += [(d, r, None, x) for d, r, x in _by_doc(keep["doc"][some], keep["ord"][some], rows)]
+            for rows in (done_rows, asked):
                 if rows:
                     yield records(_DONE, **dict(zip(_DONE.names, zip(*rows, strict=True), strict=True)))
 
-    met = cut(arrow_map(arrow_map(docs, find, _DEALT_DDL).repartition(parts, "bucket"), meet, _DONE_DDL))
+    met = cut(arrow_map(arrow_map(docs, find, _DEALT_DDL, rows=None).repartition(parts, "bucket"), meet, _DONE_DDL))
 
     regions = pa.schema([("bucket", pa.int32()), ("v", pa.int64()), ("doc", pa.int64()), ("ord", pa.int32()), ("lo", pa.int64()), ("region", pa.binary())])
 

@@ -46,7 +46,7 @@ class _Known(dict):
 class CachedEncoder:
     """Texts to little-endian unsigned 32-bit ids. `blanks`: whether a blank belongs to the pre-token behind it."""
 
-    def __init__(self, path: str, blanks: bool, entries: int = 1_200_000):
+    def __init__(self, path: str, blanks: bool, entries: int = 600_000):
         worker_limits()
         from tokenizers import Tokenizer
 

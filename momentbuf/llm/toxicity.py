@@ -220,7 +220,7 @@ def without_toxic(docs: DataFrame, model: Model) -> DataFrame:
         for b in batches:
             yield b.filter(pa.array([model.score(t) < THRESHOLD for t in b.column("text").to_pylist()], pa.bool_()))
 
-    return docs.mapInArrow(run, schema)
+    return arrow_map(docs, run, schema)
 
 
 def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
