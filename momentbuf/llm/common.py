@@ -54,12 +54,18 @@ def _give_back() -> None:
         pass
 
 
-def arrow_map(df: DataFrame, fn: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]], schema: str | StructType, rows: int | None = 1000) -> DataFrame:
-    """mapInArrow whose function sees slices of so many rows, so that few texts are Python objects at a time."""
+#: Rows of an Arrow batch. Texts make wide rows: Spark's default of 10,000 would hold tens of MB in the JVM and in Python at once.
+BATCH_ROWS = 1000
+
+
+def arrow_map(df: DataFrame, fn: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]], schema: str | StructType) -> DataFrame:
+    """mapInArrow over batches of BATCH_ROWS rows at most (the session's batch size is lowered to it), memory given back at a task's end."""
+    conf = df.sparkSession.conf
+    if not 0 < int(conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")) <= BATCH_ROWS:
+        conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(BATCH_ROWS))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        small = batches if rows is None else (b.slice(i, rows) for b in batches for i in range(0, b.num_rows, rows))
-        yield from fn(small)
+        yield from fn(b.slice(i, BATCH_ROWS) for b in batches for i in range(0, b.num_rows, BATCH_ROWS))
         _give_back()
 
     return df.mapInArrow(run, schema)
