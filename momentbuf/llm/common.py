@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import ctypes
+import gc
 import os
 import sys
 import tempfile
@@ -58,13 +59,31 @@ def _give_back() -> None:
 BATCH_ROWS = 1000
 
 
-def arrow_map(df: DataFrame, fn: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]], schema: str | StructType) -> DataFrame:
-    """mapInArrow over batches of BATCH_ROWS rows at most (the session's batch size is lowered to it), memory given back at a task's end."""
+#: What a worker keeps between tasks, by operator: tokenizers with their caches.
+CACHES: dict[str, dict] = {}
+
+
+def _only(uses: str | None) -> None:
+    """Drop what other operators left in this worker, which Spark uses again for later stages."""
+    left = [d for name, d in CACHES.items() if name != uses and d]
+    for d in left:
+        d.clear()
+    if left:
+        gc.collect()
+        _give_back()
+
+
+def arrow_map(df: DataFrame, fn: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]], schema: str | StructType, uses: str | None = None) -> DataFrame:
+    """mapInArrow over batches of BATCH_ROWS rows at most (the session's batch size is lowered to it), memory given back at a task's end.
+
+    uses: name of the cache that fn keeps in its worker; others' go.
+    """
     conf = df.sparkSession.conf
     if not 0 < int(conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")) <= BATCH_ROWS:
         conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(BATCH_ROWS))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        _only(uses)
         yield from fn(b.slice(i, BATCH_ROWS) for b in batches for i in range(0, b.num_rows, BATCH_ROWS))
         _give_back()
 

@@ -102,7 +102,7 @@ def tokenized(docs: DataFrame, vocabulary_path: str, end_id: int = 2, capacity:
                     crcs.append([zlib.crc32(body[max(0, k - width) : k]) for k in range(first, len(body) + 1, width)])
                 yield records(_PIECES, doc_id=ids[i:j], n_tokens=n, crcs=crcs)
 
-    return arrow_map(docs.select("doc_id", "text"), run, "doc_id long, n_tokens long, crcs array<long>")
+    return arrow_map(docs.select("doc_id", "text"), run, "doc_id long, n_tokens long, crcs array<long>", uses="tokens")
 
 
 def pack(pieces: DataFrame, capacity: int = CAPACITY, block: int = 1 << 16, salts: int | None = None) -> DataFrame:

@@ -23,7 +23,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-from momentbuf.llm.common import arrow_map, records, table, text_chunks
+from momentbuf.llm.common import CACHES, arrow_map, records, table, text_chunks
 from momentbuf.llm.near_dup import _power, mix
 from momentbuf.llm.tokens import vocabulary
 
@@ -31,7 +31,7 @@ MARK = "▁"
 LONG = 64  # longer stretches take the rescaled pass, one by one
 _SLOT_BITS = 18
 _BLOCK = 1 << 16
-_loaded: dict = {}
+_loaded: dict = CACHES.setdefault("pieces", {})
 
 
 class Lattice:
@@ -258,7 +258,7 @@ def encode(docs: DataFrame, path: str, sharpness: float = 1.0) -> DataFrame:
         for d, _, ids, _ in _encoded(batches, path, sharpness):
             yield records(_OUT, doc_id=d, ids=[x.astype(np.int32) for x in ids])
 
-    return arrow_map(docs.select("doc_id", "text"), run, "doc_id long, ids array<int>")
+    return arrow_map(docs.select("doc_id", "text"), run, "doc_id long, ids array<int>", uses="pieces")
 
 
 def decode(encoded: DataFrame, path: str) -> DataFrame:
@@ -270,7 +270,7 @@ def decode(encoded: DataFrame, path: str) -> DataFrame:
         for b in batches:
             yield records(out, doc_id=b.column("doc_id"), text=[model.decode(np.array(x or [], np.int64)) for x in b.column("ids").to_pylist()])
 
-    return arrow_map(encoded.select("doc_id", "ids"), run, "doc_id long, text string")
+    return arrow_map(encoded.select("doc_id", "ids"), run, "doc_id long, text string", uses="pieces")
 
 
 def op3_sampled_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -281,4 +281,4 @@ def op3_sampled_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
         for d, texts, ids, model in _encoded(batches, path, 1.0):
             yield records(_DIGEST, doc_id=d, n_pieces=[len(x) for x in ids], ids_crc32=[zlib.crc32(x.astype("<u4").tobytes()) for x in ids], lossless=[model.decode(x) == (t or "") for x, t in zip(ids, texts, strict=True)])
 
-    return arrow_map(table(spark, sf_dir, "documents", "doc_id", "text"), run, "doc_id long, n_pieces long, ids_crc32 long, lossless boolean")
+    return arrow_map(table(spark, sf_dir, "documents", "doc_id", "text"), run, "doc_id long, n_pieces long, ids_crc32 long, lossless boolean", uses="pieces")

@@ -218,7 +218,7 @@ def write_shards(docs: DataFrame, folder: str, vocabulary_path: str, blanks: boo
 
     by = docs.select("doc_id", "text")
     by = by.repartitionByRange(partitions, "doc_id") if partitions else by.repartitionByRange("doc_id")
-    return arrow_map(by.sortWithinPartitions("doc_id"), write, "low binary, path string, docs long, ids long")
+    return arrow_map(by.sortWithinPartitions("doc_id"), write, "low binary, path string, docs long, ids long", uses="tokens")
 
 
 _ROWS = pa.schema([("doc_id", pa.int64()), ("start", pa.int64()), ("n_tokens", pa.int64()), ("ids_crc32", pa.int64())])

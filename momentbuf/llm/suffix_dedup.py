@@ -39,7 +39,7 @@ from momentbuf.llm.near_dup import _BASE, _power, mix
 
 WIDTH = 100
 ANCHOR = 24
-SEGMENT = 1 << 20
+SEGMENT = 1 << 18
 _PLACE = 24  # bits for a place in a segment; the others are the hash
 _ANCHORS = [("v", "<u8"), ("h", "<u8"), ("right", "<u4"), ("left", "<u4"), ("doc", "<i8"), ("ord", "<i4"), ("lo", "<i8"), ("off", "u1"), ("span", "u1")]
 _ASKED = np.dtype([("v", "<u8"), ("lo", "<i8"), ("span", "<i4")])

@@ -14,7 +14,7 @@ from array import array
 
 import numpy as np
 
-from momentbuf.llm.common import worker_limits
+from momentbuf.llm.common import CACHES, worker_limits
 
 _ODD_BLANK = re.compile(r"\s[ ]|[ ]\s")
 #: White space besides blank and line end.
@@ -23,7 +23,7 @@ _PLAIN_BLANK = re.compile(r"(?<=\S) (?=\S)")
 #: The word vocabulary's own pre-split, a fixed value; used only to count the pre-tokens of a stretch.
 _WORD_PARTS = r"'s|'t|'re|'ve|'m|'ll|'d|\p{L}+|\p{N}|[^\s\p{L}\p{N}]+"
 _JOINED = 64
-_loaded: dict = {}
+_loaded: dict = CACHES.setdefault("tokens", {})
 
 
 def _odd(t: str) -> bool:
