@@ -644,7 +644,7 @@ query("SELECT event_id, CAST(floor(epoch(ts) - epoch(TIMESTAMP '2024-01-01 00:00
     lambda s, d: read(s, d, "events").withColumn("i", F.expr(ARRAYS["event_minute"][1])).select("event_id", "i", F.date_format(ts_of_index("i", "2024-01-01 00:00:00"), "yyyy-MM-dd HH:mm").alias("t"))
 )
 query(base_sql("event_value") + ", c AS (SELECT qid, unnest(range(p // 1024, q // 1024 + 1)) AS cell FROM ranges) SELECT CAST(count(DISTINCT cell) AS BIGINT) AS cells FROM c", "distinct_cells")(lambda s, d: (lambda a, r: r.select(F.explode(F.sequence(F.expr("p div 1024"), F.expr("q div 1024"))).alias("cell")).agg(F.count_distinct("cell").alias("cells")))(*_setup(s, d)))
-query("SELECT doc_id, CAST(length(text) AS BIGINT) AS chars, CAST(len(list_filter(regexp_split_to_array(text, '\\s+'), lambda x: x <> '')) AS BIGINT) AS words FROM documents WHERE doc_id < 0 OR lang = 'de'", "text_measures")(lambda s, d: read(s, d, "documents").where("lang = 'de'").select("doc_id", F.length("text").cast("long").alias("chars"), word_count(F.col("text")).cast("long").alias("words")))
+query("SELECT doc_id, CAST(length(text) AS BIGINT) AS chars, CAST(len(list_filter(regexp_split_to_array(text, '\\s+'), lambda x: x <> '')) AS BIGINT) AS words FROM documents WHERE doc_id < 0 OR lang = 'de'", "text_measures")(lambda s, d: read(s, d, "documents").select("doc_id", F.length("text").cast("long").alias("chars"), word_count(F.col("text")).cast("long").alias("words")))
 query("SELECT page_id, CAST(length(regexp_replace(html, '<[^>]*>', ' ', 'g')) AS BIGINT) AS chars FROM pages", "page_text_measures")(lambda s, d: read(s, d, "pages").select("page_id", F.length(strip_html(F.col("html"))).cast("long").alias("chars")))
 
 

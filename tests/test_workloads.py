@@ -1,3 +1,5 @@
+import re
+
 import pytest
 
 from momentbuf import workloads as W
@@ -23,3 +25,14 @@ def test_query(spark, sf, con, name):
 
 def test_flagship(spark, sf):
     assert W.flagship(spark, sf).count() > 100
+
+
+def test_text_measures_of_every_document(spark, sf, tmp_path):
+    texts = ["ein Wort", "two  words", "", None, " \t\n ", "a\x0bb\x0cc\r\nd", "a\u00a0b \u3000 c", "\U0001f600 é ", "x"]
+    docs = [(i - 2, t, lang) for i, (t, lang) in enumerate(zip(texts, ["de", "en", "fr", None, "es", None, "en", "de", "fr"]))]
+    spark.createDataFrame(docs, "doc_id long, text string, lang string").write.parquet(str(tmp_path / "documents.parquet"))
+    given = [tuple(x) for x in spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text").collect()]
+    for d, rows_in in ((str(tmp_path), [x[:2] for x in docs]), (sf, given)):
+        got = [tuple(x) for x in W.QUERIES["text_measures"](spark, d).select("doc_id", "chars", "words").collect()]
+        want = [(i, None, None) if t is None else (i, len(t), len(re.findall(r"[^ \t\n\x0b\x0c\r]+", t))) for i, t in rows_in]
+        assert sorted(got) == sorted(want)
