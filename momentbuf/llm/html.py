@@ -2,11 +2,13 @@
 
 The standard library's parser streams events; every block element ends a line.
 A line's ratio is its visible characters over its tags (links weigh most). The
-smoothed ratios are split by a threshold between the two clusters; the region
-that the content cluster spans is the article. Structure narrows it: menus,
-headers, footers, sidebars, forms, scripts, styles and elements whose class, id
-or role names a notice, advert or comment never count; where an <article> or
-<main> holds content lines, the region is that element.
+smoothed ratios are split by a threshold between the two clusters; the clusters
+only choose the region, and every line of it stays, however short or linked.
+Structure narrows it: menus, headers, footers, sidebars, forms, scripts, styles
+and elements whose class, id or role names a notice, advert or comment never
+count; where an <article> or <main> holds content lines, the region is that
+element. Elsewhere it is the smallest element that holds the content lines, with
+the blocks around it up to the next block of links.
 
 Defined results: null or empty html, and pages without content, give an empty
 text; cut-off tags and unclosed elements are read as the parser reads them.
@@ -14,6 +16,7 @@ text; cut-off tags and unclosed elements are read as the parser reads them.
 
 from __future__ import annotations
 
+import os
 import re
 from collections.abc import Iterator
 from html.parser import HTMLParser
@@ -35,27 +38,37 @@ NOT_ARTICLE = frozenset(
     "sidebar sidebars rail widget widgets aside comment comments commentlist respond replies disqus discussion menu menus nav navbar navigation breadcrumb breadcrumbs pagination pager toolbar topbar masthead header footer colophon "
     "share sharing social related recommended login search searchform form complementary contentinfo alertdialog skip".split()
 )
+#: Elements that can be the region.
+_REGIONS = frozenset("body center div fieldset html section td".split())
+_HEADINGS = frozenset("h1 h2 h3 h4 h5 h6".split())
 _HOLDERS = frozenset(("div", "section", "ul", "ol", "dl", "table", "p", "span", "article", "li", "details", "header", "figure", "td", "center"))
 _NAME = re.compile(r"[A-Z]?[a-z]+|[A-Z]+")
 
 
 class _Lines(HTMLParser):
-    """Collects lines: text, tags, link characters, and the number of the <article> or <main> they lie in (0: none)."""
+    """Collects lines: text, tags, link characters, and the number of the <article> or <main> they lie in (0: none).
+
+    Up to the first of these, also their links and the numbers of the elements they lie in, outermost first.
+    """
 
     def __init__(self) -> None:
         super().__init__(convert_charrefs=True)
         self.lines: list[tuple[str, int, int, int]] = []
-        self.open: list[tuple[str, bool, int]] = []
+        self.within: list[tuple[int, tuple[int, ...]]] = []
+        self.names: list[str] = []
+        self.open: list[tuple[str, bool, int, int]] = []
         self.skipped = self.article = self.articles = self.links = 0
         self.parts: list[str] = []
-        self.tags = self.linked = 0
+        self.tags = self.linked = self.anchors = 0
 
     def line(self) -> None:
         if self.parts:
             text = " ".join("".join(self.parts).split())
             if text:
                 self.lines.append((text, self.tags, self.linked, self.article))
-                self.tags = self.linked = 0
+                if not self.articles:
+                    self.within.append((self.anchors, tuple(x[3] for x in self.open)))
+                self.tags = self.linked = self.anchors = 0
             self.parts = []
 
     def _named_out(self, tag: str, attrs: list) -> bool:
@@ -70,7 +83,7 @@ class _Lines(HTMLParser):
 
     def _pop_to(self, at: int) -> None:
         while len(self.open) > at:
-            tag, skip, before = self.open.pop()
+            tag, skip, before, _ = self.open.pop()
             self.skipped -= skip
             self.links -= tag == "a"
             if before >= 0:
@@ -100,7 +113,8 @@ class _Lines(HTMLParser):
             if not inside:
                 self.articles += 1
                 self.article = self.articles
-        self.open.append((tag, skip, before))
+        self.open.append((tag, skip, before, len(self.names)))
+        self.names.append(tag)
         self.skipped += skip
         self.links += tag == "a"
 
@@ -125,6 +139,7 @@ class _Lines(HTMLParser):
             self.parts.append(data)
             if self.links:
                 self.linked += len(data)
+                self.anchors += bool(data.strip())
 
 
 def smoothed(ratio: np.ndarray, sigma: float) -> np.ndarray:
@@ -148,6 +163,67 @@ def two_clusters(x: np.ndarray) -> float:
     return t
 
 
+def region(p: _Lines, content: np.ndarray, dense: np.ndarray, chars: np.ndarray, linked: np.ndarray) -> np.ndarray:
+    """The lines of a page without <article> or <main> that belong to its article; content: the lines that choose it, one at least;
+    dense: lines of as high a ratio before smoothing, which choose it too where they are siblings of content lines.
+
+    The smallest element that holds the content lines is taken whole (of one that is
+    the whole page, the blocks from the first to the last with content). Blocks beside
+    it, then beside the elements around it, join up to the next block of links on
+    either side; and where no title is among them, the last one above with what lies between.
+    """
+    n, paths, names = len(chars), [w for _, w in p.within], p.names
+    anchors = np.array([k for k, _ in p.within])
+    heading = [next((names[i] for i in reversed(w) if names[i] in _HEADINGS), "") for w in paths]
+    linky = (linked > 0.8 * chars) & np.array([not h for h in heading])
+    parents = {paths[i][:-1] for i in np.flatnonzero(content)}
+    content = content | dense & np.array([w[:-1] in parents for w in paths])
+    where = np.flatnonzero(content)
+    holder = os.path.commonprefix([paths[i] for i in where])
+    while holder and names[holder[-1]] not in _REGIONS:
+        holder = holder[:-1]
+
+    def inside(holder: tuple[int, ...]) -> tuple[int, int]:
+        at = [i for i, w in enumerate(paths) if w[: len(holder)] == holder]
+        return at[0], at[-1] + 1
+
+    def blocks(holder: tuple[int, ...]) -> list[tuple[int, int, bool]]:
+        """Start, end and whether it is a block of links, of each child of an element; links one a block are such where they neighbour."""
+        lo, hi = inside(holder)
+        key = [w[len(holder)] if len(w) > len(holder) else -1 - i for i, w in enumerate(paths)]
+        edge = [i for i in range(lo, hi) if i == lo or key[i] != key[i - 1]] + [hi]
+        spans = list(zip(edge[:-1], edge[1:], strict=True))
+        only = [bool(linky[s:e].all()) for s, e in spans]
+        many = [anchors[s:e].sum() > 1 and linked[s:e].sum() > 0.5 * chars[s:e].sum() and any(not h for h in heading[s:e]) for s, e in spans]
+        beside = [x and (any(only[max(0, i - 1) : i]) or any(only[i + 1 : i + 2])) for i, x in enumerate(only)]
+        return [(s, e, bool(m or b)) for (s, e), m, b in zip(spans, many, beside, strict=True)]
+
+    first, last = inside(holder)
+    if (first, last) == (0, n):
+        of = [(s, e) for s, e, _ in blocks(holder) if content[s:e].any()]
+        first, last = of[0][0], of[-1][1]
+    elif holder:
+        holder = holder[:-1]
+    while True:
+        around = blocks(holder)
+        above = [x for x in around if x[1] <= first]
+        below = [x for x in around if x[0] >= last]
+        while above and not above[-1][2]:
+            first = above.pop()[0]
+        while below and not below[0][2]:
+            last = below.pop(0)[1]
+        if above or below or not holder:
+            break
+        holder = holder[:-1]
+    keep = np.zeros(n, bool)
+    keep[first:last] = True
+    if not any(h in ("h1", "h2") for h in heading[first:last]):
+        titles = [i for i in range(first) if heading[i] == "h1"]
+        if titles:
+            keep[titles[-1] : first] = ~linky[titles[-1] : first]
+    return keep
+
+
 def main_text(html: str | None, sigma: float = 1.0) -> str:
     """The article's blocks, joined by line ends."""
     p = _Lines()
@@ -160,7 +236,8 @@ def main_text(html: str | None, sigma: float = 1.0) -> str:
     linked = np.array([k for _, _, k, _ in p.lines], float)
     ratio = np.log1p((chars - np.minimum(linked, chars)) / np.maximum(1, [n for _, n, _, _ in p.lines]))
     level = smoothed(ratio, sigma)
-    content = level > two_clusters(level)
+    threshold = two_clusters(level)
+    content = level > threshold
     where = np.array([a for _, _, _, a in p.lines])
     linky = linked > 0.8 * chars
     content &= ~linky
@@ -169,12 +246,7 @@ def main_text(html: str | None, sigma: float = 1.0) -> str:
         hold = set(where[content & inside].tolist()) or {int(np.bincount(where[inside], weights=chars[inside]).argmax())}
         keep = np.isin(where, list(hold))
     elif content.any():
-        first, last = np.flatnonzero(content)[[0, -1]]
-        keep = np.zeros(len(chars), bool)
-        keep[first : last + 1] = True
-        keep &= ~linky
-        if first and not linky[first - 1] and chars[first - 1] < 200 and ratio[first - 1] > 0:
-            keep[first - 1] = True  # the heading above
+        keep = region(p, content, (ratio > threshold) & ~linky, chars, linked)
     else:
         keep = ~linky
     return "\n".join(t for (t, _, _, _), k in zip(p.lines, keep.tolist(), strict=True) if k)

@@ -399,3 +399,26 @@ def test_page_without_article_keeps_the_dense_region():
     text = "This is a paragraph with quite a few words in it, so that its ratio of text to tags is high."
     page = "<div><a>Home</a><a>News</a></div><div>" + f"<p>{text}</p>" * 5 + "</div><div><a>More</a> <a>Links</a> <a>Here</a></div>"
     assert html.main_text(page) == "\n".join([text] * 5)
+
+
+def test_page_without_article_keeps_every_block_of_its_region():
+    para = ("This is a long paragraph of plain words that goes on for quite a while. " * 6).strip()
+    menu = "<div><a>Home</a> <a>News</a> <a>About us</a></div>"
+    foot = "<div><ul><li><a>More</a></li><li><a>Links</a></li><li><a>Here</a></li></ul></div>"
+    title, byline = "<h1>A title</h1>", "<div>By <a>J. Doe</a>, May 2</div>"
+    items = "<ul>" + "".join(f"<li>item {i}</li>" for i in range(6)) + "</ul>"
+    linked = "<ul><li><a>One source</a></li><li><a>Another</a></li></ul>"
+    lines = ["A title", "By J. Doe, May 2", *[f"item {i}" for i in range(6)], *[para] * 4, "One source", "Another", para, *[f"item {i}" for i in range(6)], "The end."]
+    body = byline + items + f"<p>{para}</p>" * 4 + linked + f"<p>{para}</p>" + items + "<p>The end.</p>"
+    for page in (
+        f"<body>{menu}<div>{title}{body}</div>{foot}</body>",
+        f"<body>{menu}<div>{title}<div>{body}</div></div>{foot}</body>",
+        f"<body>{menu}{title}{body}{foot}</body>",
+        f"<body><div>{menu}<div>{title}{menu}<div>{body}</div></div>{foot}</div></body>",
+        f"<div>{title}{body}</div>",
+    ):
+        assert html.main_text(page) == "\n".join(lines), page
+    short = f"<body>{menu}<div><h1><a>T</a></h1><p>by me</p>" + f"<p>{para[:400]}</p>" * 5 + f"<p>Bye.</p></div>{foot}</body>"
+    assert html.main_text(short) == "\n".join(["T", "by me", *[para[:400].strip()] * 5, "Bye."])
+    one = f"<body>{menu}<h1>T</h1><p>{para * 3}</p><p>Bye.</p>{foot}</body>"
+    assert html.main_text(one) == f"T\n{para * 3}\nBye."
