@@ -2,10 +2,13 @@
 
 Each half of a unit vector has a codebook of its own (k-means on a bounded
 sample); a pair of centroids is a cell of the product grid, and every vector is
-listed in its cell. A vector visits cells in the order of the multi-sequence
-traversal: by the sum of both halves' squared distances to the cells' borders. It
-stops when that sum exceeds a radius, which is calibrated for the target recall on
-sample vectors turned by exactly the angle of the threshold, in random directions.
+listed in its cell. A vector visits every cell for which the sum of both halves'
+squared distances to the cell's borders is within a radius, which is calibrated for
+the target recall on sample vectors turned by exactly the angle of the threshold, in
+random directions. Those cells are enumerated for many vectors at once (`visits`), in
+no order of the sum: all of them are wanted, so the order can't change a link. The
+multi-sequence traversal (`multi_sequence`), which gives them one by one in growing
+order, isn't on the query's path; a test holds the two sets of cells against each other.
 Every pair that meets in a cell is verified by its cosine in double precision.
 
 Crowded cells are dealt out as blocks of members times blocks of visitors; within a
@@ -48,7 +51,7 @@ def multi_sequence(first: np.ndarray, second: np.ndarray) -> Iterator[tuple[floa
 
 
 def visits(first: np.ndarray, second: np.ndarray, radius: float) -> tuple[np.ndarray, np.ndarray]:
-    """(row, cell) of all cells that the traversal meets before the sum exceeds the radius, for many rows at once."""
+    """(row, cell) of all cells whose sum is within the radius, for many rows at once: the set that the traversal meets before its sum exceeds it, in no order of the sum."""
     k = second.shape[1]
     rows, cells = [], []
     order = np.argsort(first, axis=1, kind="stable")
