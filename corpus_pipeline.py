@@ -31,15 +31,23 @@ def toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The smallest doc_id of each group of documents linked at a similarity of 0.8; one row of it. Rows without a doc_id stay."""
+    """One row, of the smallest doc_id, of each group of rows linked at a similarity of 0.8. Rows without a doc_id stay.
+
+    Rows that share a doc_id are documents of their own: only equal ones and linked ones collapse.
+    """
     ship(spark)
-    gone = join_components(docs.select("doc_id", "text"), percent=80).where(~F.col("kept")).select("doc_id").distinct()
-    left = docs.select(*COLUMNS).join(gone, "doc_id", "left_anti").select(*COLUMNS)
+    docs = docs.select(*COLUMNS)
     twice = cut(docs.groupBy("doc_id").count().where("count > 1 and doc_id is not null").select("doc_id"))
     if twice.isEmpty():
-        return left
-    again = left.join(twice, "doc_id", "left_semi").groupBy("doc_id").agg(F.min(F.struct(*COLUMNS[1:])).alias("row")).select("doc_id", "row.*")
-    return left.join(twice, "doc_id", "left_anti").select(*COLUMNS).union(again.select(*COLUMNS))
+        gone = join_components(docs.select("doc_id", "text"), percent=80).where(~F.col("kept")).select("doc_id").distinct()
+        return docs.join(gone, "doc_id", "left_anti").select(*COLUMNS)
+    again = docs.join(twice, "doc_id", "left_semi").select(*COLUMNS).distinct()
+    rows = cut(docs.join(twice, "doc_id", "left_anti").select(*COLUMNS).union(again).withColumn("row", F.monotonically_increasing_id()))
+    named = rows.where("doc_id is not null")
+    part = cut(join_components(named.select(F.col("row").alias("doc_id"), "text"), percent=80).select(F.col("doc_id").alias("row"), "component_id"))
+    order = named.select("row", "doc_id", F.xxhash64(*COLUMNS[1:]).alias("hash"))
+    first = part.join(order, "row").groupBy("component_id").agg(F.min(F.struct("doc_id", "hash", "row")).alias("first")).select("first.row")
+    return named.join(first, "row", "left_semi").select(*COLUMNS).union(rows.where("doc_id is null").select(*COLUMNS))
 
 
 def repeated_strings(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -31,6 +31,16 @@ def test_stages(spark, sf, rows):
     assert {x["doc_id"]: (x["text"], x["n_chars"]) for x in masked.collect()} == {1: ("a [assign] b", 12), 2: (None, None), 3: ("clean text", 10)}
 
 
+def test_rows_that_share_an_id_are_documents_of_their_own(spark, sf):
+    a, b, c = (" ".join(f"{x}{i}" for i in range(60)) for x in "abc")
+    near = lambda t: f"{t} more"
+    docs = [(5, a), (5, b), (5, b), (7, near(b)), (4, c), (4, near(c)), (9, near(a)), (9, "short one"), (8, ""), (8, ""), (8, "\n"), (None, a), (None, a)]
+    got = C.near_duplicates(spark, frame(spark, docs).select(*C.COLUMNS), sf).collect()
+    texts = sorted((x["doc_id"] or 0, x["text"]) for x in got if x["doc_id"] != 4)
+    assert texts == sorted([(5, a), (5, b), (9, "short one"), (8, ""), (8, "\n"), (0, a), (0, a)])
+    assert [x["text"] in (c, near(c)) for x in got if x["doc_id"] == 4] == [True]
+
+
 @pytest.mark.parametrize("stage", range(5))
 def test_stages_of_nothing(spark, sf, stage):
     empty = frame(spark, [(1, "a")]).select(*C.COLUMNS).where("false")
