@@ -3,7 +3,9 @@
 Both vocabularies pre-split a text before any merge, and no merge crosses such a
 split. A blank between two characters that are not white space always starts
 a new pre-token of the byte-level vocabulary, and white space always ends one of
-the word vocabulary, so ids of stretches, joined, are the ids of the text.
+the word vocabulary, so ids of stretches, joined, are the ids of the text. Special
+tokens that a text spells out become their one id, as in the library's plain call;
+they hold no blanks, so a stretch has them whole.
 """
 
 from __future__ import annotations
@@ -51,9 +53,9 @@ class CachedEncoder:
         from tokenizers import Tokenizer
 
         self.lib = Tokenizer.from_file(path)
-        self.lib.encode_special_tokens = True
         self.blanks, self.entries = blanks, entries
         self.known, self.after = _Known(), _Known()
+        self.special = [x.content for x in self.lib.get_added_tokens_decoder().values()]
         pieces = [self.lib.id_to_token(i) or "" for i in range(self.lib.get_vocab_size())]
         #: Ids that open a stretch (byte level) or close a pre-token (word level).
         self.edge = np.array([x.startswith("\u0120") if blanks else x.endswith("</w>") for x in pieces])
@@ -75,6 +77,9 @@ class CachedEncoder:
         else:
             plain, counts = [w for w in new if w], None
             alone = [w for w in new if not w]
+            spelt = {w for w in plain for s in self.special if s in w}  # their parts aren't those of the pre-split
+            if spelt:
+                plain, alone = [w for w in plain if w not in spelt], alone + list(spelt)
         for at in range(0, len(plain), _JOINED):
             block = plain[at : at + _JOINED]
             ids = np.array(self.lib.encode_batch_fast([(before or "") + " ".join(block)], add_special_tokens=False)[0].ids, np.uint32)

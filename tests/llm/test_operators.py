@@ -379,6 +379,23 @@ def test_cached_ids_are_the_librarys(rows):
             assert np.frombuffer(ids, "<u4").tolist() == enc.lib.encode(t, add_special_tokens=False).ids, t[:50]
 
 
+def test_special_tokens_spelt_out_have_their_one_id(spark):
+    from tokenizers import Tokenizer
+
+    parts = ["<|endoftext|>", "<|startoftext|>", "<|endoftext|><|endoftext|>", "a<|endoftext|>b", "<|ENDOFTEXT|>", "<|endoftext", "word", "it's", "", "\t", "\n", "Zwei", "x1"]
+    r = random.Random(14)
+    texts = [" ".join(r.choice(parts) for _ in range(r.randint(1, 9))) for _ in range(400)] + ["<|endoftext|>", "  <|endoftext|>  b", "a\n<|endoftext|>\nb"]
+    for name, blanks, special in (("byte_bpe_50k.json", True, 50256), ("word_bpe_49k.json", False, 49407)):
+        lib = Tokenizer.from_file(tokens.vocabulary(name))
+        assert lib.encode("<|endoftext|>", add_special_tokens=False).ids == [special]
+        for entries in (0, 600_000):
+            enc = tokens.CachedEncoder(tokens.vocabulary(name), blanks, entries=entries)
+            for t, ids in zip(texts, enc.encode(texts)):
+                assert np.frombuffer(ids, "<u4").tolist() == lib.encode(t, add_special_tokens=False).ids, t
+    manifest = cut(sstable.write_shards(frame(spark, [(1, "a <|endoftext|>")]), f"{shared_dir(spark)}/t", tokens.vocabulary("word_bpe_49k.json"), partitions=1))
+    assert [x["n_tokens"] for x in sstable.read_shards(manifest).collect()] == [3]
+
+
 # --- 10 pages
 
 
