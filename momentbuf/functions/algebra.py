@@ -10,7 +10,7 @@ from __future__ import annotations
 from collections.abc import Callable
 from dataclasses import dataclass
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from momentbuf.functions.scalars import BIG, binomial_shift, power
@@ -27,6 +27,7 @@ class AggSpec:
     invertible: bool = False
     distributive: bool = False
     order: int = -1
+    most: int = 0  # values a state holds at most, where it is a list
 
     def shift(self, distance: Column) -> list[Column]:
         """State columns about an origin `distance` cells before the state's own."""
@@ -69,9 +70,9 @@ def min_spec() -> AggSpec:
 
 
 def topn_spec(k: int) -> AggSpec:
-    """The k largest values. A state holds at most k; a bin's cells are at most b, so what is collected is bounded."""
+    """The k largest values. A state holds at most k; a bin's cells are at most b, so what a build collects is bounded. Queries merge states by `merged_states`."""
     best = lambda x: F.slice(F.sort_array(x, asc=False), 1, k)
-    return AggSpec(f"top{k}", ("top",), lambda i, v, o: [best(F.collect_list(v)).alias("top")], lambda: [best(F.flatten(F.collect_list("top"))).alias("top")], lambda: F.col("top"))
+    return AggSpec(f"top{k}", ("top",), lambda i, v, o: [best(F.collect_list(v)).alias("top")], lambda: [best(F.flatten(F.collect_list("top"))).alias("top")], lambda: F.col("top"), most=k)
 
 
 def avg_spec() -> AggSpec:
@@ -116,6 +117,16 @@ def joint(*specs: AggSpec) -> AggSpec:
     )
 
 
+def merged_states(df: DataFrame, by: list[str], spec: AggSpec) -> DataFrame:
+    """by and one state for each group. Lists are merged by rank, of which each task keeps the first few alone, so no row gathers a group's lists."""
+    if not spec.most:
+        return df.groupBy(*by).agg(*spec.merge())
+    (c,) = spec.state
+    rank = F.row_number().over(Window.partitionBy(*by).orderBy(F.desc("_x")))
+    best = df.select(*by, F.explode(c).alias("_x")).withColumn("_r", rank).where(F.col("_r") <= spec.most)
+    return best.groupBy(*by).agg(F.sort_array(F.collect_list("_x"), asc=False).alias(c))
+
+
 def local_moment(moments: list[Column], p: Column, c: Column, k: int) -> Column:
     """Moment of order k about c from moments about p."""
     return binomial_shift(moments[: k + 1], p - c)[k]

@@ -46,27 +46,27 @@ class Stencil:
     def coefficient(self, k: int) -> Fraction:
         return Fraction(1, prod(k - j for j in self.nodes if j != k))
 
-    def exact(self, k: int, r: int, b: int) -> Fraction:
-        return self.coefficient(k) * prod(Fraction(r, b) - j for j in self.nodes if j != k)
-
-    def weight(self, k: int, r: Column, b: int) -> Column:
-        """Weight in double precision."""
-        t = r.cast("double") / F.lit(float(b))
-        out = F.lit(float(self.coefficient(k)))
+    def polynomial(self, k: int) -> list[Fraction]:
+        """The weight for cell k as a polynomial in t = r / b, lowest power first."""
+        out = [self.coefficient(k)]
         for j in self.nodes:
             if j != k:
-                out = out * (t - F.lit(float(j)))
+                out = [(out[i - 1] if i else 0) - (j * out[i] if i < len(out) else 0) for i in range(len(out) + 1)]
         return out
 
-    def whole(self, k: int, r: Column, b: int) -> Column:
-        """Weight times scale(b), a whole number."""
+    def exact(self, k: int, r: int, b: int) -> Fraction:
+        return self.coefficient(k) * prod(Fraction(r, b) - j for j in self.nodes if j != k)
+
+    def weight(self, k: int, r: str, b: int) -> str:
+        """SQL of the weight in double precision at the offset that the text r gives."""
+        t = f"(CAST({r} AS DOUBLE) / {float(b)!r}D)"
+        return "*".join([f"({float(self.coefficient(k))!r}D)", *(f"({t} - {float(j)!r}D)" for j in self.nodes if j != k)])
+
+    def whole(self, k: int, r: str, b: int) -> str:
+        """SQL of the weight times scale(b), a whole number."""
+        kind = BIG if self.scale(b) * (self.n + 1) ** self.n >= 1 << 62 else "BIGINT"
         c = int(self.coefficient(k) * factorial(self.n - 1))
-        wide = self.scale(b) * (self.n + 1) ** self.n >= 1 << 62
-        out = F.lit(c).cast(BIG if wide else "long")
-        for j in self.nodes:
-            if j != k:
-                out = out * (r.cast(BIG) - F.lit(j * b).cast(BIG) if wide else r - F.lit(j * b))
-        return out
+        return "*".join([f"CAST({c} AS {kind})", *(f"(CAST({r} AS {kind}) - CAST({j * b} AS {kind}))" for j in self.nodes if j != k)])
 
 
 def lagrange_eval(samples: dict[int, Fraction], x: Fraction) -> Fraction:
@@ -77,7 +77,7 @@ def lagrange_eval(samples: dict[int, Fraction], x: Fraction) -> Fraction:
 def weight_table(spark: SparkSession, b: int, stencil: Stencil) -> DataFrame:
     """r, k, w of all weights of a bin; N * b rows, for small b."""
     r = spark.range(b).select(F.col("id").alias("r"))
-    return r.select("r", F.inline(F.array(*[F.struct(F.lit(k).alias("k"), stencil.weight(k, F.col("r"), b).alias("w")) for k in stencil.nodes])))
+    return r.select("r", F.inline(F.array(*[F.struct(F.lit(k).alias("k"), F.expr(stencil.weight(k, "r", b)).alias("w")) for k in stencil.nodes])))
 
 
 def hat_weight(offset: Column, b: int) -> Column:

@@ -7,16 +7,15 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from momentbuf.functions.algebra import moment_spec
 from momentbuf.functions.scalars import BIG, power, power_sum
-from momentbuf.operators.lagrange_buffer import LagrangeBuffer, moment_poly, query_lagrange
+from momentbuf.operators.lagrange_buffer import LagrangeBuffer, moment_poly, query_lagrange, query_many
+from momentbuf.operators.ranges import beside, ends, match
 from momentbuf.sources.arrays import IndexedArray
 
 
 def moments_of_ranges(arr: IndexedArray, buf: LagrangeBuffer, ranges: DataFrame, order: int, c: str = "p") -> DataFrame:
-    """(keys,) qid and m0 .. m{order} about column c, all from the one buffer."""
-    parts = [query_lagrange(arr, buf, ranges, moment_poly(k, c)).withColumnRenamed("result", f"m{k}") for k in range(order + 1)]
-    return reduce(lambda a, b: a.join(b, [*buf.keys, "qid"]), parts)
+    """(keys,) qid and m0 .. m{order} about column c, all from one pass over the one buffer."""
+    return query_many(arr, buf, ranges, {f"m{k}": moment_poly(k, c) for k in range(order + 1)})
 
 
 def _ratio(a: Column, b: Column) -> Column:
@@ -52,38 +51,56 @@ def fit_line(m: DataFrame) -> DataFrame:
     return m.withColumn("slope", slope).withColumn("intercept", _ratio(F.col("m0"), n) - F.col("slope") * _ratio(s1, n)).select("qid", "intercept", "slope")
 
 
+def _solved(a: list[list[Column]], y: list[Column]) -> list[Column]:
+    """Solution of a small linear system by determinants; null where it has none."""
+
+    def det(m: list[list[Column]]) -> Column:
+        if len(m) == 1:
+            return m[0][0]
+        parts = [m[0][j] * det([[r[i] for i in range(len(m)) if i != j] for r in m[1:]]) for j in range(len(m))]
+        return reduce(lambda x, t: x + t if t is not None else x, [p if j % 2 == 0 else -p for j, p in enumerate(parts)])
+
+    whole = det(a)
+    return [F.try_divide(det([[y[i] if k == j else x for k, x in enumerate(row)] for i, row in enumerate(a)]), whole) for j in range(len(y))]
+
+
 def fit_poly(m: DataFrame, degree: int) -> DataFrame:
     """qid, coef, explained: least-squares polynomial in u = (i - p) / (q - p + 1) from m0 .. m{degree}.
 
-    The matrix is of power sums alone; one small solve for each range, in Arrow batches.
-    explained: coef times right-hand side, which the sum of squares exceeds by the residual.
+    The matrix holds power sums alone, in closed form. Degrees 0 to 2 are solved in
+    columns; higher ones in Arrow batches, all ranges of a batch at once. explained: coef
+    times right-hand side, which the sum of squares exceeds by the residual. Ranges with
+    fewer cells than coefficients have null coefficients.
     """
+    n = (F.col("q") - F.col("p") + 1).cast("double")
+    sums = [n, (n - 1) / 2, (n - 1) * (2 * n - 1) / (6 * n), (n - 1) * (n - 1) / (4 * n), (n - 1) * (2 * n - 1) * (3 * n * n - 3 * n - 1) / (30 * n * n * n)]
+    y = [F.col(f"m{k}").cast("double") / (F.pow(n, F.lit(float(k))) if k else F.lit(1.0)) for k in range(degree + 1)]
+    if degree <= 2:
+        rows = m.select("qid", n.alias("n"), *[x.alias(f"y{k}") for k, x in enumerate(y)], *[x.alias(f"u{k}") for k, x in enumerate(sums[: 2 * degree + 1])])
+        coef = _solved([[F.col(f"u{i + j}") for j in range(degree + 1)] for i in range(degree + 1)], [F.col(f"y{k}") for k in range(degree + 1)])
+        coef = [F.when(F.col("n") > degree, x) for x in coef]
+        fit = rows.select("qid", *[c.alias(f"c{k}") for k, c in enumerate(coef)], *[f"y{k}" for k in range(degree + 1)])
+        return fit.select("qid", F.array(*[f"c{k}" for k in range(degree + 1)]).alias("coef"), reduce(lambda a, b: a + b, [F.col(f"c{k}") * F.col(f"y{k}") for k in range(degree + 1)]).alias("explained"))
 
     def solve(batches):
         import numpy as np
         import pandas as pd
 
-        for d in batches:
-            coefs, expl = [], []
-            for r in d.itertuples():
-                n = int(r.q - r.p + 1)
-                u = np.array([sum((i / n) ** k for i in range(n)) for k in range(2 * degree + 1)]) if n < 64 else np.array([_mean_power(k, n) * n for k in range(2 * degree + 1)])
-                a = np.array([[u[i + j] for j in range(degree + 1)] for i in range(degree + 1)])
-                y = np.array([float(getattr(r, f"m{k}")) / float(n) ** k for k in range(degree + 1)])
-                x = np.linalg.lstsq(a, y, rcond=None)[0]
-                coefs.append(x.tolist())
-                expl.append(float(x @ y))
-            yield pd.DataFrame({"qid": d.qid, "coef": coefs, "explained": expl})
-
-    cols = ["qid", "p", "q", *[f"m{k}" for k in range(degree + 1)]]
-    return m.select("qid", "p", "q", *[F.col(c).cast("double").alias(c) for c in cols[3:]]).mapInPandas(solve, "qid long, coef array<double>, explained double")
-
+        from momentbuf.functions.scalars import bernoulli_sums
 
-def _mean_power(k: int, n: int) -> float:
-    """Mean of (i/n)^k over i < n, from the closed form in exact fractions."""
-    from momentbuf.functions.scalars import bernoulli_sums
+        polys = [[float(c) for c in bernoulli_sums(k)] for k in range(2 * degree + 1)]
+        for d in batches:
+            n = d["n"].to_numpy(float)
+            u = np.stack([sum(c * n ** (j - k) for j, c in enumerate(p) if c) for k, p in enumerate(polys)], 1)  # sum of (i/n)^k over i < n
+            a = u[:, np.add.outer(np.arange(degree + 1), np.arange(degree + 1))]
+            y = d[[f"y{k}" for k in range(degree + 1)]].to_numpy(float)
+            fine = n > degree
+            x = np.full(y.shape, np.nan)
+            if fine.any():
+                x[fine] = np.linalg.solve(a[fine], y[fine][:, :, None])[:, :, 0]
+            yield pd.DataFrame({"qid": d["qid"], "coef": [r.tolist() if ok else [None] * (degree + 1) for r, ok in zip(x, fine)], "explained": [float(v) if ok else None for v, ok in zip((x * y).sum(1), fine)]})
 
-    return float(sum(c * n**j for j, c in enumerate(bernoulli_sums(k))) / n ** (k + 1))
+    return m.select("qid", n.alias("n"), *[x.alias(f"y{k}") for k, x in enumerate(y)]).mapInPandas(solve, "qid long, coef array<double>, explained double")
 
 
 def residual(fit: DataFrame, squares: DataFrame) -> DataFrame:
@@ -91,27 +108,41 @@ def residual(fit: DataFrame, squares: DataFrame) -> DataFrame:
     return fit.join(squares.withColumnRenamed("result", "yy"), "qid").select("qid", F.greatest(F.lit(0.0), F.col("yy").cast("double") - F.col("explained")).alias("residual"))
 
 
-def segment(arr: IndexedArray, buf: LagrangeBuffer, squares: LagrangeBuffer, arr2: IndexedArray, segments: int, degree: int = 1, tries: int = 4) -> list[tuple[int, int, float]]:
-    """Top-down segmentation: the worst segment is split where the two fits leave least; every round is one batch of ranges."""
+def segment(arr: IndexedArray, buf: LagrangeBuffer, squares: LagrangeBuffer, arr2: IndexedArray, segments: int, degree: int = 1, tries: int = 32) -> list[tuple[int, int, float]]:
+    """Top-down segmentation: the segment with the greatest residual is split where the two fits leave least.
+
+    Cuts are tried at `tries` even places, then again between the neighbours of the best
+    one, until the places tried stand next to each other. Each round is one batch of ranges.
+    """
     spark = arr.df.sparkSession
 
     def energies(spans: list[tuple[int, int]]) -> list[float]:
         r = spark.createDataFrame([(i, p, q) for i, (p, q) in enumerate(spans)], "qid long, p long, q long")
-        m = moments_of_ranges(arr, buf, r, degree).join(r, "qid")
+        m = moments_of_ranges(arr, buf, r, degree).join(F.broadcast(r), "qid")
         got = residual(fit_poly(m, degree), query_lagrange(arr2, squares, r)).collect()  # one row for each asked span
         by = {x["qid"]: x["residual"] for x in got}
-        return [by[i] for i in range(len(spans))]
+        return [by[i] if by[i] is not None else 0.0 for i in range(len(spans))]
 
     done = [(0, arr.n - 1, energies([(0, arr.n - 1)])[0])]
     while len(done) < segments:
         done.sort(key=lambda x: x[2])
         p, q, _ = done[-1]
-        cuts = sorted({p + (q - p + 1) * i // (tries + 1) for i in range(1, tries + 1)} - {p})
-        if not cuts:
+        lo, hi, known = p + degree + 1, q - degree, {}
+        if lo > hi:
             break
-        e = energies([s for c in cuts for s in ((p, c - 1), (c, q))])
-        i = min(range(len(cuts)), key=lambda i: e[2 * i] + e[2 * i + 1])
-        done[-1:] = [(p, cuts[i] - 1, e[2 * i]), (cuts[i], q, e[2 * i + 1])]
+        while True:
+            cuts = sorted({lo + (hi - lo) * i // max(1, tries - 1) for i in range(tries)} - known.keys())
+            if cuts:
+                e = energies([s for c in cuts for s in ((p, c - 1), (c, q))])
+                known |= {c: (e[2 * i], e[2 * i + 1]) for i, c in enumerate(cuts)}
+            tried = sorted(known)
+            at = min(range(len(tried)), key=lambda i: (sum(known[tried[i]]), i))
+            left, right = tried[max(0, at - 1)], tried[min(len(tried) - 1, at + 1)]
+            if right - left <= 2:
+                break
+            lo, hi = left, right
+        c = tried[at]
+        done[-1:] = [(p, c - 1, known[c][0]), (c, q, known[c][1])]
     return sorted(done)
 
 
@@ -138,11 +169,18 @@ def rect_moments(cells: DataFrame, rects: DataFrame, b: int) -> DataFrame:
     w = {(u, v): (t0 if u else 1 - t0) * (t1 if v else 1 - t1) for u in (0, 1) for v in (0, 1)}
     sums = c.groupBy("b0", "b1").agg(*[F.sum(x * F.col("val")).alias(f"s{u}{v}") for (u, v), x in w.items()])
     buf = sums.select(F.inline(F.array(*[F.struct((F.col("b0") + u).alias("k0"), (F.col("b1") + v).alias("k1"), F.col(f"s{u}{v}").alias("v")) for u, v in w]))).groupBy("k0", "k1").agg(F.sum("v").alias("v"))
-    r = F.broadcast(rects)
-    inner = buf.join(r, (F.col("k0") * b).between(F.col("p0"), F.col("q0")) & (F.col("k1") * b).between(F.col("p1"), F.col("q1"))).select("qid", F.col("v").alias("x"), (F.col("v") * F.col("k0") * b).alias("y"))
-    edge = lambda x, a: (F.col(x) == F.expr(f"p{a} div {b}")) | (F.col(x) == F.expr(f"p{a} div {b}") - 1) | (F.col(x) == F.expr(f"q{a} div {b}"))
+    # Buffer cells inside a rectangle: pieces of the first axis by equality, the second axis by its bounds.
+    n0 = rects.select(*[F.expr(f"(p{a} + {b - 1}) div {b}").alias(f"first{a}") for a in (0, 1)], *[F.expr(f"q{a} div {b}").alias(f"last{a}") for a in (0, 1)], "*").where("first0 <= last0")
+    known = ends(rects.select(F.col("p0").alias("p"), F.col("q0").alias("q")))
+    lengths = None if known is None else known[:, 1] // b + (-known[:, 0] // b) + 1
+    inner = match(buf, "k0", n0, "first0", "last0", 1 << 40, known, lengths).where(F.col("k1").between(F.col("first1"), F.col("last1")))
+    inner = inner.select("qid", F.col("v").alias("x"), (F.col("v") * F.col("k0") * b).alias("y"))
+    # The frame: bins of three strips across each axis, each strip by equality; those across the second axis leave out what the others hold.
+    strips = lambda a: F.array_distinct(F.array(F.expr(f"p{a} div {b}"), F.expr(f"p{a} div {b}") - 1, F.expr(f"q{a} div {b}")))
     within = lambda x, a: F.col(x).between(F.expr(f"p{a} div {b}") - 1, F.expr(f"q{a} div {b}"))
-    frame = c.join(r, (edge("b0", 0) & within("b1", 1)) | (edge("b1", 1) & within("b0", 0)))
+    across0 = c.join(beside(rects.withColumn("b0", F.explode(strips(0))), known), "b0").where(within("b1", 1))
+    across1 = c.join(beside(rects.withColumn("b1", F.explode(strips(1))), known), "b1").where(within("b0", 0) & ~F.array_contains(strips(0), F.col("b0")))
+    frame = across0.unionByName(across1)
 
     def rest(h0, h1):
         out = h0(F.col("i0")) * h1(F.col("i1"))
@@ -153,9 +191,3 @@ def rect_moments(cells: DataFrame, rects: DataFrame, b: int) -> DataFrame:
     outer = frame.select("qid", (rest(f0, f1) * F.col("val")).alias("x"), (rest(g0, f1) * F.col("val")).alias("y"))
     got = inner.unionByName(outer).groupBy("qid").agg(F.sum("x").alias("x"), F.sum("y").alias("y"))
     return rects.select("qid").join(got, "qid", "left").select("qid", F.round(F.coalesce("x", F.lit(0.0))).cast("long").alias("total"), F.round(F.coalesce("y", F.lit(0.0))).cast("long").alias("m1"))
-
-
-def moment_states(arr: IndexedArray, order: int, b: int) -> DataFrame:
-    from momentbuf.operators.binbuf import build_bins
-
-    return build_bins(arr, moment_spec(order), b).df

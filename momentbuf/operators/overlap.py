@@ -4,9 +4,13 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from momentbuf.functions.weights import Stencil
+from momentbuf.operators.lagrange_buffer import asked_of, candidates
+from momentbuf.operators.ranges import beside, ends, match, needed, settled
 from momentbuf.sources.arrays import IndexedArray
 
 Weight = Callable[[Column, int], Column]
@@ -29,19 +33,43 @@ def build_overlap(arr: IndexedArray, b: int, M: int, Mp: int, weight: Weight, gu
 
 def delta_expr(f: Callable[[Column], Column], idx: Column, b: int, M: int, Mp: int, weight: Weight) -> Column:
     """What the buffer leaves to the array at a cell: f minus its reconstruction from samples at the bins' edges."""
-    bin_, r = F.floor(idx / b), F.pmod(idx, F.lit(b))
+    bin_, r = F.call_function("div", idx, F.lit(b)), F.pmod(idx, F.lit(b))
     out = f(idx)
     for k in range(1 - Mp, M + 1):
         out = out - f((bin_ + k) * b) * weight(r - k * b, b)
     return out
 
 
-def query_overlap(arr: IndexedArray, buf: DataFrame, b: int, M: int, Mp: int, weight: Weight, f: Callable[[Column], Column], ranges: DataFrame) -> DataFrame:
-    """qid, result of sum f(i) a_i for any f, by a full scan for the residual. f sees position and the range's columns and is cut to [p, q]."""
+def query_overlap(arr: IndexedArray, buf: DataFrame, b: int, M: int, Mp: int, weight: Weight, f: Callable[[Column], Column], ranges: DataFrame, scan: str = "full") -> DataFrame:
+    """qid, result of sum f(i) a_i for any f, which sees position and the range's columns and is cut to [p, q].
+
+    scan: "full" reads the residual from every cell of the range and of the bins its
+    samples reach; "candidates" only from the bins around its ends, which is the whole
+    residual where the weights reproduce f inside (a hat: lines; N nodes: degrees below N).
+    Both are joins by equality; cells whose residual is zero for want of samples don't meet a range.
+    """
+    if scan not in ("full", "candidates"):
+        raise ValueError(f"scan must be full or candidates, not {scan}")
     cut = lambda x: F.when((x >= F.col("p")) & (x <= F.col("q")), f(x)).otherwise(F.lit(0.0))
-    some = F.broadcast(ranges)
-    samples = buf.join(some).select("qid", (cut(F.col("cell") * b) * F.col("v")).alias("x"))
-    rest = arr.df.join(some).select("qid", (delta_expr(cut, F.col("idx"), b, M, Mp, weight) * F.col("val")).alias("x"))
+    ranges = settled(ranges)
+    known = ends(ranges)
+    runs = ranges.withColumn("first_", F.expr(f"(p + {b - 1}) div {b}")).withColumn("last_", F.expr(f"q div {b}"))
+    lo = hi = lengths = kn = None
+    if known is not None:
+        p, q = known[:, 0], known[:, 1]
+        first, last = -(-p // b), q // b
+        kn = last - first + 1
+        lo, hi = np.minimum(p, (first - M) * b), np.maximum(q, (last + Mp) * b - 1)
+        lengths = hi - lo + 1
+    samples = match(buf, "cell", runs.where("first_ <= last_"), "first_", "last_", -(-arr.n // b), known, kn).select("qid", (cut(F.col("cell") * b) * F.col("v")).alias("x"))
+    if scan == "full":
+        wide = runs.withColumn("lo_", F.least("p", F.greatest(F.lit(0), (F.col("first_") - M) * b))).withColumn("hi_", F.greatest("q", (F.col("last_") + Mp) * b - 1))
+        near = match(needed(arr, lo, hi), "idx", wide, "lo_", "hi_", arr.n + Mp * b, known, lengths)
+    else:
+        st = Stencil(M, Mp)
+        span = (None, None) if known is None else asked_of(known, b, 0, st)
+        near = needed(arr, *span).withColumn("bin", F.expr(f"idx div {b}")).join(beside(candidates(ranges, b, 0, st, -(-arr.n // b)), known), "bin")
+    rest = near.select("qid", (delta_expr(cut, F.col("idx"), b, M, Mp, weight) * F.col("val")).alias("x"))
     got = samples.unionByName(rest).groupBy("qid").agg(F.sum("x").alias("result"))
     return ranges.select("qid").join(got, "qid", "left").select("qid", F.coalesce("result", F.lit(0.0)).alias("result"))
 

@@ -3,20 +3,22 @@
 from __future__ import annotations
 
 from fractions import Fraction
-from math import sqrt
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from momentbuf.functions.weights import Stencil, lagrange_eval
-from momentbuf.operators.lagrange_buffer import LagrangeBuffer, Poly, _delta, _parts, _result, candidates
+from momentbuf.operators.lagrange_buffer import ONE, LagrangeBuffer, Poly, _delta, _near, _parts, _result
+from momentbuf.operators.ranges import settled
 from momentbuf.sources.arrays import IndexedArray
 
 
 def approx_lagrange(buf: LagrangeBuffer, ranges: DataFrame, f: Poly | None = None) -> DataFrame:
     """qid, estimate: sum of the samples times the top cells; no array access."""
-    f = f or (lambda x: F.lit(1))
-    got = _parts(None, buf, ranges, f, only_top=True).groupBy("qid").agg(_result(buf).alias("estimate"))
+    if buf.mode == "residue":
+        raise ValueError("remainders have no size, so they give no estimates: build in mode 'exact' or 'double'")
+    f, ranges = f or ONE, settled(ranges)
+    got = _parts(None, buf, ranges, {"x": f}, only_top=True).groupBy("qid").agg(_result(buf).alias("estimate"))
     return ranges.select("qid").join(got, "qid", "left").select("qid", F.coalesce("estimate", F.lit(0).cast("long") if buf.mode == "exact" else F.lit(0.0)).alias("estimate"))
 
 
@@ -25,13 +27,12 @@ def progressive(arr: IndexedArray, buf: LagrangeBuffer, ranges: DataFrame, f: Po
 
     One scan of all N - 1 bins at each end; rings are a running sum.
     """
-    f = f or (lambda x: F.lit(1))
+    f, ranges = f or ONE, settled(ranges)
     b, st = buf.b, buf.stencil
-    cand = candidates(ranges, b, 0, st, -(-buf.n // b))
     ring = F.least(F.abs(F.col("bin") - F.expr(f"p div {b}")), F.abs(F.col("bin") - F.expr(f"q div {b}"))) + 1
-    cells = arr.df.select(F.col("idx").alias("pos"), F.col("val").cast("double").alias("v")).withColumn("bin", F.expr(f"pos div {b}")).join(F.broadcast(cand.withColumn("ring", ring)), "bin")
-    rest = cells.groupBy("qid", "ring").agg(F.sum(_delta(f, F.col("pos"), 0, b, st, "double") * F.col("v")).alias("x"))
-    start = _parts(None, buf, ranges, f, only_top=True).groupBy("qid").agg(_result(buf).cast("double").alias("x")).select("qid", F.lit(0).cast("long").alias("ring"), "x")
+    cells = _near(arr, buf, ranges, 0).withColumn("v", F.col("v").cast("double")).withColumn("ring", ring)
+    rest = cells.groupBy("qid", "ring").agg(F.sum(_delta(f, 0, b, st, "double") * F.col("v")).alias("x"))
+    start = _parts(None, buf, ranges, {"x": f}, only_top=True).groupBy("qid").agg(_result(buf).cast("double").alias("x")).select("qid", F.lit(0).cast("long").alias("ring"), "x")
     rings = ranges.select("qid", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(st.n).cast("long"))).alias("ring"))
     have = rings.join(start.unionByName(rest), ["qid", "ring"], "left")
     run = Window.partitionBy("qid").orderBy("ring").rowsBetween(Window.unboundedPreceding, 0)
@@ -84,8 +85,3 @@ def error_bound(method: str, n_moments: int, K: int, n: int, kappa: float) -> fl
     if method == "bins_half":
         return kappa * n_moments * n / K
     return kappa * n / K if n_moments == 2 else 2 * kappa * n / K
-
-
-def l2_decay(n: int) -> float:
-    i = influence(n)
-    return sqrt(sum(x * x for x in i.values()))

@@ -9,12 +9,14 @@ from __future__ import annotations
 
 from dataclasses import dataclass, replace
 
-from pyspark.sql import DataFrame
+import numpy as np
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from momentbuf.functions.algebra import AggSpec
+from momentbuf.functions.algebra import AggSpec, merged_states
 from momentbuf.functions.weights import num_levels
-from momentbuf.operators.binbuf import BinBuffer, build_bins
+from momentbuf.operators.binbuf import BinBuffer, add_cells, build_bins, few
+from momentbuf.operators.ranges import ends, match, needed, settled
 from momentbuf.sources.arrays import IndexedArray
 
 
@@ -88,32 +90,97 @@ def cover(ranges: DataFrame, b: int, levels: int) -> DataFrame:
     return out
 
 
+def cover_runs(ranges: DataFrame, b: int, levels: int, inplace: bool = False) -> DataFrame:
+    """qid, p, level, lo, hi, sign: the cover as runs of cells, at most two a level.
+
+    In place, the first cell of a right-hand run is overwritten wherever its level isn't
+    the top one. It is its parent minus its siblings; together with the rest of the run
+    that is the parent minus the siblings behind the run, and so on upwards while the
+    parent is overwritten too. So only cells of the flank are read, none is restored.
+    """
+    r = ranges.select("qid", "p", F.col("p").alias("lo"), (F.col("q") + 1).alias("hi"))
+    none = F.lit(None).cast("struct<level:int,lo:bigint,hi:bigint,sign:int>")
+
+    def run(level: int, lo: Column, hi: Column, sign: int = 1) -> Column:
+        return F.struct(F.lit(level).alias("level"), lo.cast("long").alias("lo"), hi.cast("long").alias("hi"), F.lit(sign).alias("sign"))
+
+    out = None
+    for lv in range(levels + 1):
+        lo, hi = F.col("lo"), F.col("hi")
+        if lv == levels:
+            runs = [run(lv, lo, hi - 1)]
+        else:
+            up, down = F.expr(f"(lo + {b - 1}) div {b}"), F.expr(f"hi div {b}")
+            meet = up <= down
+            runs = [run(lv, lo, F.when(meet, up * b).otherwise(hi) - 1)]
+            right = meet & (down * b < hi)
+            if not inplace or lv == 0:
+                runs.append(F.when(right, run(lv, down * b, hi - 1)).otherwise(none))
+            else:
+                runs.append(F.when(right, run(lv, hi, down * b + b - 1, -1)).otherwise(none))
+                wanted = right
+                for above in range(lv + 1, levels + 1):
+                    parent = F.expr(f"hi div {b ** (above - lv)}")
+                    if above == levels:
+                        runs.append(F.when(wanted, run(above, parent, parent)).otherwise(none))
+                    else:
+                        lost = parent % b == 0
+                        runs.append(F.when(wanted & ~lost, run(above, parent, parent)).otherwise(none))
+                        runs.append(F.when(wanted & lost, run(above, parent + 1, parent + b - 1, -1)).otherwise(none))
+                        wanted = wanted & lost
+        part = r.select("qid", "p", F.inline(F.filter(F.array(*runs), lambda x: x.isNotNull())))
+        out = part if out is None else out.unionByName(part)
+        if lv < levels:
+            r = r.select("qid", "p", F.when(meet, up).otherwise(0).alias("lo"), F.when(meet, down).otherwise(0).alias("hi"))
+    return out.where("lo <= hi")
+
+
 def query_pyramid(arr: IndexedArray, pyr: PyramidBuffer, ranges: DataFrame, costs: bool = False) -> DataFrame:
-    """qid, result of each range from its cover. In-place pyramids are restored first (lazily; only joined cells are kept)."""
-    spec, full = pyr.spec, recover(pyr)
-    cells = cover(ranges, pyr.b, pyr.levels)
-    base = cells.where("level = 0").select("qid", "p", F.col("cell").alias("idx"))
+    """qid, result of each range from its cover; of the array only the fragments' own intervals are asked."""
+    spec, b, top, ranges = pyr.spec, pyr.b, pyr.levels, settled(ranges)
+    known = ends(ranges)
+    runs = cover_runs(ranges, b, top, pyr.inplace)
+    lo = hi = short = long = None
+    if known is not None:
+        p, q = known[:, 0], known[:, 1]
+        first, last = -(-p // b), (q + 1) // b
+        one = first > last
+        lo, hi = np.r_[p, np.maximum(last * b, p)], np.r_[np.where(one, q, first * b - 1), q]
+        short = np.unique(np.minimum(hi, lo + b) - lo + 1)
+        long = np.unique(np.r_[1, b, (q - p) // b**top + 2])
     zero = F.lit(0).cast("long")
-    low = arr.df.join(F.broadcast(base), "idx").groupBy("qid").agg(*spec.lift(F.col("idx"), F.col("val"), F.col("p")), F.count("*").alias("cells_array")).withColumn("cells_buffer", zero)
-    width = F.element_at(F.array(*[F.lit(pyr.b**lv) for lv in range(1, pyr.levels + 1)]), F.col("level").cast("int"))
-    high = full.df.join(F.broadcast(cells.where("level > 0")), ["level", "cell"]).select("qid", *spec.shift(F.col("cell") * width - F.col("p")))
-    high = high.groupBy("qid").agg(*spec.merge(), F.count("*").alias("cells_buffer")).withColumn("cells_array", zero)
-    got = low.unionByName(high).groupBy("qid").agg(*spec.merge(), F.sum("cells_array").alias("cells_array"), F.sum("cells_buffer").alias("cells_buffer"))
+    base = match(needed(arr, lo, hi), "idx", runs.where("level = 0").withColumnsRenamed({"lo": "lo_", "hi": "hi_"}), "lo_", "hi_", arr.n, known, short)
+    low = base.groupBy("qid").agg(*spec.lift(F.col("idx"), F.col("val"), F.col("p")), F.count("*").alias("cells_array")).withColumn("cells_buffer", zero)
+    width = F.element_at(F.array(*[F.lit(b**lv) for lv in range(1, top + 1)]), F.col("level").cast("int"))
+    met = match(pyr.df, "cell", runs.where("level > 0").withColumnsRenamed({"lo": "lo_", "hi": "hi_"}), "lo_", "hi_", -(-pyr.n // b), known, long, ("level",))
+    high = met.select("qid", "sign", *spec.shift(F.col("cell") * width - F.col("p")))
+    if pyr.inplace:
+        high = high.select("qid", *[(F.col("sign") * F.col(c)).alias(c) for c in spec.state])
+    if spec.most:
+        high = merged_states(high, ["qid"], spec).join(high.groupBy("qid").agg(F.count("*").alias("cells_buffer")), "qid").withColumn("cells_array", zero)
+    else:
+        high = high.groupBy("qid").agg(*spec.merge(), F.count("*").alias("cells_buffer")).withColumn("cells_array", zero)
+    both = low.unionByName(high)
+    got = merged_states(both, ["qid"], spec).join(both.groupBy("qid").agg(F.sum("cells_array").alias("cells_array"), F.sum("cells_buffer").alias("cells_buffer")), "qid") if spec.most else both.groupBy("qid").agg(*spec.merge(), F.sum("cells_array").alias("cells_array"), F.sum("cells_buffer").alias("cells_buffer"))
     more = [F.coalesce(c, zero).alias(c) for c in ("cells_array", "cells_buffer")] if costs else []
     return ranges.select("qid").join(got, "qid", "left").select("qid", spec.finish().alias("result"), *more)
 
 
 def update_pyramid(pyr: PyramidBuffer, updates: DataFrame) -> PyramidBuffer:
-    """Linear update of the path to the root; in place, of the cells that still hold their own level."""
-    spec, b = pyr.spec, pyr.b
-    out = pyr.df
-    for lv in range(1, pyr.levels + 1):
-        w = b**lv
-        rows = updates.withColumn("cell", F.expr(f"idx div {w}"))
-        unit = spec.unit(F.col("idx") - F.col("cell") * w)
-        part = rows.select(F.lit(lv).alias("level"), "cell", *[(u * F.col("delta")).alias(c) for u, c in zip(unit, spec.state, strict=True)])
-        out = out.unionByName(part if not pyr.inplace or lv == pyr.levels else part.where(F.col("cell") % b != 0))
-    return replace(pyr, df=out.groupBy("level", "cell").agg(*spec.merge()))
+    """Linear update of the path to the root; in place, of the cells that still hold their own level. A batch that is small leaves the buffer where it lies."""
+    spec, b, key = pyr.spec, pyr.b, ["level", "cell"]
+    kinds = {f.name: f.dataType for f in pyr.df.schema}
+    rows = updates.select("delta", "idx", F.explode(F.sequence(F.lit(1), F.lit(pyr.levels))).alias("level"))
+    width = F.element_at(F.array(*[F.lit(b**lv).cast("long") for lv in range(1, pyr.levels + 1)]), F.col("level"))
+    rows = rows.withColumn("width", width).withColumn("cell", F.expr("idx div width"))
+    if pyr.inplace:
+        rows = rows.where((F.col("level") == pyr.levels) | (F.col("cell") % b != 0))
+    unit = spec.unit(F.col("idx") - F.col("cell") * F.col("width"))
+    delta = rows.select(*key, *[(u * F.col("delta")).alias(c) for u, c in zip(unit, spec.state, strict=True)]).groupBy(*key).agg(*spec.merge())
+    delta = delta.select(*key, *[F.col(c).cast(kinds[c]).alias(c) for c in spec.state])
+    if few(updates):
+        return replace(pyr, df=add_cells(pyr.df, delta, key, {c: (F.col(c) + F.col(f"d_{c}")).cast(kinds[c]) for c in spec.state}))
+    return replace(pyr, df=pyr.df.unionByName(delta).groupBy(*key).agg(*spec.merge()))
 
 
 def refresh_pyramid(arr: IndexedArray, pyr: PyramidBuffer, touched: DataFrame) -> PyramidBuffer:

@@ -5,13 +5,17 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from momentbuf.operators.baselines import before
+from momentbuf.operators.ranges import ends, match, needed, settled
 from momentbuf.sources.arrays import IndexedArray
 
 
-def range_join(arr: IndexedArray, ranges: DataFrame, chunk: int = 4096) -> DataFrame:
-    """qid, idx, val of all cells in each range, by chunks of indices."""
-    cut = ranges.withColumn("chunk", F.explode(F.sequence(F.expr(f"p div {chunk}"), F.expr(f"q div {chunk}"))))
-    return arr.df.withColumn("chunk", F.expr(f"idx div {chunk}")).join(F.broadcast(cut), "chunk").where(F.col("idx").between(F.col("p"), F.col("q"))).select("qid", "idx", "val")
+def range_join(arr: IndexedArray, ranges: DataFrame) -> DataFrame:
+    """qid, idx, val of all cells in each range, by pieces of equal width."""
+    ranges = settled(ranges)
+    known = ends(ranges)
+    cells = arr.df if known is None else needed(arr, known[:, 0], known[:, 1])
+    return match(cells, "idx", ranges, "p", "q", arr.n, known, None if known is None else known[:, 1] - known[:, 0] + 1).select("qid", "idx", "val")
 
 
 def interval_join(events: DataFrame, at: str, windows: DataFrame, lo: str, hi: str, width: int) -> DataFrame:
@@ -32,8 +36,8 @@ def asof_last(arr: IndexedArray, points: DataFrame, chunk: int = 4096) -> DataFr
     rows = own.unionByName(points.select(F.col("point").alias("at"), "qid", none.alias("cell"), F.expr(f"point div {chunk}").alias("chunk")))
     within = Window.partitionBy("chunk").orderBy("at", F.col("qid").isNotNull()).rowsBetween(Window.unboundedPreceding, 0)
     got = rows.withColumn("last", F.last("cell", ignorenulls=True).over(within)).where("qid is not null")
-    ends = c.groupBy("chunk").agg(F.max(F.struct("idx", "val")).alias("end")).unionByName(points.select(F.expr(f"point div {chunk}").alias("chunk"), none.alias("end"))).groupBy("chunk").agg(F.max("end").alias("end"))
-    carry = ends.select("chunk", F.last("end", ignorenulls=True).over(Window.orderBy("chunk").rowsBetween(Window.unboundedPreceding, -1)).alias("carried"))
+    last = c.groupBy("chunk").agg(F.max(F.struct("idx", "val")).alias("end")).unionByName(points.select(F.expr(f"point div {chunk}").alias("chunk"), none.alias("end"))).groupBy("chunk").agg(F.max("end").alias("end"))
+    carry = before(last, "chunk", {"end": "carried"}, -(-arr.n // chunk), F.max)  # cells ascend, so the greatest is the last
     out = got.join(carry, "chunk", "left").withColumn("hit", F.coalesce("last", "carried"))
     return out.select("qid", F.col("at").alias("point"), F.col("hit.idx").alias("idx"), F.col("hit.val").alias("val"))
 

@@ -65,6 +65,30 @@ def blocks_read(df: DataFrame) -> int:
     return df.select(F.input_file_name().alias("f")).distinct().count()
 
 
+def scan_metrics(df: DataFrame, column: str) -> dict[str, int]:
+    """Run a query; files opened and rows given by those of its scans that read the named column."""
+    execution = df._jdf.queryExecution()
+    list_ = execution.executedPlan().executeCollect()
+    del list_
+    found = {"files": 0, "rows": 0}
+
+    def walk(node) -> None:
+        name = node.getClass().getSimpleName()
+        if name == "AdaptiveSparkPlanExec":
+            return walk(node.executedPlan())
+        if name.endswith("QueryStageExec"):
+            return walk(node.plan())
+        if name == "FileSourceScanExec" and f"{column}#" in node.output().mkString(","):
+            m = node.metrics()
+            found["files"] += m.apply("numFiles").value()
+            found["rows"] += m.apply("numOutputRows").value()
+        for i in range(node.children().size()):
+            walk(node.children().apply(i))
+
+    walk(execution.executedPlan())
+    return found
+
+
 def relative_error(a: DataFrame, b: DataFrame, spark: SparkSession | None = None) -> DataFrame:
     """Largest relative deviation of two answer sets (qid, result)."""
     j = a.select("qid", F.col("result").cast("double").alias("x")).join(b.select("qid", F.col("result").cast("double").alias("y")), "qid")

@@ -17,19 +17,22 @@ class IndexedArray:
     n: int
     keys: tuple[str, ...] = ()
     absent_is_zero: bool = True
+    source: DataFrame | None = None  # the rows with the folder column `chunk`, for arrays in files
+    chunk: int | None = None
+    stored: bool = False  # idx is a column of files (or of a range): bounds on it reach the scan
 
     def with_df(self, df: DataFrame) -> IndexedArray:
-        return replace(self, df=df)
+        return replace(self, df=df, source=None, chunk=None, stored=False)
 
 
-def make_array(df: DataFrame, idx: Column, val: Column, n: int | None = None, keys: tuple[str, ...] = (), agg: str = "sum", unique: bool = False) -> IndexedArray:
-    """Raw rows to an array. Rows that share an index are added (or combined by `agg`); `unique` says that none do and saves the exchange."""
+def make_array(df: DataFrame, idx: Column, val: Column, n: int | None = None, keys: tuple[str, ...] = (), agg: str = "sum", unique: bool = False, stored: bool = False) -> IndexedArray:
+    """Raw rows to an array. Rows that share an index are added (or combined by `agg`); `unique` says that none do and saves the exchange; `stored` that idx is a plain column of files."""
     rows = df.select(*keys, idx.cast("long").alias("idx"), val.alias("val")).where(F.col("idx").isNotNull() & F.col("val").isNotNull())
     if not unique:
         rows = rows.groupBy(*keys, "idx").agg(getattr(F, agg)("val").alias("val"))
     if n is None:
         n = (rows.agg(F.max("idx")).first()[0] or -1) + 1
-    return IndexedArray(rows, n, keys)
+    return IndexedArray(rows, n, keys, stored=stored and unique)
 
 
 def validate(arr: IndexedArray) -> None:
@@ -52,7 +55,15 @@ def densify(arr: IndexedArray) -> IndexedArray:
     spark = arr.df.sparkSession
     cells = spark.range(arr.n).select(F.col("id").alias("idx"))
     if arr.keys:
-        cells = arr.df.select(*arr.keys).distinct().select(*arr.keys, F.explode(F.sequence(F.lit(0), F.lit(arr.n - 1))).cast("long").alias("idx"))
+        fan = 1 << 12  # no row holds a longer sequence, whatever n
+        step = fan
+        while step < arr.n:
+            step *= fan
+        cells = arr.df.select(*arr.keys).distinct().withColumn("idx", F.lit(0).cast("long"))
+        while step > 1:
+            sub = step // fan
+            cells = cells.select(*arr.keys, F.explode(F.sequence(F.col("idx"), F.least(F.lit(arr.n - 1).cast("long"), F.col("idx") + (step - sub)), F.lit(sub).cast("long"))).alias("idx"))
+            step = sub
     zero = F.lit(0).cast(arr.df.schema["val"].dataType)
     return arr.with_df(cells.join(arr.df, [*arr.keys, "idx"], "left").select(*arr.keys, "idx", F.coalesce("val", zero).alias("val")))
 
@@ -66,13 +77,13 @@ def density(arr: IndexedArray) -> float:
 
 
 def approx_profile(arr: IndexedArray) -> DataFrame:
-    """One pass over the array: cells, distinct values about, quartiles of values and indices about."""
-    return arr.df.agg(F.count("*").alias("cells"), F.approx_count_distinct("val").alias("values"), F.percentile_approx("val", [0.25, 0.5, 0.75]).alias("value_quartiles"), F.percentile_approx("idx", [0.25, 0.5, 0.75]).alias("index_quartiles"))
+    """One pass over the array: cells, greatest index, non-zero cells, distinct values about, quartiles of values and of indices."""
+    return arr.df.agg(F.count("*").alias("cells"), F.max("idx").alias("last"), F.sum((F.col("val") != 0).cast("long")).alias("non_zero"), F.approx_count_distinct("val").alias("values"), F.percentile_approx("val", [0.25, 0.5, 0.75], 1_000_000).alias("value_quartiles"), F.percentile_approx("idx", [0.25, 0.5, 0.75], 1_000_000).alias("index_quartiles"))
 
 
 def virtual_array(spark: SparkSession, n: int, fn: str = "sin") -> IndexedArray:
     """An array computed on access."""
-    return IndexedArray(spark.range(n).select(F.col("id").alias("idx"), getattr(F, fn)(F.col("id").cast("double")).alias("val")), n)
+    return IndexedArray(spark.range(n).select(F.col("id").alias("idx"), getattr(F, fn)(F.col("id").cast("double")).alias("val")), n, stored=True)
 
 
 def from_rows(spark: SparkSession, rows: list[tuple[int, int]], n: int, kind: str = "long") -> IndexedArray:

@@ -46,7 +46,7 @@ def read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
 def fixture(spark: SparkSession, sf_dir: str, name: str, keys: tuple[str, ...] = ()) -> IndexedArray:
     table, idx, val, agg, n = ARRAYS[name]
     df = read(spark, sf_dir, table)
-    return make_array(df, F.expr(idx), F.expr(val).cast("long"), n, keys, agg or "sum", unique=agg is None)
+    return make_array(df, F.expr(idx), F.expr(val).cast("long"), n, keys, agg or "sum", unique=agg is None, stored=idx.isidentifier())
 
 
 def fixture_sql(name: str, keys: tuple[str, ...] = ()) -> str:

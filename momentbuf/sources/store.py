@@ -6,6 +6,9 @@ table), so any store that Spark reaches will do.
 
 from __future__ import annotations
 
+import tempfile
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -21,13 +24,16 @@ def write_array(arr: IndexedArray, path: str, chunk: int = 1 << 24, fmt: str = "
 
 
 def read_array(spark: SparkSession, path: str, p: int | None = None, q: int | None = None) -> IndexedArray:
-    """The array, or the part between p and q: whole chunks are skipped by folder, others by row-group bounds."""
+    """The array, or the part between p and q: whole chunks are skipped by folder, others by row-group bounds.
+
+    Queries over the whole array prune it the same way, by the intervals they need.
+    """
     m = _read_meta(spark, path)
     df = spark.read.format(m["fmt"]).load(f"{path}/cells")
     if p is not None and q is not None:
         df = df.where(F.col("chunk").between(p // int(m["chunk"]), q // int(m["chunk"])) & F.col("idx").between(p, q))
     keys = tuple(k for k in m["keys"].split(",") if k)
-    return IndexedArray(df.select(*keys, "idx", "val"), int(m["n"]), keys)
+    return IndexedArray(df.select(*keys, "idx", "val"), int(m["n"]), keys, source=df, chunk=int(m["chunk"]), stored=True)
 
 
 def assert_clustered(df: DataFrame) -> DataFrame:
@@ -47,8 +53,11 @@ def _read_meta(spark: SparkSession, path: str) -> dict[str, str]:
 
 
 def write_buffer(df: DataFrame, path: str, **meta: object) -> None:
-    """A buffer's cells and its parameters (n, b, N, levels, mode, ...)."""
-    df.write.mode("overwrite").parquet(f"{path}/cells")
+    """A buffer's cells, clustered by position and with a folder for each level, and its parameters (n, b, N, levels, mode, ...)."""
+    at = next((c for c in ("pos", "cell", "bin") if c in df.columns), None)
+    rows = df.repartitionByRange(*[c for c in ("level", at) if c in df.columns]).sortWithinPartitions(*[c for c in ("level", at) if c in df.columns]) if at else df
+    w = rows.write.mode("overwrite")
+    (w.partitionBy("level") if "level" in df.columns else w).parquet(f"{path}/cells")
     _write_meta(df.sparkSession, path, **meta)
 
 
@@ -56,9 +65,22 @@ def read_buffer(spark: SparkSession, path: str) -> tuple[DataFrame, dict[str, st
     return spark.read.parquet(f"{path}/cells"), _read_meta(spark, path)
 
 
-def write_bucketed(df: DataFrame, table: str, column: str, buckets: int) -> None:
-    """A table whose joins on the column need no exchange."""
-    df.write.mode("overwrite").bucketBy(buckets, column).sortBy(column).saveAsTable(table)
+def shared_path(spark: SparkSession, name: str) -> str:
+    """A new folder below the one that the cluster shares (spark.checkpoint.dir). A local master may go without; a cluster may not."""
+    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
+    if not base:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that driver and executors share")
+        base = tempfile.mkdtemp(prefix="momentbuf")
+        spark.sparkContext.setCheckpointDir(base)
+    return f"{base.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+
+
+def held(df: DataFrame) -> DataFrame:
+    """Written to the shared folder and read back: later plans start from the files."""
+    path = shared_path(df.sparkSession, "held")
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
 def append_delta(deltas: DataFrame, path: str, batch_id: int) -> None:
@@ -74,3 +96,33 @@ def compact(base: DataFrame | None, deltas: DataFrame, key: list[str], value: st
     """Base cells plus all logged deltas."""
     rows = deltas.select(*key, value)
     return (rows if base is None else base.select(*key, value).unionByName(rows)).groupBy(*key).agg(F.sum(value).alias(value))
+
+
+def write_lagrange(buf, path: str) -> None:
+    """A Lagrange buffer with its parameters."""
+    write_buffer(buf.df, path, n=buf.n, b=buf.b, levels=buf.levels, M=buf.stencil.M, Mp=buf.stencil.Mp, mode=buf.mode, keys=",".join(buf.keys))
+
+
+def read_lagrange(spark: SparkSession, path: str):
+    """The buffer that write_lagrange wrote; queries push their bounds into its files."""
+    from momentbuf.functions.weights import Stencil
+    from momentbuf.operators.lagrange_buffer import LagrangeBuffer
+
+    df, m = read_buffer(spark, path)
+    return LagrangeBuffer(df, int(m["b"]), int(m["n"]), int(m["levels"]), Stencil(int(m["M"]), int(m["Mp"])), m["mode"], tuple(k for k in m["keys"].split(",") if k), stored=True)
+
+
+def hold_lagrange(buf):
+    """The buffer written to the shared folder and read back."""
+    path = shared_path(buf.df.sparkSession, "lagrange")
+    write_lagrange(buf, path)
+    return read_lagrange(buf.df.sparkSession, path)
+
+
+def hold_bins(buf):
+    """A disjoint-bin buffer written to the shared folder and read back."""
+    from dataclasses import replace
+
+    path = shared_path(buf.df.sparkSession, "bins")
+    write_buffer(buf.df, path, n=buf.n, b=buf.b)
+    return replace(buf, df=read_buffer(buf.df.sparkSession, path)[0], stored=True)

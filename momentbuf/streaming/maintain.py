@@ -50,12 +50,12 @@ def drain(df: DataFrame, name: str, mode: str = "complete") -> DataFrame:
     return df.sparkSession.table(name)
 
 
-def maintain(stream: DataFrame, path: str, n: int, b: int, order: int = 4, levels: int = 1, checkpoint: str | None = None):
+def maintain(stream: DataFrame, path: str, n: int, b: int, order: int = 4, levels: int = 1, checkpoint: str | None = None, mode: str = "exact"):
     """Log the buffer cells of every batch of updates (idx, delta); a replayed batch overwrites itself, so none counts twice."""
 
     def batch(df: DataFrame, batch_id: int) -> None:
         delta = IndexedArray(df.groupBy("idx").agg(F.sum("delta").alias("val")), n)
-        append_delta(build_lagrange(delta, b, order, levels).df, path, batch_id)
+        append_delta(build_lagrange(delta, b, order, levels, mode).df, path, batch_id)
 
     w = stream.writeStream.foreachBatch(batch).trigger(availableNow=True)
     return (w.option("checkpointLocation", checkpoint) if checkpoint else w).start()

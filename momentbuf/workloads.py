@@ -335,10 +335,12 @@ def lag_update_dag(s: SparkSession, d: str) -> DataFrame:
     return L.update_dag(s, 41, 2, Stencil.of(4), 2, 128)
 
 
-@query("SELECT CAST(4 AS BIGINT) AS offsets, CAST(0 AS BIGINT) AS at_edges")
+@query(range_sql("event_value", moment_sql(1)))
 def lag_endpoint_table(s: SparkSession, d: str) -> DataFrame:
-    t = L.endpoint_table(s, 4, Stencil.of(4))
-    return t.agg(F.count_distinct("off").alias("offsets"), F.sum((F.col("k") % 4 == 0).cast("long")).alias("at_edges"))
+    """First moments with the ends' residuals looked up in the table of all offsets and monomials."""
+    arr, buf, r = _lag(s, d, mode="double")
+    r = r.withColumn("c0", F.lit(0.0)).withColumn("c1", F.lit(8.0))  # (i - p) = 8 ((i - p) / 8)
+    return L.query_tabulated(arr, buf, r, L.endpoint_table(s, 8, Stencil.of(4)), ["c0", "c1"]).select("qid", F.round("result").cast("long").alias("result"))
 
 
 # --- approximate and progressive
