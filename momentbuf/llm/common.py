@@ -27,9 +27,11 @@ def table(spark: SparkSession, sf_dir: str, name: str, *cols: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """A new folder below the one that the cluster shares (spark.checkpoint.dir); a temporary one only where that is unset."""
+    """A new folder below the one that the cluster shares (spark.checkpoint.dir); a temporary one only where that is unset and the master is local."""
     base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not base:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that driver and executors share")
         base = tempfile.mkdtemp(prefix="momentbuf-shared")
         spark.sparkContext.setCheckpointDir(base)
     path = f"{base.rstrip('/')}/momentbuf-{uuid.uuid4().hex}"
@@ -127,6 +129,25 @@ def local_forest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     yield pa.RecordBatch.from_arrays([pa.array(ids[on]), pa.array(ids[root[on]])], names=["u", "v"])
 
 
+#: A key with more rows than this is dealt out over SALTS tasks; so many such keys at most, the largest ones, are known to the driver.
+HOT, SALTS, HOT_KEYS = 2048, 64, 1000
+
+
+def hot_keys(sizes: DataFrame, key: str, n: str) -> list:
+    """The keys with most rows, if they have more than HOT: HOT_KEYS at most."""
+    return [r[0] for r in sizes.where(F.col(n) > HOT).orderBy(F.desc(n), key).select(key).limit(HOT_KEYS).collect()]
+
+
+def salted_join(rows: DataFrame, per_key: DataFrame, key: str, by: str, hot: list) -> DataFrame:
+    """Rows joined with the one row a key has in per_key; rows of the hot keys are dealt out by a hash of column `by`."""
+    if not hot:
+        return rows.join(per_key, key)
+    is_hot = F.col(key).isin(hot)
+    left = rows.withColumn("_salt", F.when(is_hot, F.pmod(F.xxhash64(by), F.lit(SALTS)).cast("int")).otherwise(0))
+    right = per_key.withColumn("_salt", F.explode(F.when(is_hot, F.sequence(F.lit(0), F.lit(SALTS - 1))).otherwise(F.array(F.lit(0)))))
+    return left.join(right, [key, "_salt"]).drop("_salt")
+
+
 #: Edges of one partition in which components are contracted locally.
 FOREST = 1_000_000
 
@@ -153,14 +174,12 @@ def components(edges: DataFrame, a: str = "a", b: str = "b", rounds: int = 60) -
         if now == was:
             break
         was = now
+    else:
+        if parts > 1:
+            raise RuntimeError(f"components have not come to rest in {rounds} rounds")
     return e.select(F.col("u").alias("id"), F.col("v").alias("component")).union(e.select(F.col("v").alias("id"), F.col("v").alias("component")).distinct())
 
 
-def popless(x: np.ndarray) -> np.ndarray:
-    """Start of each run of equal values in a sorted array."""
-    return np.flatnonzero(np.r_[True, x[1:] != x[:-1]]) if len(x) else np.zeros(0, np.int64)
-
-
 def worker_limits() -> None:
     """One thread per Python worker: executors have their cores dealt out by Spark."""
     os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")

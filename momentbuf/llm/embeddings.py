@@ -2,14 +2,13 @@
 
 Each half of a unit vector has a codebook of its own (k-means on a bounded
 sample); a pair of centroids is a cell of the product grid, and every vector is
-listed in its cell. A vector visits every cell for which the sum of both halves'
-squared distances to the cell's borders is within a radius, which is calibrated for
-the target recall on sample vectors turned by exactly the angle of the threshold, in
-random directions. Those cells are enumerated for many vectors at once (`visits`), in
-no order of the sum: all of them are wanted, so the order can't change a link. The
-multi-sequence traversal (`multi_sequence`), which gives them one by one in growing
-order, isn't on the query's path; a test holds the two sets of cells against each other.
-Every pair that meets in a cell is verified by its cosine in double precision.
+listed in its cell. A vector visits cells by multi-sequence traversal, nearest first by
+the sum of both halves' squared distances to the cell's borders, and stops where the
+sum exceeds a radius: the one that reaches the target recall on sample vectors turned by
+exactly the angle of the threshold, in random directions. `traverse` runs the traversal
+of many vectors side by side; `multi_sequence` is the same for one, by a heap.
+Of two vectors the one in the lower cell visits the other's cell, so each pair meets
+once. Every pair that meets is verified by its cosine in double precision.
 
 Crowded cells are dealt out as blocks of members times blocks of visitors; within a
 block matches are counted and reduced to a spanning forest, never listed.
@@ -50,20 +49,34 @@ def multi_sequence(first: np.ndarray, second: np.ndarray) -> Iterator[tuple[floa
                 heapq.heappush(heap, (float(first[a[x]] + second[b[y]]), x, y))
 
 
-def visits(first: np.ndarray, second: np.ndarray, radius: float) -> tuple[np.ndarray, np.ndarray]:
-    """(row, cell) of all cells whose sum is within the radius, for many rows at once: the set that the traversal meets before its sum exceeds it, in no order of the sum."""
+def traverse(first: np.ndarray, second: np.ndarray, radius: float) -> tuple[np.ndarray, np.ndarray]:
+    """(row, cell) in the order of the multi-sequence traversal, for many rows at once: each row takes its nearest open cell until its sum exceeds the radius.
+
+    A row's frontier holds for each opened rank of the first half the next rank of the
+    second one; a step closes the smallest sum and opens the next rank behind the last one
+    opened, so only the part of the grid that is asked for is touched.
+    """
     k = second.shape[1]
+    a, b = np.argsort(first, axis=1, kind="stable"), np.argsort(second, axis=1, kind="stable")
+    one, two = np.take_along_axis(first, a, 1), np.take_along_axis(second, b, 1)
+    m = len(first)
     rows, cells = [], []
-    order = np.argsort(first, axis=1, kind="stable")
-    for rank in range(first.shape[1]):
-        i = order[:, rank]
-        left = radius - first[np.arange(len(first)), i]
-        live = np.flatnonzero(left >= 0)
+    live = np.flatnonzero(one[:, 0] + two[:, 0] <= radius) if m else np.zeros(0, np.int64)
+    at = np.zeros((m, first.shape[1]), np.int64)  # next rank of the second half, for each opened rank of the first
+    opened = np.ones(m, np.int64)
+    while len(live):
+        wide = int(opened[live].max())
+        j = at[live, :wide]
+        sums = np.where((np.arange(wide) < opened[live][:, None]) & (j < k), one[live, :wide] + np.take_along_axis(two[live], np.minimum(j, k - 1), 1), np.inf)
+        i = sums.argmin(1)
+        going = sums[np.arange(len(live)), i] <= radius
+        live, i = live[going], i[going]
         if not len(live):
             break
-        r, j = np.nonzero(second[live] <= left[live, None])
-        rows.append(live[r])
-        cells.append(i[live[r]] * k + j)
+        rows.append(live)
+        cells.append(a[live, i] * k + b[live, at[live, i]])
+        at[live, i] += 1
+        opened[live] = np.where((i == opened[live] - 1) & (opened[live] < first.shape[1]), opened[live] + 1, opened[live])
     return (np.concatenate(rows), np.concatenate(cells)) if rows else (np.zeros(0, np.int64), np.zeros(0, np.int64))
 
 
@@ -125,7 +138,16 @@ def _doubles(column: pa.Array) -> np.ndarray:
     return column.flatten().to_numpy(zero_copy_only=False).reshape(n, -1) if n else np.zeros((0, 1))
 
 
-_BLOCKS = pa.schema([("vec", pa.int64()), ("copies", pa.int64()), ("x", pa.list_(pa.float64())), ("cell", pa.int64()), ("visitor", pa.bool_())])
+def _packed(x: np.ndarray, single: bool) -> list[bytes]:
+    """Rows as bytes: of 32-bit floats where the table has such, else of doubles; nothing is rounded."""
+    return [r.tobytes() for r in x.astype(np.float32 if single else np.float64)]
+
+
+def _unpacked(column: pa.Array, single: bool) -> np.ndarray:
+    return np.frombuffer(b"".join(column.to_pylist()), np.float32 if single else np.float64).reshape(len(column), -1).astype(np.float64)
+
+
+_BLOCKS = pa.schema([("vec", pa.int64()), ("copies", pa.int64()), ("x", pa.binary()), ("cell", pa.int64()), ("visitor", pa.bool_()), ("own", pa.bool_())])
 _FOUND = pa.schema([("vec", pa.int64()), ("links", pa.int64()), ("b", pa.int64())])
 
 
@@ -145,6 +167,7 @@ def link(df: DataFrame, cosine: float = COSINE, recall: float = 0.9995, sample:
     """vec_id, n_links, component_id, kept for every row of df (vec_id, embedding)."""
     spark = df.sparkSession
     every = cut(df.select("vec_id", "embedding"))
+    single = every.schema["embedding"].dataType.simpleString() == "array<float>"
     good = usable(every).where("vec_id is not null").where(F.aggregate("x", F.lit(0.0), lambda s, v: s + v * v) > 0)
     reps = cut(good.groupBy("x").agg(F.min("vec_id").alias("vec"), F.count("*").alias("copies")))
     n = reps.count()
@@ -161,9 +184,13 @@ def link(df: DataFrame, cosine: float = COSINE, recall: float = 0.9995, sample:
                 continue
             x = _doubles(b.column("x"))
             (one, two), own = books.borders(x / np.linalg.norm(x, axis=1)[:, None])
-            row, cell = visits(one, two, books.radius)
-            for r, c, v in ((np.arange(len(x)), own, False), (row, cell, True)):
-                yield records(_BLOCKS, vec=b.column("vec").take(pa.array(r)), copies=b.column("copies").take(pa.array(r)), x=b.column("x").take(pa.array(r)), cell=c.astype(np.int64), visitor=np.full(len(r), v))
+            row, cell = traverse(one, two, books.radius)
+            upper = cell > own[row]  # the lower cell's vector visits
+            row, cell = row[upper], cell[upper]
+            blobs = pa.array(_packed(x, single), pa.binary())
+            here = np.arange(len(x))
+            for r, c, visitor, at_home in ((here, own, False, False), (here, own, True, True), (row, cell, True, False)):
+                yield records(_BLOCKS, vec=b.column("vec").take(pa.array(r)), copies=b.column("copies").take(pa.array(r)), x=blobs.take(pa.array(r)), cell=c.astype(np.int64), visitor=np.full(len(r), visitor), own=np.full(len(r), at_home))
 
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def block(rows: pa.Table) -> Iterator[pa.RecordBatch]:
@@ -171,22 +198,15 @@ def link(df: DataFrame, cosine: float = COSINE, recall: float = 0.9995, sample:
             if not len(side[0]) or not len(side[1]):
                 return
             (va, ca), (vb, cb) = (tuple(s[c].to_numpy() for c in ("vec", "copies")) for s in side)
-            xa, xb = (_doubles(s["x"].combine_chunks()) for s in side)
+            xa, xb = (_unpacked(s["x"].combine_chunks(), single) for s in side)
             na, nb = (np.linalg.norm(x, axis=1) for x in (xa, xb))
             s = (xa @ xb.T) / (na[:, None] * nb) >= cosine
-            s &= va[:, None] != vb
+            s &= ~side[0]["own"].to_numpy(zero_copy_only=False)[:, None] | (va[:, None] < vb)  # a cell's own pairs meet from both sides
             i, j = np.nonzero(s)
             if not len(i):
                 return
-            # A member that doesn't itself visit the visitor's cell is counted here, else on its own visit.
-            used_a, used_b = np.unique(i), np.unique(j)
-            _, own = books.borders(xa[used_a] / na[used_a][:, None])
-            (one, two), _ = books.borders(xb[used_b] / nb[used_b][:, None])
-            cell_a = own[np.searchsorted(used_a, i)]
-            at, k = np.searchsorted(used_b, j), len(books.books[1])
-            back = one[at, cell_a // k] + two[at, cell_a % k] <= books.radius
             links_a = np.bincount(i, cb[j], len(va)).astype(np.int64)
-            links_b = np.bincount(j[~back], ca[i[~back]], len(vb)).astype(np.int64)
+            links_b = np.bincount(j, ca[i], len(vb)).astype(np.int64)
             rows_of, cols_of = _labels(s)
             for v, n_links, lab in ((va, links_a, rows_of), (vb, links_b, cols_of)):
                 on = np.flatnonzero(lab >= 0)
@@ -207,7 +227,7 @@ def link(df: DataFrame, cosine: float = COSINE, recall: float = 0.9995, sample:
         if held:
             yield from block(pa.concat_tables(held))
 
-    met = cut(arrow_map(reps.select("vec", "copies", "x"), visit, "vec long, copies long, x array<double>, cell long, visitor boolean"))
+    met = cut(arrow_map(reps.select("vec", "copies", "x"), visit, "vec long, copies long, x binary, cell long, visitor boolean, own boolean"))
     crowd = met.groupBy("cell").agg(F.ceil(F.sum((~F.col("visitor")).cast("int")) / BLOCK).cast("int").alias("ni"), F.ceil(F.sum(F.col("visitor").cast("int")) / BLOCK).cast("int").alias("nj")).where("ni > 0 and nj > 0")
     lot = lambda n: F.pmod(F.xxhash64("vec"), F.col(n)).cast("int")
     each = lambda n: F.sequence(F.lit(0), F.col(n) - 1)

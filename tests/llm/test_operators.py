@@ -82,8 +82,27 @@ def test_multi_sequence_goes_in_order():
     a, b = r.random(6), r.random(5)
     got = list(embeddings.multi_sequence(a, b))
     assert len(got) == 30 and [s for s, _, _ in got] == sorted(s for s, _, _ in got)
-    row, cell = embeddings.visits(a[None], b[None], 0.8)
-    assert {(c // 5, c % 5) for c in cell} == {(i, j) for s, i, j in got if s <= 0.8}
+    many = r.random((40, 6)), r.random((40, 5))
+    for radius in (0.3, 0.8, 9.0):
+        row, cell = embeddings.traverse(*many, radius)
+        for x in range(40):
+            want = [(i, j) for s, i, j in embeddings.multi_sequence(many[0][x], many[1][x]) if s <= radius]
+            assert [(c // 5, c % 5) for c in cell[row == x].tolist()] == want
+
+
+def test_links_of_equal_ids_and_recall(spark):
+    r = np.random.default_rng(3)
+    base = r.normal(size=(300, 64))
+    turned = base + 0.31 * np.linalg.norm(base, axis=1)[:, None] * (lambda n: n / np.linalg.norm(n, axis=1)[:, None])(r.normal(size=base.shape))
+    rows = [(i, [float(x) for x in np.float32(v)]) for i, v in enumerate(np.r_[base, turned])]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<float>")
+    got = {x["vec_id"]: x["n_links"] for x in embeddings.link(df).collect()}
+    want = brute.links(rows)
+    there = sum(v[0] for v in want.values())
+    assert there > 200 and 0.99 * there <= sum(got.values()) <= there
+    again = spark.createDataFrame([(7, rows[0][1]), (7, rows[1][1]), (8, rows[0][1])], "vec_id long, embedding array<float>")
+    out = [(x["vec_id"], x["component_id"]) for x in embeddings.link(again).collect()]
+    assert sorted(out) == [(7, 7), (7, 7), (8, 7)]
 
 
 # --- 2 repeated strings
@@ -181,6 +200,21 @@ def test_top_k(spark):
         finally:
             topk.SHARD = keep
         assert got == {q: [(i, -s) for i, s in v] for q, v in want.items()}
+    odd = [(0, [2.0, 1.0]), (0, [1.0, 3.0]), (20, [2.0, 1.0]), (20, [2.0, 1.0]), (3, [2.0, 1.0]), (4, None), (40, [float(1 << 20), 1.0]), (60, [float(1 << 23), 0.0])]
+    num = [(i, i_d, np.floor(64 * np.array(v)).astype(int)) for i, (i_d, v) in enumerate(odd) if v is not None and max(v) < 1 << 22]
+    want_odd = sorted((a_id, rank + 1, b_id, -s) for i, a_id, a in num if a_id % 20 == 0 for rank, (s, b_id) in enumerate(sorted((-int(a @ b), b_id) for j, b_id, b in num if j != i)[:20]))
+    got_odd = sorted(tuple(x) for x in topk.search(topk.whole(spark.createDataFrame(odd, "vec_id long, embedding array<double>"))).collect())
+    assert got_odd == want_odd
+    topk.SHARD, keep = 16, topk.SHARD
+    try:  # a vector that most rows hold, and boxes that close shards
+        r2 = np.random.default_rng(4)
+        many = [(i, [1.0] * 4 if i % 3 else [float(x) for x in (r2.normal(size=4) + 20 * (i % 2)).round(2)]) for i in range(300)]
+        got_many = {}
+        for x in topk.search(topk.whole(spark.createDataFrame(many, "vec_id long, embedding array<double>"))).orderBy("query_id", "rank").collect():
+            got_many.setdefault(x["query_id"], []).append((x["vec_id"], -x["score"]))
+        assert got_many == brute.top_k(many)
+    finally:
+        topk.SHARD = keep
     few = topk.search(topk.whole(df.where("vec_id < 4"))).collect()
     assert [x["rank"] for x in few] == [1, 2, 3]
     assert topk.search(topk.whole(df.where("false"))).count() == 0
