@@ -14,10 +14,18 @@ comparisons and not their square, and a pair of different components that meets
 in any tree is still compared.
 
 Large nodes with much left to compare are of two kinds. Where documents are unlike
-on average (they share a passage) further branching parts them. Where they are alike
+on average (they share a passage) further branching parts them, from several roots of
+their own where the target recall asks for it. Where they are alike
 on average (a cloud of copies around the threshold) it would not, so such nodes are
-joined to clusters and compared exhaustively in blocks, by sketch and then on full
-sets within the task; no pairs are moved.
+joined to clusters, and the documents outside a cluster's largest component are
+compared with all of the cluster, in blocks, by sketch and then on full
+sets within the task; no pairs are moved, and a cloud with few such documents costs
+about its own size.
+
+The number of trees follows from the recall: a pair at exactly the threshold meets in a
+tree with a chance that the branching fixes (`parted`), and there are as many trees as
+leave it with fewer than two meetings in one of 100,000 cases; where nodes are
+branched on, as many roots are drawn below each as keep the miss below one in 500.
 
 Defined results: null, empty and wordless texts have no set and link with
 nothing; a text of fewer words than a shingle has its whole sequence as the one
@@ -35,12 +43,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from momentbuf.llm.common import arrow_map, components, cut, records, table
+from momentbuf.llm.common import arrow_map, components, cut, hot_keys, records, salted_join, table
 
 SHINGLE = 5
 SKETCH = 128
-TREES = 12
 MARGIN = 0.14
+#: Least share of pairs at the threshold that share two first nodes at least, and that meet whatever nodes are branched on.
+FIRST_RECALL, RECALL = 1 - 1e-5, 0.998
+FIRST_LEVELS, NEXT_LEVELS = 2, 4
 _LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
 _SPACE = np.isin(np.arange(256), [32, *range(9, 14)])
 _BASE, _INV = np.uint64(0x9E3779B97F4A7C15), np.uint64(pow(0x9E3779B97F4A7C15, -1, 1 << 64))
@@ -119,11 +129,43 @@ def descend(node: np.ndarray, row: np.ndarray, values: np.ndarray, similarity: f
     return node, row
 
 
+def parted(similarity: float, levels: int, after: float = 0.0) -> float:
+    """Chance that a pair of a similarity shares no node so many levels below one it shares; after: the chance that a shared node comes to nothing later."""
+    x = after
+    for _ in range(levels):
+        u = 1 - similarity + similarity * x
+        x = (2 - 1 / similarity) * u + (1 / similarity - 1) * u * u
+    return x
+
+
+def trees_for(similarity: float) -> int:
+    """Trees in which a pair at the threshold shares two first nodes with a chance of FIRST_RECALL."""
+    q, t = parted(similarity, FIRST_LEVELS), 2
+    while t * (1 - q) * q ** (t - 1) + q**t > 1 - FIRST_RECALL:
+        t += 1
+    return t
+
+
+def roots_for(similarity: float, trees: int, before: list[int]) -> int:
+    """Roots to draw below each node that is branched on once more, after stages that drew so many: the fewest that keep RECALL."""
+
+    def missed(stages: list[int]) -> float:
+        x = 0.0
+        for r in reversed(stages):
+            x = parted(similarity, NEXT_LEVELS, x) ** r
+        return parted(similarity, FIRST_LEVELS, x) ** trees
+
+    r = 1
+    while missed([*before, r]) > 1 - RECALL and r < 64:
+        r += 1
+    return r
+
+
 _MEMBERS = pa.schema([("node", pa.int64()), ("doc", pa.int64())])
 
 
-def _walk(df: DataFrame, similarity: float, levels: int, trees: int = 0) -> DataFrame:
-    """(node, doc) below the roots of the trees, or below the nodes that df has."""
+def _walk(df: DataFrame, similarity: float, levels: int, trees: int = 0, roots: int = 1) -> DataFrame:
+    """(node, doc) below the roots of the trees, or below so many roots of their own at each of the nodes that df has."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -135,6 +177,7 @@ def _walk(df: DataFrame, similarity: float, levels: int, trees: int = 0) -> Data
                 node, row = np.repeat(mix(np.arange(1, trees + 1, dtype=np.uint64)), len(doc)), np.tile(np.arange(len(doc)), trees)
             else:
                 node, row = b.column("node").to_numpy(zero_copy_only=False).view(np.uint64), np.arange(len(doc))
+                node, row = np.concatenate([mix(node + np.uint64(0x632BE59BD9B4E019) * np.uint64(i)) for i in range(roots)]), np.tile(row, roots)
             node, row = descend(node, row, values, similarity, levels)
             yield records(_MEMBERS, node=pa.array(node.view(np.int64)), doc=pa.array(doc[row]))
 
@@ -214,13 +257,14 @@ def _alike(nodes: DataFrame, sketches: DataFrame) -> DataFrame:
 
 
 def _exhaust(cluster: DataFrame, sketches: DataFrame, docs: DataFrame, percent: int, block: int = 512) -> DataFrame:
-    """Confirmed links (a, b) within clusters (cluster, doc, component), a spanning forest of each block's; pairs of one component are known."""
+    """Confirmed links (a, b) within clusters (cluster, doc, component, odd), a spanning forest of each block's: each odd document against all; pairs of one component are known."""
     floor = percent / 100 - MARGIN
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def compare(rows: list[tuple]) -> pa.RecordBatch:
             u, v = ([r for r in rows if r[3] == side] for side in (0, 1))
-            v = v or u
+            if not u or not v:
+                return records(_EDGES, a=[], b=[])
             full = [[np.frombuffer(r[6], np.uint64) for r in x] for x in (u, v)]
             low = [np.frombuffer(b"".join(r[5] for r in x), np.uint32).reshape(-1, SKETCH).astype(np.uint8) for x in (u, v)]
             same = np.zeros((len(u), len(v)), np.int16)
@@ -261,33 +305,40 @@ def _exhaust(cluster: DataFrame, sketches: DataFrame, docs: DataFrame, percent:
             yield compare(held)
 
     sets = sets_of(docs, cluster.select("doc").distinct(), cluster.count())
-    chunks = cluster.groupBy("cluster").agg(F.ceil(F.count("*") / block).cast("int").alias("k"))
-    own = cluster.join(chunks, "cluster").withColumn("c", F.pmod(F.xxhash64("doc"), F.col("k")).cast("int"))
-    # Chunk c meets every chunk once: as first side those from c on, as second side those before it.
-    meets = F.transform(F.sequence(F.lit(0), F.col("k") - 1), lambda x: F.struct(F.least(x, F.col("c")).alias("i"), F.greatest(x, F.col("c")).alias("j"), (x < F.col("c")).cast("int").alias("side")))
-    dealt = own.select("cluster", "doc", "component", F.inline(meets))
+    chunks = cut(cluster.groupBy("cluster").agg(F.ceil(F.count("*") / block).cast("int").alias("nj"), F.ceil(F.sum(F.col("odd").cast("int")) / block).cast("int").alias("ni"), F.count("*").alias("n")))
+    own = salted_join(cluster, chunks.drop("n"), "cluster", "doc", hot_keys(chunks, "cluster", "n"))
+    # Each chunk of odd documents (side 0) meets each chunk of all (side 1).
+    lot = lambda n: F.pmod(F.xxhash64("doc"), F.col(n)).cast("int")
+    row = lambda i, j, side: F.struct(i.cast("int").alias("i"), j.cast("int").alias("j"), F.lit(side).alias("side"))
+    as_odd = F.when(F.col("odd"), F.transform(F.sequence(F.lit(0), F.col("nj") - 1), lambda x: row(lot("ni"), x, 0))).otherwise(F.array().cast("array<struct<i:int,j:int,side:int>>"))
+    as_any = F.transform(F.sequence(F.lit(0), F.col("ni") - 1), lambda x: row(x, lot("nj"), 1))
+    dealt = own.where("ni > 0").select("cluster", "doc", "component", F.inline(F.concat(as_odd, as_any)))
     parts = max(1, int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")))
     rows = dealt.join(sketches.select("doc", "sketch"), "doc").join(sets, "doc").repartition(parts, "cluster", "i", "j").sortWithinPartitions("cluster", "i", "j", "side", "doc")
     return arrow_map(rows.select("cluster", "i", "j", "side", "component", "sketch", "shingles", "doc"), run, "a long, b long")
 
 
-def join_components(docs: DataFrame, percent: int = 85, trees: int = TREES, small: int = 4096, dense: float = 0.6) -> DataFrame:
+def join_components(docs: DataFrame, percent: int = 85, trees: int | None = None, small: int = 4096, dense: float = 0.6) -> DataFrame:
     """doc_id, n_shingles, component_id and kept of every row of docs (doc_id, text).
 
-    small: most pairs left in a node that is compared pair by pair; dense: mean similarity
+    trees: first trees, else as the recall asks; small: most pairs left in a node that is compared pair by pair; dense: mean similarity
     from which a larger node is exhausted in blocks and not branched.
     """
     similarity = percent / 100
+    enough = trees_for(similarity)
+    trees = trees or enough
+    stages: list[int] = []
     signed = cut(arrow_map(docs.select("doc_id", "text"), _sign, "doc_id long, n_shingles long, digest binary, sketch binary"))
     sets = signed.where("digest is not null and doc_id is not null")
     reps = cut(sets.groupBy("digest", "n_shingles").agg(F.min("doc_id").alias("doc"), F.first("sketch").alias("sketch")).select("doc", "n_shingles", "digest", "sketch"))
     sketches = reps.select("doc", "n_shingles", "sketch")
-    members = _walk(sketches.select("doc", "sketch"), similarity, 2, trees)
+    members = _walk(sketches.select("doc", "sketch"), similarity, FIRST_LEVELS, trees)
     edges = None
     for depth in range(SKETCH):
         members = cut(members)
-        nodes = members.groupBy("node").agg(F.count("*").alias("n"), F.min("doc").alias("pivot")).where("n > 1")
-        shared = cut(members.join(nodes, "node").select("node", "doc", "pivot"))
+        nodes = cut(members.groupBy("node").agg(F.count("*").alias("n"), F.min("doc").alias("pivot")).where("n > 1"))
+        hot = hot_keys(nodes, "node", "n")
+        shared = cut(salted_join(members, nodes, "node", "doc", hot).select("node", "doc", "pivot"))
         if edges is None:
             # One candidate for each document: of its nodes' smallest documents the one it shares most nodes with.
             star = shared.where("doc <> pivot").groupBy("doc", "pivot").agg(F.count("*").alias("k")).groupBy("doc").agg(F.max(F.struct("k", (-F.col("pivot")).alias("p"))).alias("best")).select(F.col("doc").alias("a"), (-F.col("best.p")).alias("b"))
@@ -297,31 +348,39 @@ def join_components(docs: DataFrame, percent: int = 85, trees: int = TREES, smal
         in_part = shared.join(part.withColumnRenamed("id", "doc"), "doc", "left").withColumn("component", F.coalesce("component", "doc")).select("node", "doc", "component")
         parts = in_part.groupBy("node", "component").agg(F.count("*").alias("k"))
         mixed = parts.groupBy("node").agg(F.sum("k").alias("n"), F.count("*").alias("parts"), F.max(F.struct("k", "component")).alias("main")).where("parts > 1").select("node", "n", (F.col("n") - F.col("main.k")).alias("odd"), F.col("main.component").alias("main"))
-        left = cut(in_part.join(mixed, "node"))
+        left = cut(salted_join(in_part, mixed, "node", "doc", hot))
         few = F.col("odd") * F.col("n") <= small
         near = left.where(few)
         x = near.where("component <> main").select("node", F.col("doc").alias("a"), F.col("component").alias("ca"))
         y = near.select("node", F.col("doc").alias("b"), F.col("component").alias("cb"), (F.col("component") == F.col("main")).alias("of_main"))
         pairs = x.join(y, "node").where((F.col("ca") != F.col("cb")) & (F.col("of_main") | (F.col("a") < F.col("b")))).groupBy(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).agg(F.count("*").alias("k"))
-        # A similar pair shares one tree's node with a chance above 0.7, so among the first nodes it shares two.
-        pairs = pairs.where(F.col("k") >= (2 if depth == 0 and trees >= TREES else 1))
-        edges = edges.union(confirmed(cut(_estimated(pairs, sketches, similarity).select("a", "b")), docs, percent))
         large = left.where(~few)
-        if large.isEmpty():
+        last = large.isEmpty()
+        if depth == 0 and trees >= enough:
+            # A pair at the threshold shares two of the first nodes; one of them may be a large one, which isn't counted here.
+            pairs = pairs.where("k > 1") if last else pairs.where("k > 1").union(pairs.where("k = 1").join(large.select(F.col("doc").alias("a")).distinct(), "a", "left_semi").select("a", "b", "k"))
+        edges = edges.union(confirmed(cut(_estimated(pairs, sketches, similarity).select("a", "b")), docs, percent))
+        if last:
             break
         peers = large.groupBy("node").agg(F.min_by("doc", F.xxhash64("node", "doc")).alias("peer"))
-        alike = _alike(large.join(peers, "node").select("node", "doc", "peer"), sketches)
-        judged = cut(large.join(alike, "node").join(peers, "node").select("node", "doc", "component", "peer", (F.col("alike") >= dense).alias("dense")))
+        alike = _alike(salted_join(large, peers, "node", "doc", hot).select("node", "doc", "peer"), sketches)
+        judged = cut(salted_join(large, alike.join(peers, "node"), "node", "doc", hot).select("node", "doc", "component", "peer", (F.col("alike") >= dense).alias("dense")))
         cloud = judged.where("dense")
         if not cloud.isEmpty():
             group = components(cloud.select(F.col("doc").alias("a"), F.col("peer").alias("b"))).withColumnRenamed("id", "doc").withColumnRenamed("component", "cluster")
-            whole = cut(group.join(cloud.select("doc", "component").distinct(), "doc").select("cluster", "doc", "component"))
+            whole = group.join(cloud.select("doc", "component").distinct(), "doc").select("cluster", "doc", "component")
+            main = whole.groupBy("cluster", "component").agg(F.count("*").alias("k")).groupBy("cluster").agg(F.max(F.struct("k", "component")).alias("main"), F.sum("k").alias("n"))
+            main = cut(main.select("cluster", "n", F.col("main.component").alias("main")))
+            whole = cut(salted_join(whole, main.drop("n"), "cluster", "doc", hot_keys(main, "cluster", "n")).select("cluster", "doc", "component", (F.col("component") != F.col("main")).alias("odd")))
             edges = edges.union(_exhaust(whole, sketches, docs, percent))
         edges = cut(edges)
         sparse = judged.where(~F.col("dense"))
         if sparse.isEmpty():
             break
-        members = _walk(sparse.select("node", "doc").join(sketches.select("doc", "sketch"), "doc"), similarity, 4)
+        stages.append(roots_for(similarity, trees, stages))
+        members = _walk(sparse.select("node", "doc").join(sketches.select("doc", "sketch"), "doc"), similarity, NEXT_LEVELS, roots=stages[-1])
+    else:
+        raise RuntimeError(f"nodes are still too large {SKETCH} stages down")
     part = components(edges)
     of_rep = reps.select("digest", "n_shingles", "doc").join(part.withColumnRenamed("id", "doc"), "doc", "left").select("digest", F.coalesce("component", "doc").alias("component_id"))
     out = signed.select("doc_id", "n_shingles", "digest").join(of_rep, "digest", "left")

@@ -15,13 +15,15 @@ from __future__ import annotations
 
 import hashlib
 import re
+from collections import Counter
 from collections.abc import Iterator
+from math import log2
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from momentbuf.llm.common import arrow_map, cut, records, table
+from momentbuf.llm.common import arrow_map, cut, hot_keys, records, salted_join, table
 
 #: Base patterns, with the least length of the part that counts.
 ASSIGN = re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.I | re.A)
@@ -35,7 +37,11 @@ MORE = (
     ("private", re.compile(r"-----BEGIN (?:[A-Z]+ )*PRIVATE KEY-----[^-]*-----END (?:[A-Z]+ )*PRIVATE KEY-----")),
     ("address", re.compile(r"[a-z][a-z0-9+.-]{1,20}://[^\s:/@]{1,64}:[^\s:/@]{6,128}@[A-Za-z0-9.-]+")),
 )
-_ORDER = {k: i for i, k in enumerate([*KINDS, *(k for k, _ in MORE)])}
+#: A run that looks drawn at random: so long, of small and capital letters and digits, of so many bits a character.
+RANDOM = re.compile(r"(?<![A-Za-z0-9+/_=-])[A-Za-z0-9_-]{24,512}(?![A-Za-z0-9+/_=-])")
+RANDOM_BITS = 4.0
+_DIGIT, _SMALL, _BIG = (re.compile(x) for x in ("[0-9]", "[a-z]", "[A-Z]"))
+_ORDER = {k: i for i, k in enumerate([*KINDS, *(k for k, _ in MORE), "random"])}
 _HINTS = ("_", "-", "eyJ", "://", "AIza")
 _SCHEMA = pa.schema([("rid", pa.int64()), ("doc_id", pa.int64()), ("owner", pa.string()), ("repo", pa.string()), ("found", pa.list_(pa.struct([("kind", pa.string()), ("start", pa.int64()), ("end", pa.int64()), ("value", pa.string())])))])
 _DDL = "rid long, doc_id long, owner string, repo string, found array<struct<kind:string,start:long,end:long,value:string>>"
@@ -48,8 +54,19 @@ def base_spans(text: str) -> list[tuple[str, int, int, str]]:
     return out + [("hex", m.start(), m.end(), m[0]) for m in HEX.finditer(text)]
 
 
+def bits(value: str) -> float:
+    """Bits a character, by the value's own frequencies."""
+    n = len(value)
+    return -sum(c / n * log2(c / n) for c in Counter(value).values())
+
+
 def further_spans(text: str) -> list[tuple[str, int, int, str]]:
-    return [(k, m.start(), m.end(), m[0]) for k, p in MORE for m in p.finditer(text)]
+    out = [(k, m.start(), m.end(), m[0]) for k, p in MORE for m in p.finditer(text)] if any(h in text for h in _HINTS) else []
+    for m in RANDOM.finditer(text):
+        v = m[0]
+        if _DIGIT.search(v) and _SMALL.search(v) and _BIG.search(v) and bits(v) >= RANDOM_BITS and not any(s < m.end() and m.start() < e for _, s, e, _ in out):
+            out.append(("random", m.start(), m.end(), v))
+    return out
 
 
 def _ordered(found: list) -> list:
@@ -61,7 +78,9 @@ def _scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         found = []
         for t in b.column("text").to_pylist():
             t = t or ""
-            hits = base_spans(t) + (further_spans(t) if any(h in t for h in _HINTS) else [])
+            hits = base_spans(t)
+            base = [(s, e) for _, s, e, _ in hits]
+            hits += [x for x in further_spans(t) if x[0] != "random" or not any(s < x[2] and x[1] < e for s, e in base)]
             found.append([{"kind": k, "start": s, "end": e, "value": hashlib.blake2b(v.encode("utf-8", "surrogatepass"), digest_size=16).hexdigest()} for k, s, e, v in _ordered(hits)])
         yield records(_SCHEMA, rid=b.column("rid"), doc_id=b.column("doc_id"), owner=b.column("owner"), repo=b.column("repo"), found=found)
 
@@ -92,9 +111,10 @@ def scan(docs: DataFrame, widespread: int = 3, keep: tuple[str, ...] = ()) -> Da
     if keep:
         docs = cut(docs.select(*dict.fromkeys(("doc_id", "text", "lang", "source", *keep)), F.monotonically_increasing_id().alias("rid")))
     found = cut(candidates(docs, bool(keep)))
-    own = ownership(found, widespread)
+    own = cut(ownership(found, widespread))
+    hot = hot_keys(own, "value", "uses")
     flat = found.select("rid", F.explode("found").alias("f")).select("rid", "f.*")
-    spans = flat.join(own, "value").groupBy("rid").agg(F.collect_list(F.struct("start", "kind", "end", "value", "owners", "repos", "widely")).alias("spans"))
+    spans = salted_join(flat, own, "value", "rid", hot).groupBy("rid").agg(F.collect_list(F.struct("start", "kind", "end", "value", "owners", "repos", "widely")).alias("spans"))
     rows = docs.select("rid", "doc_id", *keep) if keep else found.select("rid", "doc_id")
     return rows.join(spans, "rid", "left").drop("rid")
 

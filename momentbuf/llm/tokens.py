@@ -22,8 +22,6 @@ _ODD_BLANK = re.compile(r"\s[ ]|[ ]\s")
 #: White space besides blank and line end.
 _RARE_BLANKS = "\t\r\x0b\x0c\x1c\x1d\x1e\x1f\x85\xa0\u1680\u2000\u2001\u2002\u2003\u2004\u2005\u2006\u2007\u2008\u2009\u200a\u2028\u2029\u202f\u205f\u3000"
 _PLAIN_BLANK = re.compile(r"(?<=\S) (?=\S)")
-#: The word vocabulary's own pre-split, a fixed value; used only to count the pre-tokens of a stretch.
-_WORD_PARTS = r"'s|'t|'re|'ve|'m|'ll|'d|\p{L}+|\p{N}|[^\s\p{L}\p{N}]+"
 _JOINED = 64
 _loaded: dict = CACHES.setdefault("tokens", {})
 
@@ -57,43 +55,35 @@ class CachedEncoder:
         self.known, self.after = _Known(), _Known()
         self.special = [x.content for x in self.lib.get_added_tokens_decoder().values()]
         pieces = [self.lib.id_to_token(i) or "" for i in range(self.lib.get_vocab_size())]
-        #: Ids that open a stretch (byte level) or close a pre-token (word level).
+        #: Ids that open a stretch (byte level) or close a pre-token (word level), and how many bytes of text each id stands for.
         self.edge = np.array([x.startswith("\u0120") if blanks else x.endswith("</w>") for x in pieces])
-        if not blanks:
-            import regex
-
-            self.parts = regex.compile(_WORD_PARTS)
+        self.width = np.array([len(x) if blanks else len(x.removesuffix("</w>")) for x in pieces])
 
     def _learn(self, kept: _Known, words: set, before: str = "") -> None:
-        """The first stretches stay, for frequent ones are among them; later ones pass with their batch. Many short stretches go to the library as one text, whose ids are cut again at the stretches' edges."""
+        """The first stretches stay, for frequent ones are among them; later ones pass with their batch. Many short stretches go to the library as one text, whose ids are cut again at the stretches' edges; where a stretch's ids don't stand for its own bytes (the library changed some), it goes alone."""
         new = [w for w in words if w not in kept]
         kept.passing = {}
         into = kept if len(kept) + len(new) <= self.entries else kept.passing
-        alone = []
-        if self.blanks:
-            plain = [w for w in new if w and w.strip() is w] if before else []
-            alone = [w for w in new if not w or w.strip() is not w] if before else new
-            counts = [1] * len(plain)
+        if self.blanks and not before:
+            plain = []
         else:
-            plain, counts = [w for w in new if w], None
-            alone = [w for w in new if not w]
-            spelt = {w for w in plain for s in self.special if s in w}  # their parts aren't those of the pre-split
-            if spelt:
-                plain, alone = [w for w in plain if w not in spelt], alone + list(spelt)
+            plain = [w for w in new if w and (not self.blanks or w.strip() is w)]
+            spelt = {w for w in plain for s in self.special if s in w}
+            plain = [w for w in plain if w not in spelt] if spelt else plain
+        joined = set(plain)
+        alone = [w for w in new if w not in joined]
         for at in range(0, len(plain), _JOINED):
             block = plain[at : at + _JOINED]
-            ids = np.array(self.lib.encode_batch_fast([(before or "") + " ".join(block)], add_special_tokens=False)[0].ids, np.uint32)
-            marks = np.flatnonzero(self.edge[ids])
-            n = np.array(counts[at : at + _JOINED] if counts else [len(self.parts.findall(w.lower())) for w in block])
-            if n.sum() != len(marks):
+            ids = np.array(self.lib.encode_batch_fast([before + " ".join(block)], add_special_tokens=False)[0].ids, np.uint32)
+            # A stretch ends where the ids so far stand for as many bytes as the stretches so far, at an edge of the vocabulary's own.
+            size = self.width[ids].cumsum()
+            want = np.cumsum([len((w if self.blanks else w.lower()).encode("utf-8", "surrogatepass")) + len(before) for w in block])
+            last = np.searchsorted(size, want)
+            fits = len(size) > 0 and last[-1] == len(size) - 1 and (size[last] == want).all()
+            if not fits or not (self.edge[ids[np.r_[0, last[:-1] + 1]]].all() if self.blanks else self.edge[ids[last]].all()):
                 alone += block
                 continue
-            ends = n.cumsum()
-            if self.blanks:
-                cuts = np.r_[marks, len(ids)]
-            else:
-                cuts = np.r_[0, np.r_[-1, marks][ends] + 1]
-            raw, cuts = ids.tobytes(), (cuts * 4).tolist()
+            raw, cuts = ids.tobytes(), np.r_[0, 4 * (last + 1)].tolist()
             for i, w in enumerate(block):
                 into[w] = raw[cuts[i] : cuts[i + 1]]
         for w in alone:

@@ -33,7 +33,7 @@ from momentbuf.llm.embeddings import usable
 
 LEAF = 64
 #: Rows of a shard while there are few shards, and at most; BOXES shards' boxes at most are given to tasks (a few MB), beyond that boxes of neighbours are joined.
-SHARD, SHARD_MOST, BOXES = 4096, 1 << 18, 4096
+SHARD, SHARD_MOST, BOXES = 2048, 1 << 18, 4096
 SAMPLE = 1 << 16
 #: Components below this keep a score and a rank together in a long.
 SMALL = 1 << 17

@@ -6,8 +6,9 @@ group are swapped to each other group's term and to a neutral word; the squared
 change of the score over all swaps is added to the loss, so that a mention of a
 group moves no score and neutral mentions aren't taken for toxic ones.
 
-Training takes at most `most` labelled rows (those with the smallest hashes of
-their ids); near copies in it share one weight. Scores read the text only.
+Training takes at most `most` labelled documents (those with the smallest hashes of
+their ids; of rows that repeat an id one stands for it, and of repeated labels the
+largest counts); near copies in it share one weight. Scores read the text only.
 Defined results: null and empty texts get the intercept's score; without
 labelled rows of both classes every score is 0.
 """
@@ -28,7 +29,7 @@ from pyspark.sql import functions as F
 from momentbuf.llm.common import arrow_map, records, table
 
 THRESHOLD = 0.7
-#: Terms for identity groups, by the kind of group; the last list's words are neutral.
+#: Terms for identity groups, by the kind of group, in the corpus' four languages; a term is swapped for others of its own list.
 IDENTITY = (
     "women men woman man girls boys female male transgender nonbinary".split(),
     "gay lesbian bisexual straight queer heterosexual homosexual".split(),
@@ -36,8 +37,26 @@ IDENTITY = (
     "black white asian latino hispanic african arab european american mexican chinese indian".split(),
     "immigrant immigrants refugee refugees foreigner foreigners".split(),
     "disabled deaf blind autistic elderly old young".split(),
+    "frauen männer frau mann mädchen jungen weiblich männlich".split(),
+    "schwule lesben bisexuelle heterosexuelle homosexuelle".split(),
+    "muslime muslim christen christ juden jude hindus buddhisten atheisten katholiken".split(),
+    "schwarze weiße asiaten araber afrikaner europäer amerikaner türken chinesen inder".split(),
+    "einwanderer flüchtlinge flüchtling ausländer migranten".split(),
+    "behinderte gehörlose blinde alte junge".split(),
+    "femmes hommes femme homme filles garçons féminin masculin".split(),
+    "gays lesbiennes bisexuels hétérosexuels homosexuels".split(),
+    "musulmans musulman chrétiens chrétien juifs juif hindous bouddhistes athées catholiques".split(),
+    "noirs blancs asiatiques arabes africains européens américains mexicains chinois indiens".split(),
+    "immigrés immigré réfugiés réfugié étrangers migrants".split(),
+    "handicapés sourds aveugles vieux jeunes".split(),
+    "mujeres hombres mujer hombre niñas niños femenino masculino".split(),
+    "lesbianas bisexuales heterosexuales homosexuales".split(),
+    "musulmanes musulmán cristianos cristiano judíos judío hindúes budistas ateos católicos".split(),
+    "negros blancos asiáticos árabes africanos europeos americanos mexicanos chinos indios".split(),
+    "inmigrantes inmigrante refugiados refugiado extranjeros".split(),
+    "discapacitados sordos ciegos ancianos jóvenes".split(),
 )
-NEUTRAL = ("people", "person")
+NEUTRAL = ("people", "person", "menschen", "personen", "personnes", "gens", "personas", "gente")
 _TERMS = frozenset(x for g in IDENTITY for x in g)
 _WORD = re.compile(r"\w+")
 
@@ -193,7 +212,9 @@ def train(docs: DataFrame, labels: DataFrame, most: int = 8_000, **options: floa
     """Fit on at most `most` labelled rows that aren't held out; only their distinct words reach the driver."""
     rows = labels.where("doc_id is not null and toxic is not null").where(~held_out(F.col("doc_id"))).groupBy("doc_id").agg(F.max("toxic").cast("int").alias("toxic"))
     some = rows.orderBy(F.xxhash64("doc_id"), "doc_id").limit(most)
-    got = arrow_map(docs.select("doc_id", "text").join(F.broadcast(some), "doc_id").select("text", "toxic"), _distinct_words, "words string, toxic int").limit(2 * most).collect()
+    # Of rows that repeat an id the one with the smallest hash stands for it, so there are at most `most`.
+    texts = docs.select("doc_id", "text").join(F.broadcast(some), "doc_id").groupBy("doc_id", "toxic").agg(F.min_by("text", F.struct(F.xxhash64("text"), "text")).alias("text"))
+    got = arrow_map(texts.select("text", "toxic"), _distinct_words, "words string, toxic int").collect()
     got = sorted(got)  # whatever order tasks end in, sums are taken in the same one
     return fit([r["words"] for r in got], np.array([r["toxic"] for r in got]), **options)
 
