@@ -1,14 +1,16 @@
 """Main text of raw pages: parser events, text-to-tag ratio per line, Gaussian smoothing, threshold clustering.
 
 The standard library's parser streams events; every block element ends a line.
-A line's ratio is its visible characters over its tags (links weigh most). The
-smoothed ratios are split by a threshold between the two clusters; the clusters
-only choose the region, and every line of it stays, however short or linked.
-Structure narrows it: menus, headers, footers, sidebars, forms, scripts, styles
-and elements whose class, id or role names a notice, advert or comment never
-count; where an <article> or <main> holds content lines, the region is that
-element. Elsewhere it is the smallest element that holds the content lines, with
-the blocks around it up to the next block of links.
+A line's ratio is its visible characters over its tags (links weigh most), and
+structure is a weight on it: a line in a menu, header, footer or sidebar, or in an element
+whose class, id or role names a notice, advert or comment, counts little. The weighted
+ratios are smoothed and split by a threshold between two clusters. The clusters
+choose the region, and every plain line of it stays, however short or linked; a line
+that structure speaks against stays only if its ratio is in the upper cluster all the
+same. The region is the <article> or <main> elements that hold content lines, if most
+of the content lies in such; else the smallest element that holds the content lines, with
+the blocks around it up to the next block of links. Forms, scripts, styles and the
+like have no lines.
 
 Defined results: null or empty html, and pages without content, give an empty
 text; cut-off tags and unclosed elements are read as the parser reads them.
@@ -30,7 +32,8 @@ from momentbuf.llm.common import arrow_map, records, table
 #: Element names by role.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 BLOCK = frozenset("address article aside blockquote body caption center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr html legend li main menu nav ol optgroup option p pre section summary table tbody td tfoot th thead title tr ul".split())
-DROP = frozenset("aside audio button canvas datalist dialog footer form head iframe input label math menu nav noembed noframes noscript object option script select style svg template textarea title video".split())
+DROP = frozenset("audio button canvas datalist dialog form head iframe input label math noembed noframes noscript object option script select style svg template textarea title video".split())
+DOUBTFUL = frozenset("aside footer menu nav".split())
 CLOSES_P = BLOCK - {"body", "html"}
 #: Words of class, id and role names that mark what isn't the article.
 NOT_ARTICLE = frozenset(
@@ -42,22 +45,24 @@ NOT_ARTICLE = frozenset(
 _REGIONS = frozenset("body center div fieldset html section td".split())
 _HEADINGS = frozenset("h1 h2 h3 h4 h5 h6".split())
 _HOLDERS = frozenset(("div", "section", "ul", "ol", "dl", "table", "p", "span", "article", "li", "details", "header", "figure", "td", "center"))
+#: Weight of a ratio where structure speaks against a line.
+DOUBT = 0.05
 _NAME = re.compile(r"[A-Z]?[a-z]+|[A-Z]+")
 
 
 class _Lines(HTMLParser):
-    """Collects lines: text, tags, link characters, and the number of the <article> or <main> they lie in (0: none).
+    """Collects lines: text, tags, link characters, the number of the <article> or <main> they lie in (0: none), and whether structure speaks against them.
 
-    Up to the first of these, also their links and the numbers of the elements they lie in, outermost first.
+    Also their links and the numbers of the elements they lie in, outermost first.
     """
 
     def __init__(self) -> None:
         super().__init__(convert_charrefs=True)
-        self.lines: list[tuple[str, int, int, int]] = []
+        self.lines: list[tuple[str, int, int, int, bool]] = []
         self.within: list[tuple[int, tuple[int, ...]]] = []
         self.names: list[str] = []
-        self.open: list[tuple[str, bool, int, int]] = []
-        self.skipped = self.article = self.articles = self.links = 0
+        self.open: list[tuple[str, bool, bool, int, int]] = []
+        self.skipped = self.doubts = self.article = self.articles = self.links = 0
         self.parts: list[str] = []
         self.tags = self.linked = self.anchors = 0
 
@@ -65,26 +70,24 @@ class _Lines(HTMLParser):
         if self.parts:
             text = " ".join("".join(self.parts).split())
             if text:
-                self.lines.append((text, self.tags, self.linked, self.article))
-                if not self.articles:
-                    self.within.append((self.anchors, tuple(x[3] for x in self.open)))
+                self.lines.append((text, self.tags, self.linked, self.article, self.doubts > 0))
+                self.within.append((self.anchors, tuple(x[4] for x in self.open)))
                 self.tags = self.linked = self.anchors = 0
             self.parts = []
 
-    def _named_out(self, tag: str, attrs: list) -> bool:
-        if tag not in _HOLDERS:
-            return False
-        for k, v in attrs:
-            if k in ("class", "id", "role") and v and any(x.lower() in NOT_ARTICLE for x in _NAME.findall(v)):
-                return True
-            if k == "hidden" or (k == "aria-hidden" and v == "true"):
-                return True
-        return False
+    @staticmethod
+    def _named_out(tag: str, attrs: list) -> bool:
+        return tag in _HOLDERS and any(k in ("class", "id", "role") and v and any(x.lower() in NOT_ARTICLE for x in _NAME.findall(v)) for k, v in attrs)
+
+    @staticmethod
+    def _hidden(tag: str, attrs: list) -> bool:
+        return tag in _HOLDERS and any(k == "hidden" or (k == "aria-hidden" and v == "true") for k, v in attrs)
 
     def _pop_to(self, at: int) -> None:
         while len(self.open) > at:
-            tag, skip, before, _ = self.open.pop()
+            tag, skip, doubt, before, _ = self.open.pop()
             self.skipped -= skip
+            self.doubts -= doubt
             self.links -= tag == "a"
             if before >= 0:
                 self.article = before
@@ -106,16 +109,18 @@ class _Lines(HTMLParser):
         if tag in VOID:
             return
         inside = self.article > 0
-        skip = tag in DROP or (tag == "header" and not inside) or self._named_out(tag, attrs)
+        skip = tag in DROP or self._hidden(tag, attrs)
+        doubt = tag in DOUBTFUL or (tag == "header" and not inside) or self._named_out(tag, attrs)
         before = -1
-        if tag in ("article", "main") and not skip and not (inside and tag == "main"):
+        if tag in ("article", "main") and not skip and not doubt and not self.doubts and not (inside and tag == "main"):
             before = self.article
             if not inside:
                 self.articles += 1
                 self.article = self.articles
-        self.open.append((tag, skip, before, len(self.names)))
+        self.open.append((tag, skip, doubt, before, len(self.names)))
         self.names.append(tag)
         self.skipped += skip
+        self.doubts += doubt
         self.links += tag == "a"
 
     def handle_startendtag(self, tag: str, attrs: list) -> None:
@@ -150,10 +155,10 @@ def smoothed(ratio: np.ndarray, sigma: float) -> np.ndarray:
 
 
 def two_clusters(x: np.ndarray) -> float:
-    """Threshold halfway between the means of two clusters of numbers (iterated to rest); below all of them where they hardly differ."""
+    """Threshold halfway between the means of two clusters of numbers (iterated to rest)."""
     lo, hi = float(x.min()), float(x.max())
-    if hi <= 1.5 * lo:
-        return -1.0
+    if lo == hi:
+        return lo - 1.0
     t = (lo + hi) / 2
     for _ in range(50):
         new = (x[x <= t].mean() + x[x > t].mean()) / 2
@@ -163,8 +168,8 @@ def two_clusters(x: np.ndarray) -> float:
     return t
 
 
-def region(p: _Lines, content: np.ndarray, dense: np.ndarray, chars: np.ndarray, linked: np.ndarray) -> np.ndarray:
-    """The lines of a page without <article> or <main> that belong to its article; content: the lines that choose it, one at least;
+def region(within: list[tuple[int, tuple[int, ...]]], names: list[str], content: np.ndarray, dense: np.ndarray, chars: np.ndarray, linked: np.ndarray) -> np.ndarray:
+    """The lines that belong to the article of a page whose content lies outside <article> and <main>; content: the lines that choose it, one at least;
     dense: lines of as high a ratio before smoothing, which choose it too where they are siblings of content lines.
 
     The smallest element that holds the content lines is taken whole (of one that is
@@ -172,8 +177,8 @@ def region(p: _Lines, content: np.ndarray, dense: np.ndarray, chars: np.ndarray,
     it, then beside the elements around it, join up to the next block of links on
     either side; and where no title is among them, the last one above with what lies between.
     """
-    n, paths, names = len(chars), [w for _, w in p.within], p.names
-    anchors = np.array([k for k, _ in p.within])
+    n, paths = len(chars), [w for _, w in within]
+    anchors = np.array([k for k, _ in within])
     heading = [next((names[i] for i in reversed(w) if names[i] in _HEADINGS), "") for w in paths]
     linky = (linked > 0.8 * chars) & np.array([not h for h in heading])
     parents = {paths[i][:-1] for i in np.flatnonzero(content)}
@@ -230,26 +235,34 @@ def main_text(html: str | None, sigma: float = 1.0) -> str:
     p.feed(html or "")
     p.close()
     p.line()
-    if not p.lines:
+    doubt = np.array([x[4] for x in p.lines], bool)
+    if doubt.all():
         return ""
-    chars = np.array([len(t) for t, _, _, _ in p.lines], float)
-    linked = np.array([k for _, _, k, _ in p.lines], float)
-    ratio = np.log1p((chars - np.minimum(linked, chars)) / np.maximum(1, [n for _, n, _, _ in p.lines]))
+    chars = np.array([len(x[0]) for x in p.lines], float)
+    linked = np.array([x[2] for x in p.lines], float)
+    ratio = np.log1p((chars - np.minimum(linked, chars)) / np.maximum(1, [x[1] for x in p.lines])) * np.where(doubt, DOUBT, 1.0)
     level = smoothed(ratio, sigma)
-    threshold = two_clusters(level)
-    content = level > threshold
-    where = np.array([a for _, _, _, a in p.lines])
-    linky = linked > 0.8 * chars
-    content &= ~linky
-    if where.any():
-        inside = where > 0
-        hold = set(where[content & inside].tolist()) or {int(np.bincount(where[inside], weights=chars[inside]).argmax())}
-        keep = np.isin(where, list(hold))
+    threshold = two_clusters(np.r_[level, 0.0])  # a line of no text is always in the lower cluster
+    plain = np.flatnonzero(~doubt)
+    chars_p, linked_p, ratio_p = chars[plain], linked[plain], ratio[plain]
+    linky = linked_p > 0.8 * chars_p
+    content = (level[plain] > threshold) & ~linky
+    where = np.array([x[3] for x in p.lines])
+    inside = where[plain] > 0
+    keep = np.zeros(len(p.lines), bool)
+    if inside.any() and (not content.any() or 2 * chars_p[content & inside].sum() >= chars_p[content].sum()):
+        hold = set(where[plain][content & inside].tolist()) or {int(np.bincount(where[plain][inside], weights=chars_p[inside]).argmax())}
+        within = np.isin(where, list(hold))
+        keep[plain] = within[plain]
     elif content.any():
-        keep = region(p, content, (ratio > threshold) & ~linky, chars, linked)
+        keep[plain] = region([p.within[i] for i in plain.tolist()], p.names, content, (ratio_p > threshold) & ~linky, chars_p, linked_p)
+        at = np.flatnonzero(keep)
+        within = (np.arange(len(keep)) >= at[0]) & (np.arange(len(keep)) <= at[-1]) if len(at) else keep
     else:
-        keep = ~linky
-    return "\n".join(t for (t, _, _, _), k in zip(p.lines, keep.tolist(), strict=True) if k)
+        keep[plain] = ~linky
+        within = keep.copy()
+    keep |= doubt & within & (ratio > threshold) & (level > threshold)
+    return "\n".join(x[0] for x, k in zip(p.lines, keep.tolist(), strict=True) if k)
 
 
 _OUT = pa.schema([("page_id", pa.int64()), ("url", pa.string()), ("text", pa.string()), ("n_chars", pa.int64())])

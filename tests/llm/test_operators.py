@@ -473,3 +473,98 @@ def test_page_without_article_keeps_every_block_of_its_region():
     assert html.main_text(short) == "\n".join(["T", "by me", *[para[:400].strip()] * 5, "Bye."])
     one = f"<body>{menu}<h1>T</h1><p>{para * 3}</p><p>Bye.</p>{foot}</body>"
     assert html.main_text(one) == f"T\n{para * 3}\nBye."
+
+
+def test_pages_are_decided_by_the_clusters(spark, monkeypatch):
+    para = ("Plain words of an article that goes on for quite a while, so that there is far more text than markup. " * 3).strip()
+    menu = "".join(f"<div><span><b>Part {i}</b></span></div>" for i in range(8))  # a menu that nothing marks as one
+    teaser = "<article><h3>Other</h3><p>See</p></article>"
+    body = "<h1>A title</h1><p>by</p>" + f"<p>{para}</p>" * 4 + "<p>End.</p>"
+    pages = {
+        "div": f"<body><div>{menu}</div><div><a>x</a> <a>y</a></div><div>{body}</div><div><a>q</a> <a>r</a></div><div>{menu}</div></body>",
+        "teaser": f"<body><div>{teaser * 3}</div><div><a>x</a> <a>y</a></div><div>{body}</div><div><a>q</a> <a>r</a></div></body>",
+        "within": f"<body><article>{body}<div class='comments'><p>ok</p><p>{para[:60]}</p></div></article></body>",
+    }
+    want = "\n".join(["A title", "by", *[para] * 4, "End."])
+    assert {k: html.main_text(v) for k, v in pages.items()} == dict.fromkeys(pages, want)
+    monkeypatch.setattr(html, "two_clusters", lambda x: -1.0)
+    assert all(html.main_text(v) != want for v in pages.values())
+
+
+def test_very_long_pages_and_texts(spark):
+    page = "<article>" + "<p>word " * 60_000 + "</article>"
+    assert html.main_text(page) == "\n".join(["word"] * 60_000)
+    r = random.Random(5)
+    long = " ".join(str(r.randrange(10**6)) for _ in range(120_000))
+    docs = [(1, long), (2, long + " tail"), (3, "x " * 200_000), (4, "short")]
+    got = {x["doc_id"]: x["component_id"] for x in near_dup.join_components(frame(spark, docs)).collect()}
+    assert got == {1: 1, 2: 1, 3: 3, 4: 4}
+    out = {x["doc_id"]: x["n_removed"] for x in arrow_map(suffix_dedup.with_ranges(frame(spark, docs)), suffix_dedup._digest, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string").collect()}
+    assert out[1] == 0 and out[2] == len(long) and out[3] >= 399_000 and out[4] == 0
+
+
+def test_trees_follow_from_the_recall():
+    r = np.random.default_rng(1)
+    for s in (0.85, 0.8):
+        trees = near_dup.trees_for(s)
+        values = r.integers(0, 1 << 32, (2, 300, near_dup.SKETCH), dtype=np.uint64).astype(np.uint32)
+        same = r.random((300, near_dup.SKETCH)) < s
+        values[1][same] = values[0][same]
+        met = 0
+        for i in range(300):
+            both = []
+            for side in (0, 1):
+                node, row = near_dup.descend(np.repeat(near_dup.mix(np.arange(1, trees + 1, dtype=np.uint64)), 1), np.zeros(trees, np.int64), values[side][i : i + 1], s, 2)
+                both.append(set(node.tolist()))
+            met += len(both[0] & both[1]) >= 2
+        assert met >= 298
+        assert near_dup.roots_for(s, trees, []) <= near_dup.roots_for(s, trees, [1, 1, 1]) <= 64
+        assert near_dup.parted(s, 2) ** trees < 1e-4
+
+
+def test_cloud_with_one_odd_document_costs_its_own_size(spark, monkeypatch):
+    r = random.Random(2)
+    words = [f"w{i}" for i in range(4000)]
+    base = [r.choice(words) for _ in range(120)]
+    docs = []
+    for i in range(400):
+        docs.append((i, " ".join([*base[:-1], f"end{i}"])))
+    odd = list(base)
+    for i in (20, 50, 80, 100):
+        odd[i] = "odd"
+    docs.append((1000, " ".join(odd)))
+    seen = spark.sparkContext.accumulator(0)
+    plain = near_dup._exhaust
+
+    def counted(cluster, *args, **kw):
+        n, k = cluster.count(), cluster.where("odd").count()
+        seen.add(n * k)
+        return plain(cluster, *args, **kw)
+
+    monkeypatch.setattr(near_dup, "_exhaust", counted)
+    got = {x["doc_id"]: x["component_id"] for x in near_dup.join_components(frame(spark, docs), 85, small=64, dense=0.5).collect()}
+    assert got == {i: c for i, (_, c) in brute.near_duplicates(docs, 85).items()}
+    assert seen.value <= 3 * len(docs)
+
+
+def test_random_runs_and_hot_values(spark, monkeypatch):
+    from momentbuf.llm import common
+
+    monkeypatch.setattr(common, "HOT", 5)
+    rare, copied = "q7Zr2LmX9cTbV4nKs8HdWy3P", "mN5vB8xC2zL7kJ4hG9fD3sA6"
+    docs = [(i, f"id {copied} here") for i in range(40)] + [(50, f"key {rare}."), (51, "a" * 40), (52, f"token={rare}x")]
+    got = {x["doc_id"]: x for x in secrets.digest(secrets.scan(frame(spark, docs))).collect()}
+    assert got[50]["spans"] == f"random:4:{4 + len(rare)}" and got[3]["spans"] == "" and got[3]["n_copied"] == 1 and got[51]["spans"] == ""
+    assert got[52]["spans"].startswith("assign:0:") and "random" not in got[52]["spans"]
+
+
+def test_identity_terms_of_every_language_are_swapped():
+    for words in ({"muslime", "lesen"}, {"musulmans", "lisent"}, {"musulmanes", "leen"}, {"muslims", "read"}):
+        assert toxicity._swaps(words)
+
+
+def test_repeated_labels_and_rows(spark):
+    docs = [(i, f"w{i} " + ("vile" if i % 2 else "fine") + f" x{i % 5}") for i in range(0, 60)]
+    lab = [(i, i % 2) for i in range(60)] * 2 + [(0, 1)]
+    model = toxicity.train(frame(spark, docs + docs[:9] + [(0, "other")]), spark.createDataFrame(lab, "doc_id long, toxic int"), most=50)
+    assert model.score("vile words") > model.score("fine words")
