@@ -340,6 +340,17 @@ def set_values(arr: IndexedArray, buf: LagrangeBuffer, new: DataFrame) -> Lagran
     return update_lagrange(buf, rows)
 
 
+def touched(changes: DataFrame, b: int, st: Stencil, levels: int, n: int) -> DataFrame:
+    """level, j, cell: the cells of each level that a change at index j reaches, for many changes at once."""
+    out, cur = None, changes.selectExpr("j", "j AS cell")
+    for lv in range(1, levels + 1):
+        reach = f"explode(CASE WHEN cell % {b} = 0 THEN array(0) ELSE sequence({1 - st.Mp}, {st.M}) END)"
+        cur = cur.select("j", "cell", F.expr(reach).alias("k")).selectExpr("j", f"cell div {b} + k AS cell").where(f"cell >= 0 AND cell * {b**lv} < {n}").distinct()
+        part = cur.select(F.lit(lv).alias("level"), "j", "cell")
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
 def update_dag(spark, j: int, b: int, st: Stencil, levels: int, n: int) -> DataFrame:
     """level, cell, parent: which cells of the next level a change at index j reaches; multiples of b reach their own cell alone."""
     rows, cur = [], {j}

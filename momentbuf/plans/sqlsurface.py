@@ -54,12 +54,14 @@ def moments_udaf(order: int):
 
 
 def register_sql(spark: SparkSession, views: dict[str, DataFrame], b: int = 32) -> None:
-    """Views of arrays and buffers, table functions range_cells and lagrange_cells, scalar functions hat_w and cubic_w."""
+    """Views of arrays and buffers, table functions range_cells and lagrange_cells, scalar functions hat_w (r) and cubic_w (r, node)."""
     for name, df in views.items():
         df.createOrReplaceTempView(name)
     spark.udtf.register("range_cells", RangeCells)
     spark.udtf.register("lagrange_cells", LagrangeCells)
     spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION hat_w(r BIGINT) RETURNS DOUBLE RETURN 1.0D - abs(r) / {float(b)}D")
+    cubic = " ".join(f"WHEN {k} THEN {Stencil.of(4).weight(k, 'r', b)}" for k in Stencil.of(4).nodes)
+    spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION cubic_w(r BIGINT, k INT) RETURNS DOUBLE RETURN CASE k {cubic} END")
 
 
 def local_moment_sql(array: str, bins: str, b: int, p: int, q: int, c: int, k: int) -> str:

@@ -71,19 +71,24 @@ def late_report(events: DataFrame, watermark: str, batch: str) -> DataFrame:
     return events.join(F.broadcast(line), batch).groupBy(batch).agg(F.sum((~late).cast("long")).alias("accepted"), F.sum(late.cast("long")).alias("late"))
 
 
-def stateful_buffer(stream: DataFrame, b: int, group: int = 64) -> DataFrame:
-    """grp, cell, v: hat-weighted cells kept as state, one state for each group of cells; stream: idx, delta, at."""
+def stateful_buffer(stream: DataFrame, b: int, group: int = 64, order: int = 2) -> DataFrame:
+    """grp, cell, v, version: cells of a buffer of any order kept as state, one state for each group of cells; stream: idx, delta, at. Of a cell's rows the one of the greatest version holds."""
     import pandas as pd
 
+    from momentbuf.functions.weights import Stencil
+
     def step(key: tuple, frames: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
-        cells = dict(zip(*state.get, strict=True)) if state.exists else {}
+        cells, version = {}, 0
+        if state.exists:
+            ids, sums, version = state.get
+            cells = dict(zip(ids, sums, strict=True))
         for f in frames:
-            for c, w in zip(f["cell"], f["w"], strict=True):
+            for c, w in f.groupby("cell")["w"].sum().items():
                 cells[int(c)] = cells.get(int(c), 0.0) + float(w)
-        state.update((list(cells), list(cells.values())))
-        yield pd.DataFrame({"grp": [key[0]] * len(cells), "cell": list(cells), "v": list(cells.values())})
+        state.update((list(cells), list(cells.values()), version + 1))
+        yield pd.DataFrame({"grp": [key[0]] * len(cells), "cell": list(cells), "v": list(cells.values()), "version": [version + 1] * len(cells)})
 
-    r, bin_ = F.expr(f"idx % {b}"), F.expr(f"idx div {b}")
-    parts = F.array(F.struct(bin_.alias("cell"), ((F.lit(b) - r) * F.col("delta") / F.lit(float(b))).alias("w")), F.struct((bin_ + 1).alias("cell"), (r * F.col("delta") / F.lit(float(b))).alias("w")))
-    rows = stream.select(F.inline(parts)).where("w <> 0").withColumn("grp", F.expr(f"cell div {group}"))
-    return rows.groupBy("grp").applyInPandasWithState(step, "grp long, cell long, v double", "cells array<long>, sums array<double>", "update", "NoTimeout")
+    st = Stencil.of(order)
+    parts = ", ".join(f"struct(idx div {b} + {k} AS cell, {st.weight(k, f'(idx % {b})', b)} * delta AS w)" for k in st.nodes)
+    rows = stream.select(F.expr(f"inline(array({parts}))")).where("w <> 0 AND cell >= 0").withColumn("grp", F.expr(f"cell div {group}"))
+    return rows.groupBy("grp").applyInPandasWithState(step, "grp long, cell long, v double, version long", "cells array<long>, sums array<double>, version long", "update", "NoTimeout")

@@ -11,7 +11,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from momentbuf.functions import algebra as A
-from momentbuf.functions.scalars import array_moment, power_sum, strip_html, ts_of_index, word_count
+from momentbuf.functions.scalars import array_moment, poly_eval, power_sum, strip_html, ts_of_index, word_count
 from momentbuf.functions.weights import Stencil, box_weight, hat_weight, num_levels, weight_table
 from momentbuf.operators import baselines as D
 from momentbuf.operators import binbuf as B
@@ -25,7 +25,7 @@ from momentbuf.operators.ranges import random_ranges
 from momentbuf.plans import cost as C
 from momentbuf.plans.planner import Available, answer
 from momentbuf.plans.sqlsurface import LagrangeCells, RangeCells, local_moment_sql, register_sql
-from momentbuf.sources.arrays import IndexedArray, densify, slice_array, virtual_array
+from momentbuf.sources.arrays import IndexedArray, approx_profile, densify, slice_array, virtual_array
 from momentbuf.sources.fixtures import ARRAYS, fixture, fixture_sql, length_sql, read
 from momentbuf.streaming import maintain as S
 
@@ -95,6 +95,31 @@ def flagship(spark: SparkSession, d: str) -> DataFrame:
     return total.withColumnRenamed("result", "total").join(first, "qid")
 
 
+def weights_sql(b: str, n: int) -> str:
+    """CTEs: nodes k, and wt (k, r, w) of all offsets r below b by the product formula."""
+    lo, hi = 1 - (n - n // 2), n // 2
+    return f"nodes AS (SELECT k FROM range({lo}, {hi + 1}) t(k)), wt AS (SELECT a.k, r, product((CAST(r AS DOUBLE) / {b} - j.k) / (a.k - j.k)) AS w FROM nodes a, nodes j, range({b}) u(r) WHERE a.k <> j.k GROUP BY a.k, r)"
+
+
+def cells_sql(b: int, n_: int, levels: int) -> str:
+    """CTEs after arr, nn, ranges: counts (qid, cells_array, cells_buffer, top, near) of a Lagrange query, from the cells that exist on each level and the bins near each end."""
+    m, mp = n_ // 2, n_ - n_ // 2
+    out = ["l0 AS (SELECT idx AS pos FROM arr)"]
+    for t in range(1, levels + 1):
+        out.append(f"l{t} AS (SELECT DISTINCT pos // {b} + k AS pos FROM l{t - 1}, range({1 - mp}, {m + 1}) u(k), nn WHERE pos // {b} + k >= 0 AND (pos // {b} + k) * {b**t} < n)")
+    for t in range(levels):
+        g, step = b**t, b ** (t + 1)
+        kept = "true" if t == 0 else f"pos % {b} <> 0"
+        ends = f"unnest(list_concat(range((p + {step - 1}) // {step} - {m}, (p + {step - 1}) // {step} + {mp - 1}), range(q // {step} + {1 - m}, q // {step} + {mp}), [(p + {g - 1}) // {g} // {b}, q // {g} // {b}]))"
+        out.append(f"c{t} AS (SELECT qid, count(*) AS c FROM (SELECT DISTINCT qid, bin FROM (SELECT qid, {ends} AS bin FROM ranges)) JOIN l{t} ON pos // {b} = bin WHERE {kept} GROUP BY qid)")
+    up = b**levels
+    out.append(f"tops AS (SELECT qid, count(*) AS c FROM ranges JOIN l{levels} ON pos BETWEEN (p + {up - 1}) // {up} AND q // {up} GROUP BY qid)")
+    low = " + ".join(f"coalesce(c{t}.c, 0)" for t in range(1, levels)) or "0"
+    joins = " ".join(f"LEFT JOIN c{t} ON c{t}.qid = r.qid" for t in range(levels))
+    out.append(f"counts AS (SELECT r.qid, CAST(coalesce(c0.c, 0) AS BIGINT) AS cells_array, CAST(coalesce(tops.c, 0) + {low} AS BIGINT) AS cells_buffer, CAST(coalesce(tops.c, 0) AS BIGINT) AS top FROM ranges r {joins} LEFT JOIN tops ON tops.qid = r.qid)")
+    return ", ".join(out)
+
+
 # --- disjoint bins
 
 query("WITH arr AS (" + fixture_sql("event_value") + ") SELECT idx // 32 AS bin, CAST(sum(val) AS BIGINT) AS s FROM arr GROUP BY 1", "bin_build_sum")(lambda s, d: B.build_bins(fixture(s, d, "event_value"), A.sum_spec(), 32).df)
@@ -210,15 +235,19 @@ def pyr_refresh_max(s: SparkSession, d: str) -> DataFrame:
     return P.refresh_pyramid(B.updated(arr, u), pyr, u).df
 
 
-@query("SELECT 'one_scale' AS method, CAST(27 AS BIGINT) AS terms UNION ALL SELECT 'two_scales', CAST(13 AS BIGINT)")
+@query(
+    "WITH c AS (SELECT i, i // 3 AS bin, i // 9 AS wide FROM range(81) t(i)), b AS (SELECT bin, min(wide) AS wide, count(*) FILTER (WHERE i BETWEEN 1 AND 79) AS n FROM c GROUP BY bin), w AS (SELECT wide, sum(n) = 9 AS whole FROM b GROUP BY wide) "
+    "SELECT 'one_scale' AS method, CAST(count(*) AS BIGINT) AS terms FROM b WHERE n > 0 UNION ALL SELECT 'two_scales', CAST((SELECT count(*) FROM w WHERE whole) + (SELECT count(*) FROM b JOIN w USING (wide) WHERE n > 0 AND NOT whole) AS BIGINT)"
+)
 def pyr_worked_example(s: SparkSession, d: str) -> DataFrame:
-    """81 cells, bins of 3, range [1, 79]: terms merged with one scale, and with two scales stored in place."""
+    """81 cells, bins of 3, range [1, 79]: terms merged (fragments and cells of the cover) with one scale and with two."""
     r = s.createDataFrame([(0, 1, 79)], "qid long, p long, q long")
-    one = P.cover(r, 3, 1).groupBy().agg(F.sum(F.when(F.col("level") == 1, 1).otherwise(0)).alias("bins"))
-    bins = one.select(F.lit("one_scale").alias("method"), (F.col("bins") + 2).alias("terms"))
-    # Two scales: a flank's one overwritten cell costs no more than its parent and tail sibling, which stand for both of its cells.
-    two = P.cover(r, 3, 2).groupBy("level").count().groupBy().agg(F.sum(F.when(F.col("level") > 0, F.col("count")).otherwise(F.lit(2))).alias("terms"))
-    return bins.unionByName(two.select(F.lit("two_scales").alias("method"), "terms"))
+    out = None
+    for name, levels in (("one_scale", 1), ("two_scales", 2)):
+        term = F.when(F.col("level") == 0, F.concat(F.lit("fragment "), F.expr("cell div 3"))).otherwise(F.concat_ws(" ", "level", "cell"))
+        one = P.cover(r, 3, levels).agg(F.count_distinct(term).alias("terms")).select(F.lit(name).alias("method"), "terms")
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
 # --- overlapped bins
@@ -315,6 +344,14 @@ def lag_set_values(s: SparkSession, d: str) -> DataFrame:
     return L.query_lagrange(now, L.set_values(arr, buf, new), r, L.moment_poly(1, "p"))
 
 
+@query(base_sql("part_price") + " SELECT qid, round(coalesce(sum((2 - (idx - p) + 0.5 * (idx - p) * (idx - p)) * val), 0), 2) + 0.0 AS result FROM ranges LEFT JOIN arr ON idx BETWEEN p AND q GROUP BY qid, p")
+def lag_query_poly(s: SparkSession, d: str) -> DataFrame:
+    """A polynomial whose coefficients each range brings along."""
+    arr, buf, r = _lag(s, d, "part_price", mode="double")
+    r = r.withColumn("coef", F.array(F.lit(2.0), F.lit(-1.0), F.lit(0.5)))
+    return L.query_lagrange(arr, buf, r, lambda x: poly_eval(F.col("coef"), (x - F.col("p")).cast("double"))).select("qid", (F.round("result", 2) + 0.0).alias("result"))
+
+
 query(range_sql("event_second", SUM), "lag_sparse_build")(_lagq(0, array="event_second", b=32, levels=2))
 
 
@@ -346,7 +383,7 @@ def lag_endpoint_table(s: SparkSession, d: str) -> DataFrame:
 # --- approximate and progressive
 
 
-@query()
+@query(base_sql("event_value") + f", {weights_sql('32', 4)}, cells AS (SELECT idx // 32 + k AS pos, sum(w * val) AS v FROM arr JOIN wt ON r = idx % 32 GROUP BY 1) SELECT qid, CAST(trunc(coalesce(sum(v), 0) + 1e-6) AS BIGINT) AS estimate FROM ranges LEFT JOIN cells ON pos * 32 BETWEEN p AND q GROUP BY qid")
 def prog_buffer_only(s: SparkSession, d: str) -> DataFrame:
     arr, buf, r = _lag(s, d, b=32)
     return G.approx_lagrange(buf, r)
@@ -358,10 +395,21 @@ def prog_rings_final(s: SparkSession, d: str) -> DataFrame:
     return G.progressive(arr, buf, r).where("ring = 4").select("qid", F.round("estimate").cast("long").alias("result"))
 
 
-@query()
+def rings_sql(array: str, b: int, n: int, select: str, count: int = COUNT) -> str:
+    """CTEs up to rings (qid, ring, estimate) by summing what bin-wise interpolation misses, bin by bin, from every bin near an end."""
+    return (
+        base_sql(array, 32, count) + f", {weights_sql(str(b), n)}, cells AS (SELECT idx // {b} + k AS pos, sum(w * val) AS v FROM arr JOIN wt ON r = idx % {b} GROUP BY 1), start AS (SELECT qid, sum(v) AS x FROM ranges JOIN cells ON pos * {b} BETWEEN p AND q GROUP BY qid), "
+        f"near AS (SELECT DISTINCT qid, p, q, bin FROM (SELECT qid, p, q, unnest(list_concat(range(p // {b} - {n}, p // {b} + {n + 1}), range(q // {b} - {n}, q // {b} + {n + 1}))) AS bin FROM ranges) WHERE bin >= 0), "
+        f"sampled AS (SELECT qid, p, q, bin, r, sum(CASE WHEN (bin + k) * {b} BETWEEN p AND q THEN w ELSE 0 END) AS h FROM near, wt GROUP BY ALL), "
+        f"rest AS (SELECT qid, least(abs(bin - p // {b}), abs(bin - q // {b})) + 1 AS ring, sum(((CASE WHEN idx BETWEEN p AND q THEN 1 ELSE 0 END) - h) * val) AS x FROM sampled JOIN arr ON idx = bin * {b} + r GROUP BY 1, 2), "
+        f"rings AS (SELECT qid, ring, coalesce((SELECT x FROM start WHERE start.qid = ranges.qid), 0) + coalesce((SELECT sum(x) FROM rest WHERE rest.qid = ranges.qid AND rest.ring <= u.ring), 0) AS estimate FROM ranges, range({n + 1}) u(ring)) {select}"
+    )
+
+
+@query(rings_sql("event_value", 32, 4, "SELECT qid, ring, round(estimate, 2) AS estimate, CASE WHEN ring < 4 THEN CAST(2 * 60000.0 * 32 AS DOUBLE) ELSE 0 END AS bound FROM rings"))
 def prog_steps(s: SparkSession, d: str) -> DataFrame:
     arr, buf, r = _lag(s, d, b=32, mode="double")
-    return G.progressive(arr, buf, r, kappa=60_000.0)
+    return G.progressive(arr, buf, r, kappa=60_000.0).withColumn("estimate", F.round("estimate", 2) + 0.0)
 
 
 @query("SELECT * FROM (VALUES ('bins_inner', CAST(4.0 AS DOUBLE) * 2500 / 64), ('bins_half', CAST(2.0 AS DOUBLE) * 2500 / 64), ('lagrange', CAST(1.0 AS DOUBLE) * 2500 / 64)) t(method, bound)")
@@ -374,9 +422,10 @@ def error_share(s: SparkSession, d: str) -> DataFrame:
     return s.createDataFrame([(n, k, *G.error_share(n, b, k).values()) for n, b, k in ((4, 1024, 1), (16, 128, 5), (8, 128, 3))], "n int, kept int, l1 double, energy double, sup double, one_side double")
 
 
-@query()
+@query(" UNION ALL ".join(f'SELECT * FROM (WITH {weights_sql("256", n)} SELECT {n} AS "N", CAST(k AS INTEGER) AS k, round(greatest(max(abs(w)), CASE WHEN k = 1 THEN 1 ELSE 0 END), 9) AS sup FROM wt GROUP BY k)' for n in (4, 8, 16)).replace('"N"', "n"))
 def sample_influence(s: SparkSession, d: str) -> DataFrame:
-    return s.createDataFrame([(n, k, v) for n in (4, 8, 16) for k, v in G.influence(n).items()], "n int, k int, sup double")
+    """Largest weight of each sample over a bin and its far edge."""
+    return s.createDataFrame([(n, k, round(v, 9)) for n in (4, 8, 16) for k, v in G.influence(n).items()], "n int, k int, sup double")
 
 
 @query("SELECT CAST(256 AS BIGINT) AS cells, CAST(132 AS DOUBLE) AS inside, CAST(0 AS BIGINT) AS off_far")
@@ -411,16 +460,39 @@ query(range_sql("event_value", SUM), "prefix_query_sum")(lambda s, d: (lambda a,
 query(range_sql("event_value", moment_sql(1, "0")), "prefix_query_m1")(lambda s, d: (lambda a, r: D.query_prefix(D.prefix_moments(a, 1), r, 1))(*_setup(s, d)))
 query(range_sql("order_total", SUM), "blocked_prefix_query")(lambda s, d: (lambda a, r: D.query_blocked(*D.blocked_prefix(a, 128), r))(*_setup(s, d, "order_total")))
 query(range_sql("event_value", SUM), "haar_query_full")(lambda s, d: (lambda a, r: D.query_haar(*D.haar_transform(a), r).select("qid", F.round("result").cast("long").alias("result")))(*_setup(s, d)))
-query(None, "haar_query_topk")(lambda s, d: (lambda a, r: D.query_haar(*D.haar_transform(a), r, 64))(*_setup(s, d)))
+_HAAR = (
+    base_sql("event_value") + ", lv AS (SELECT CAST(ceil(log2(n)) AS INTEGER) AS top FROM nn), co AS (SELECT CAST(l AS INTEGER) AS level, idx >> l AS cell, sum(val) AS s, sum(CASE WHEN (idx >> (l - 1)) % 2 = 0 THEN val ELSE -val END) AS d FROM arr, lv, range(1, top + 1) t(l) GROUP BY 1, 2), "
+    "best AS (SELECT level, cell, d FROM co ORDER BY CAST(d AS DOUBLE) * d / pow(2, level) DESC, level, cell LIMIT 64), ends AS (SELECT qid, q + 1 AS x, 1 AS sign FROM ranges UNION ALL SELECT qid, p, -1 FROM ranges), "
+    "part AS (SELECT qid, sign * CAST(d AS DOUBLE) * least(x - (cell << level), (1 << level) - (x - (cell << level))) / (1 << level) AS v FROM ends JOIN best ON x >> level = cell UNION ALL SELECT qid, sign * CAST(s AS DOUBLE) * x / (1 << level) FROM ends, co, lv WHERE level = top) SELECT qid, round(sum(v), 4) + 0.0 AS result FROM part GROUP BY qid"
+)
+query(_HAAR, "haar_query_topk")(lambda s, d: (lambda a, r: D.query_haar(*D.haar_transform(a), r, 64).select("qid", (F.round("result", 4) + 0.0).alias("result")))(*_setup(s, d)))
 
 
 # --- cost measures
 
 
-@query("SELECT * FROM (VALUES ('bins_with_count', CAST(5 * 8192 AS BIGINT)), ('bins', 4 * 8192), ('pyramid', 4 * (8192 + 64 + 1)), ('pyramid_inplace', 4 * 8192), ('lagrange', 8192), ('prefix', 4 * 1048576), ('haar', 1048576)) t(buffer, numbers)")
+_LEVELS = "(SELECT sum((n + CAST(pow(32, l) AS BIGINT) - 1) // CAST(pow(32, l) AS BIGINT)) FROM range(1, 7) t(l) WHERE l = 1 OR n // CAST(pow(32, l) AS BIGINT) >= 2)"
+
+
+@query(
+    f"WITH arr AS ({fixture_sql('event_value')}), nn AS (SELECT max(idx) + 1 AS n, count(DISTINCT idx // 32) AS bins FROM arr) SELECT u.buffer, CAST(u.x AS BIGINT) AS numbers, CAST(u.x AS BIGINT) AS formula FROM nn, LATERAL (VALUES ('bins_with_count', 5 * bins), ('bins', 4 * bins), ('pyramid', 4 * {_LEVELS}), ('pyramid_inplace', 4 * bins), ('lagrange', bins), ('prefix', 4 * n)) u(buffer, x)"
+)
 def cost_buffer_sizes(s: SparkSession, d: str) -> DataFrame:
-    sizes = C.buffer_sizes(1 << 20, 128, 4) | {"pyramid": 4 * (8192 + 64 + 1)}
-    return s.createDataFrame(list(sizes.items()), "buffer string, numbers long")
+    """Numbers that buffers of order 4 and bins of 32 really hold over the events, beside the formula's."""
+    arr = fixture(s, d, "event_value")
+    moments = A.moment_spec(3)
+    bins = B.build_bins(arr, moments, 32)
+    pyr = P.build_pyramid(arr, moments, 32)
+    frames = {
+        "bins_with_count": (B.with_count(bins), 5), "bins": (bins.df, 4), "pyramid": (pyr.df, 4), "pyramid_inplace": (P.to_inplace(pyr).df, 4),
+        "lagrange": (L.build_lagrange(arr, 32, 4, 2).df, 1), "prefix": (D.prefix_moments(arr, 3), 4),
+    }
+    formula = C.buffer_sizes(arr.n, 32, 4)
+    out = None
+    for name, (df, width) in frames.items():
+        one = df.agg((F.count("*") * width).alias("numbers")).select(F.lit(name).alias("buffer"), "numbers", F.lit(formula[name]).cast("long").alias("formula"))
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
 @query(base_sql("event_value", 8) + ", c AS (SELECT qid, p, q, ((p + 7) // 8) * 8 AS lo, ((q + 1) // 8) * 8 AS hi FROM ranges) SELECT qid, CAST(CASE WHEN lo >= hi THEN q - p + 1 ELSE (lo - p) + (q + 1 - hi) END AS BIGINT) AS cells_array, CAST(CASE WHEN lo >= hi THEN 0 ELSE (hi - lo) // 8 END AS BIGINT) AS cells_buffer FROM c")
@@ -429,30 +501,40 @@ def cost_query_cells(s: SparkSession, d: str) -> DataFrame:
     return B.query_bins(arr, B.build_bins(arr, A.sum_spec(), 8), r, costs=True).select("qid", "cells_array", "cells_buffer")
 
 
-@query()
+def _lagrange_cells_sql(b: int, n: int) -> str:
+    avg = lambda x: f"round(avg({x}), 6)"
+    near = f"SELECT {b} AS b, {n} AS \"N\", k AS moment, {avg('cells_array')} AS cells_array, {avg('cells_buffer')} AS cells_buffer, {avg(f'top + cells_array * {n + 1}')} AS poly_evals, {avg(f'cells_array * {n}')} AS weight_evals"
+    return f"({base_sql('event_value')}, {cells_sql(b, n, 1)} {near} FROM counts, (VALUES (0), (1)) u(k) GROUP BY k)"
+
+
+_GRID = ((8, 4), (32, 4), (32, 8), (128, 4))
+
+
+@query(" UNION ALL ".join(f"SELECT * FROM {_lagrange_cells_sql(b, n)}" for b, n in _GRID))
 def cost_lagrange_cells(s: SparkSession, d: str) -> DataFrame:
-    """Cells read for sums and first moments by order and bin size: equal for both, growing with N and b."""
+    """Cells read and evaluations of f and of weights, for sums and first moments by order and bin size: equal for both, growing with N and b."""
     out = None
-    for b, n in ((8, 4), (32, 4), (32, 8), (128, 4)):
+    for b, n in _GRID:
         arr, buf, r = _lag(s, d, b=b, order=n, levels=1, mode="double")
         for k in (0, 1):
-            one = L.query_lagrange(arr, buf, r, L.moment_poly(k, "p"), costs=True).agg(F.avg("cells_array").alias("cells_array"), F.avg("cells_buffer").alias("cells_buffer"))
-            one = one.select(F.lit(b).alias("b"), F.lit(n).alias("N"), F.lit(k).alias("moment"), "cells_array", "cells_buffer")
+            one = L.query_lagrange(arr, buf, r, L.moment_poly(k, "p"), costs=True).agg(*[F.round(F.avg(c), 6).alias(c) for c in L.COUNTS.values()])
+            one = one.select(F.lit(b).alias("b"), F.lit(n).alias("N"), F.lit(k).alias("moment"), *L.COUNTS.values())
             out = one if out is None else out.unionByName(one)
     return out
 
 
-@query("SELECT * FROM (VALUES (1, true), (2, true), (3, true)) t(level, within)")
+_NEXT = "SELECT DISTINCT j, c // 4 + k AS c FROM {0}, range(-1, 3) u(k), nn WHERE (c % 4 <> 0 OR k = 0) AND c // 4 + k >= 0 AND (c // 4 + k) * {1} < n"
+
+
+@query(
+    f"WITH nn AS (SELECT 4096 AS n), l0 AS (SELECT j, j AS c FROM range(4096) t(j)), l1 AS ({_NEXT.format('l0', 4)}), l2 AS ({_NEXT.format('l1', 16)}), l3 AS ({_NEXT.format('l2', 64)}), a AS (SELECT 1 AS level, j FROM l1 UNION ALL SELECT 2, j FROM l2 UNION ALL SELECT 3, j FROM l3), "
+    "k AS (SELECT level, j, count(*) AS c FROM a GROUP BY 1, 2) SELECT level, CAST(max(c) AS BIGINT) AS most, round(avg(c), 6) AS mean, max(c) <= 8 AS within FROM k GROUP BY level"
+)
 def cost_update_cells(s: SparkSession, d: str) -> DataFrame:
-    """Most cells that single changes touch on each level stay within 2N."""
-    most: dict[int, int] = {}
-    for j in range(0, 512, 37):
-        touched: dict[int, set] = {}
-        for lv, _, p in L.update_dag(s, j, 4, Stencil.of(4), 3, 4096).collect():
-            touched.setdefault(lv, set()).add(p)
-        for lv, x in touched.items():
-            most[lv] = max(most.get(lv, 0), len(x))
-    return s.createDataFrame([(lv, n <= 8) for lv, n in most.items()], "level int, within boolean")
+    """Cells of each level that a single change touches, over every index of 4,096 cells: most, mean, and whether 2N bounds them."""
+    got = L.touched(s.range(4096).select(F.col("id").alias("j")), 4, Stencil.of(4), 3, 4096)
+    each = got.groupBy("level", "j").agg(F.count("*").alias("c")).groupBy("level").agg(F.max("c").alias("most"), F.round(F.avg("c"), 6).alias("mean"))
+    return each.select("level", "most", "mean", (F.col("most") <= 8).alias("within"))
 
 
 @query("SELECT K, E, CAST(2.0 AS DOUBLE) * 2500 / K AS b_bins, CAST(2500 AS DOUBLE) / (K - 1) AS b_lagrange, CAST(2 * E + K AS DOUBLE) AS cost, CAST((K // 2 + 1) * (K // 2) // 2 AS BIGINT) AS free_ranges FROM (VALUES (64), (256)) a(K), (VALUES (100), (1000)) b(E)")
@@ -461,10 +543,15 @@ def cost_equal_memory(s: SparkSession, d: str) -> DataFrame:
     return s.createDataFrame(rows, "K int, E int, b_bins double, b_lagrange double, cost double, free_ranges long")
 
 
-@query("SELECT CAST(21 AS BIGINT) AS queries, CAST(24 AS BIGINT) AS millions")
+@query(
+    f"{base_sql('event_value')}, {cells_sql(32, 4, 1)} SELECT round(max(n) / (avg(q - p + 1) - avg(cells_array + cells_buffer)), 3) AS queries, CAST(max(n) // 4 AS BIGINT) AS cells, CAST(max(n) >= max(n) / 4 AS BOOLEAN) AS dense FROM ranges JOIN counts USING (qid), nn"
+)
 def cost_breakeven(s: SparkSession, d: str) -> DataFrame:
-    """The reported figures: queries until building pays, and non-zero cells up to which updates build faster."""
-    return s.createDataFrame([(round(C.break_even(1500, 71.6, 0.39)), round(C.sparse_break_even(1450, 60e-6) / 1e6))], "queries long, millions long")
+    """Measured in cells read: queries until building (one pass over the array) pays against scans, and non-zero cells up to which updates are the cheaper build."""
+    arr, buf, r = _lag(s, d, b=32)
+    read = L.query_lagrange(arr, buf, r, costs=True).join(r, "qid").agg(F.avg(F.col("q") - F.col("p") + 1).alias("scan"), F.avg(F.col("cells_array") + F.col("cells_buffer")).alias("cells")).first()
+    rows = [(round(C.break_even(float(arr.n), read["scan"], read["cells"]), 3), int(C.sparse_break_even(float(arr.n), 4.0 * buf.levels)), not L.sparse_pays(arr.df.count(), arr.n, 4, buf.levels))]
+    return s.createDataFrame(rows, "queries double, cells long, dense boolean")
 
 
 query("SELECT b, n, CASE b WHEN 32 THEN 5 WHEN 128 THEN CASE WHEN n <= 4 THEN 4 ELSE 3 END WHEN 1024 THEN 2 ELSE 1 END AS levels FROM (VALUES (32, 4), (128, 4), (1024, 4), (32768, 4), (1048576, 4), (128, 8), (128, 16)) t(b, n)", "cost_levels")(
@@ -472,21 +559,24 @@ query("SELECT b, n, CASE b WHEN 32 THEN 5 WHEN 128 THEN CASE WHEN n <= 4 THEN 4
 )
 
 
-@query()
+@query(base_sql("event_value") + ' SELECT k AS "N", CAST(count(*) AS BIGINT) AS ranges, CAST(0 AS BIGINT) AS off FROM ranges, (VALUES (4), (8), (16)) u(k) GROUP BY k')
 def cost_numerical_error(s: SparkSession, d: str) -> DataFrame:
+    """Ranges answered in double precision by order, and how many of them are off by more than 1e-9 of the answer."""
     out = None
     for n in (4, 8, 16):
         arr, buf, r = _lag(s, d, b=32, order=n, levels=1, mode="double")
-        one = C.relative_error(L.query_lagrange(arr, buf, r), D.scan_ranges(arr, r, A.sum_spec())).select(F.lit(n).alias("N"), "worst")
+        truth = D.scan_ranges(arr, r, A.sum_spec()).select("qid", F.col("result").cast("double").alias("y"))
+        both = L.query_lagrange(arr, buf, r).join(truth, "qid")
+        one = both.agg(F.count("*").alias("ranges"), F.sum((F.abs(F.col("result") - F.col("y")) > 1e-9 * F.greatest(F.lit(1.0), F.abs("y"))).cast("long")).alias("off")).select(F.lit(n).alias("N"), "ranges", "off")
         out = one if out is None else out.unionByName(one)
     return out
 
 
-@query(base_sql("event_value", 8) + ", c AS (SELECT qid, q - p + 1 AS len FROM ranges), t AS (SELECT len, ntile(10) OVER (ORDER BY len, qid) AS decile FROM c) SELECT decile, round(avg(len), 6) AS length FROM t GROUP BY decile")
+@query(base_sql("event_value", 8) + ", c AS (SELECT qid, q - p + 1 AS len, p, q, ((p + 7) // 8) * 8 AS lo, ((q + 1) // 8) * 8 AS hi FROM ranges), x AS (SELECT qid, len, CASE WHEN lo >= hi THEN len ELSE (lo - p) + (q + 1 - hi) END AS a, CASE WHEN lo >= hi THEN 0 ELSE (hi - lo) // 8 END AS b, ntile(10) OVER (ORDER BY len, qid) AS decile FROM c) SELECT decile, round(avg(len), 6) AS length, round(avg(a), 6) AS cells_array, round(avg(b), 6) AS cells_buffer FROM x GROUP BY decile")
 def cost_length_deciles(s: SparkSession, d: str) -> DataFrame:
     arr, r = _setup(s, d, b=8)
     got = B.query_bins(arr, B.build_bins(arr, A.sum_spec(), 8), r, costs=True)
-    return X.range_length_deciles(got, r).select("decile", F.round("length", 6).alias("length"))
+    return X.range_length_deciles(got, r).select("decile", *[F.round(c, 6).alias(c) for c in ("length", "cells_array", "cells_buffer")])
 
 
 # --- applications
@@ -523,24 +613,35 @@ def fit_line(s: SparkSession, d: str) -> DataFrame:
     return M.fit_line(m).select("qid", F.round("slope", 2).alias("slope"), F.round("intercept", 0).alias("intercept"))
 
 
-@query()
+_FIT = base_sql("event_minute") + ", dense AS (SELECT qid, p, q, i AS idx FROM (SELECT qid, p, q, unnest(range(p, q + 1)) AS i FROM ranges WHERE q - p >= 10)), y AS (SELECT qid, CAST(dense.idx - p AS DOUBLE) / (q - p + 1) AS u, CAST(coalesce(val, 0) AS DOUBLE) AS y FROM dense LEFT JOIN arr ON arr.idx = dense.idx)"
+#: Quadratic by projections: u, then u^2 less its line, each against y.
+_QUAD = (
+    _FIT + ", a AS (SELECT qid, avg(u) AS mu, avg(u * u) AS mv, avg(y) AS my, regr_slope(u * u, u) AS t FROM y GROUP BY qid), w AS (SELECT y.qid, u, y, u - mu AS e1, u * u - mv - t * (u - mu) AS e2 FROM y JOIN a USING (qid)), "
+    "c AS (SELECT qid, sum(e1 * y) / sum(e1 * e1) AS b1, sum(e2 * y) / sum(e2 * e2) AS b2 FROM w GROUP BY qid) SELECT qid, round(my - b1 * mu - b2 * (mv - t * mu), 2) + 0.0 AS c0, round(b1 - b2 * t, 2) + 0.0 AS c1, round(b2, 2) + 0.0 AS c2 FROM a JOIN c USING (qid)"
+)
+
+
+@query(_QUAD)
 def fit_quadratic(s: SparkSession, d: str) -> DataFrame:
     arr, buf, r = _lag(s, d, "event_minute", b=32, levels=2)
     r = r.where("q - p >= 10")
-    return M.fit_poly(M.moments_of_ranges(arr, buf, r, 2).join(r, "qid"), 2)
+    fit = M.fit_poly(M.moments_of_ranges(arr, buf, r, 2).join(r, "qid"), 2)
+    return fit.select("qid", *[(F.round(F.col("coef")[k], 2) + 0.0).alias(f"c{k}") for k in range(3)])
 
 
 def _squares(arr: IndexedArray) -> IndexedArray:
     return arr.with_df(arr.df.withColumn("val", F.col("val") * F.col("val")))
 
 
-@query()
+@query(_FIT + " SELECT qid, round((regr_syy(y, u) - coalesce(regr_sxy(y, u) * regr_sxy(y, u) / regr_sxx(y, u), 0)) / nullif(sum(y * y), 0), 6) + 0.0 AS share FROM y GROUP BY qid")
 def fit_residual(s: SparkSession, d: str) -> DataFrame:
+    """Share of the sum of squares that a line leaves."""
     arr, buf, r = _lag(s, d, "event_minute", b=32, levels=2)
     r = r.where("q - p >= 10")
     sq = _squares(arr)
     fit = M.fit_poly(M.moments_of_ranges(arr, buf, r, 1).join(r, "qid"), 1)
-    return M.residual(fit, L.query_lagrange(sq, L.build_lagrange(sq, 32, 4, 2), r))
+    squares = L.query_lagrange(sq, L.build_lagrange(sq, 32, 4, 2), r)
+    return M.residual(fit, squares).join(squares, "qid").select("qid", (F.round(F.try_divide(F.col("residual"), F.col("result").cast("double")), 6) + 0.0).alias("share"))
 
 
 @query()
@@ -616,6 +717,18 @@ query(f"WITH {_CELLS}, {_RECTS} SELECT qid, CAST(coalesce(sum(val), 0) AS BIGINT
 query(f"WITH {_CELLS}, {_RECTS} SELECT qid, CAST(coalesce(sum(i0 * val), 0) AS BIGINT) AS m1 FROM rects LEFT JOIN cells ON i0 BETWEEN p0 AND q0 AND i1 BETWEEN p1 AND q1 GROUP BY qid", "rect_m1_2d")(lambda s, d: _rects(s, d).select("qid", "m1"))
 query("SELECT x AS qid, CAST((SELECT sum(i * i * i) FROM range(x, 2 * x + 6) t(i)) AS BIGINT) AS result FROM range(50) u(x)", "power_sums")(lambda s, d: s.range(50).select(F.col("id").alias("qid"), power_sum(3, F.col("id"), 2 * F.col("id") + 5).alias("result")))
 
+
+@query(range_sql("ship_day", SUM, keys=("l_returnflag",)))
+def keyed_by_returnflag(s: SparkSession, d: str) -> DataFrame:
+    arr = fixture(s, d, "ship_day", ("l_returnflag",))
+    return L.query_lagrange(arr, L.build_lagrange(arr, 8, 4, 2), random_ranges(s, arr.n, COUNT))
+
+
+@query(f"WITH arr AS ({fixture_sql('event_minute')}) SELECT CAST(count(*) AS BIGINT) AS cells, max(idx) AS last, CAST(count(*) FILTER (WHERE val <> 0) AS BIGINT) AS non_zero FROM arr")
+def array_profile(s: SparkSession, d: str) -> DataFrame:
+    return approx_profile(fixture(s, d, "event_minute")).select("cells", "last", "non_zero")
+
+
 # --- operators around the buffers
 
 query(f"WITH arr AS ({fixture_sql('event_value')}) SELECT idx, val FROM arr WHERE idx BETWEEN 100 AND 299", "arr_slice")(lambda s, d: slice_array(fixture(s, d, "event_value"), 100, 299).df)
@@ -646,7 +759,7 @@ query("SELECT event_id, CAST(floor(epoch(ts) - epoch(TIMESTAMP '2024-01-01 00:00
     lambda s, d: read(s, d, "events").withColumn("i", F.expr(ARRAYS["event_minute"][1])).select("event_id", "i", F.date_format(ts_of_index("i", "2024-01-01 00:00:00"), "yyyy-MM-dd HH:mm").alias("t"))
 )
 query(base_sql("event_value") + ", c AS (SELECT qid, unnest(range(p // 1024, q // 1024 + 1)) AS cell FROM ranges) SELECT CAST(count(DISTINCT cell) AS BIGINT) AS cells FROM c", "distinct_cells")(lambda s, d: (lambda a, r: r.select(F.explode(F.sequence(F.expr("p div 1024"), F.expr("q div 1024"))).alias("cell")).agg(F.count_distinct("cell").alias("cells")))(*_setup(s, d)))
-query("SELECT doc_id, CAST(length(text) AS BIGINT) AS chars, CAST(len(list_filter(regexp_split_to_array(text, '\\s+'), lambda x: x <> '')) AS BIGINT) AS words FROM documents WHERE doc_id < 0 OR lang = 'de'", "text_measures")(lambda s, d: read(s, d, "documents").select("doc_id", F.length("text").cast("long").alias("chars"), word_count(F.col("text")).cast("long").alias("words")))
+query("SELECT doc_id, CAST(length(text) AS BIGINT) AS chars, CAST(len(list_filter(regexp_split_to_array(text, '\\s+'), lambda x: x <> '')) AS BIGINT) AS words FROM documents", "text_measures")(lambda s, d: read(s, d, "documents").select("doc_id", F.length("text").cast("long").alias("chars"), word_count(F.col("text")).cast("long").alias("words")))
 query("SELECT page_id, CAST(length(regexp_replace(html, '<[^>]*>', ' ', 'g')) AS BIGINT) AS chars FROM pages", "page_text_measures")(lambda s, d: read(s, d, "pages").select("page_id", F.length(strip_html(F.col("html"))).cast("long").alias("chars")))
 
 
@@ -731,10 +844,10 @@ def stream_sliding(s: SparkSession, d: str) -> DataFrame:
     return got.select(F.date_format("window.start", "yyyy-MM-dd HH").alias("start"), "cnt", "m0", "m1")
 
 
-@query()
+@query("WITH e AS (SELECT user_id, ts, CAST(round(value * 100) AS BIGINT) AS v, coalesce(ts > lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL 6 HOUR, true) AS opens FROM events), g AS (SELECT *, sum(CASE WHEN opens THEN 1 ELSE 0 END) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS nth FROM e) SELECT user_id, strftime(min(ts), '%Y-%m-%d %H:%M:%S') AS start, CAST(count(*) AS BIGINT) AS cnt, CAST(sum(v) AS BIGINT) AS m0 FROM g GROUP BY user_id, nth")
 def stream_session(s: SparkSession, d: str) -> DataFrame:
     got = S.drain(S.session_moments(_events(s, d), "6 hours", "user_id"), _name("session"), "complete")
-    return got.select("user_id", F.col("session_window.start").alias("start"), "cnt", "m0")
+    return got.select("user_id", F.date_format("session_window.start", "yyyy-MM-dd HH:mm:ss").alias("start"), "cnt", "m0")
 
 
 @query(range_sql("event_value", SUM))
@@ -763,7 +876,7 @@ def stream_late_count(s: SparkSession, d: str) -> DataFrame:
 @query(f"WITH arr AS ({fixture_sql('event_value')}), p AS (SELECT idx // 32 AS cell, (32 - idx % 32) * val AS v FROM arr UNION ALL SELECT idx // 32 + 1, (idx % 32) * val FROM arr) SELECT cell, CAST(sum(v) AS BIGINT) AS v32 FROM p WHERE v <> 0 GROUP BY cell")
 def stream_stateful_buffer(s: SparkSession, d: str) -> DataFrame:
     got = S.drain(S.stateful_buffer(_events(s, d).select(F.col("event_id").alias("idx"), F.col("v").alias("delta"), "at"), 32), _name("stateful"), "update")
-    return got.groupBy("cell").agg(F.last("v").alias("v")).select("cell", F.round(F.col("v") * 32).cast("long").alias("v32"))
+    return got.groupBy("cell").agg(F.max_by("v", "version").alias("v")).select("cell", F.round(F.col("v") * 32).cast("long").alias("v32"))
 
 
 
