@@ -7,7 +7,7 @@ import pytest
 from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
-from momentbuf.llm import tokens
+from momentbuf.llm import tokens, toxicity
 from tests.llm import brute
 from tests.llm.conftest import frame
 
@@ -47,6 +47,56 @@ def test_stages_of_nothing(spark, sf, stage):
     assert C.STAGES[stage][1](spark, empty, sf).count() == 0
 
 
+def packed_of(rows):
+    """{(doc_id, piece): (start, length, checksum)} of (doc_id, text) rows, by the library's plain call."""
+    from tokenizers import Tokenizer
+
+    lib = Tokenizer.from_file(tokens.vocabulary("byte_bpe_50k.json"))
+    out = {}
+    for i, t in rows:
+        ids = [*lib.encode(t or "", add_special_tokens=False).ids, 2]
+        first = len(ids) % 1024 or 1024
+        for n, (a, b) in enumerate(zip([0, *range(first, len(ids), 1024)], range(first, len(ids) + 1, 1024))):
+            out[i, n] = (a, b - a, brute.crc(ids[a:b]))
+    return out
+
+
+def masked_of(text):
+    """A text with its base secrets masked, for texts without further ones."""
+    out, at = [], 0
+    for k, s, e in sorted(brute.base_secrets(text), key=lambda x: (x[1], -x[2])):
+        if s >= at:
+            out += [text[at:s], f"[{k}]"]
+        at = max(at, e)
+    return "".join([*out, text[at:]]) if out else text
+
+
+def test_toxicity_and_packing_stages(spark, sf, rows):
+    docs = frame(spark, [*rows, (1, rows[1][1])]).select(*C.COLUMNS)
+    model = toxicity.train(docs, spark.read.parquet(f"{sf}/labels.parquet"))
+    kept = sorted((x["doc_id"], x["text"] or "") for x in C.toxicity(spark, docs, sf).collect())
+    assert kept == sorted((i, t or "") for i, t in [*rows, (1, rows[1][1])] if model.score(t) < toxicity.THRESHOLD)
+    got = C.packing(spark, frame(spark, rows).select(*C.COLUMNS), sf).collect()
+    assert {(x["doc_id"], x["piece"]): (x["start"], x["length"], x["ids_crc32"]) for x in got} == packed_of(rows)
+
+
+def test_run_against_the_plain_versions_chained(spark, sf, rows, tmp_path):
+    docs = [(i, t) for i, t in rows if i < 60 or i in (60, 62, 66)] + [(100, "note password: hunter2hunter2 end"), (101, "AKIA" + "Q" * 16)]
+    docs += [(200 + i, f"vileword{i % 3} and " + " ".join(f"t{i}x{j}" for j in range(20))) for i in range(30)] + [(300 + i, " ".join(f"c{i}x{j}" for j in range(20))) for i in range(30)]
+    labels = [(200 + i, 1) for i in range(30)] + [(300 + i, 0) for i in range(30)]
+    frame(spark, docs).select(*C.COLUMNS).write.parquet(str(tmp_path / "documents.parquet"))
+    spark.createDataFrame(labels, "doc_id long, toxic int").write.parquet(str(tmp_path / "labels.parquet"))
+    model = toxicity.train(frame(spark, docs), spark.createDataFrame(labels, "doc_id long, toxic int"))
+    left = [(i, t) for i, t in docs if model.score(t) < toxicity.THRESHOLD]
+    assert {i for i, _ in docs if 300 <= i < 330} <= {i for i, _ in left} and len(left) < len(docs)
+    first = {i for i, (_, c) in brute.near_duplicates(left, 80).items() if i == c}
+    left = [(i, t) for i, t in left if i in first]
+    cleaned = brute.repeated(left)
+    left = [(i, masked_of(cleaned[i][4].decode("utf-8", "ignore"))) for i, _ in left]
+    got = {(x["doc_id"], x["piece"]): (x["start"], x["length"], x["ids_crc32"]) for x in C.run(spark, str(tmp_path)).collect()}
+    assert got == packed_of(left)
+
+
 def test_run(spark, sf):
     docs = spark.read.parquet(f"{sf}/documents.parquet")
     out = C.run(spark, sf)
