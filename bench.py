@@ -29,7 +29,7 @@ def shape(spark: SparkSession, n: int, ranges: int) -> dict:
     """One sine array held as files: seconds to scan, build, query (sum and first moment) and update, and cells read, by bin size."""
     from momentbuf.functions import algebra as A
     from momentbuf.operators.baselines import scan_ranges
-    from momentbuf.operators.lagrange_buffer import build_lagrange, moment_poly, query_lagrange, update_lagrange
+    from momentbuf.operators.lagrange_buffer import build_lagrange, delta_cells, moment_poly, query_lagrange
     from momentbuf.operators.ranges import random_ranges
     from momentbuf.sources.arrays import IndexedArray, virtual_array
 
@@ -59,7 +59,7 @@ def shape(spark: SparkSession, n: int, ranges: int) -> dict:
         row |= {"cells_array": round(c["a"], 1), "cells_buffer": round(c["c"], 1), "cells_speedup": round(length / (c["a"] + c["c"]), 1)}
         x = F.col("id")
         upd = spark.range(2000).select(((x * 2654435761 + 13) % n).alias("idx"), ((x * 31) % 200 - 100).cast("double").alias("delta"))
-        row["update_2000_s"] = timed(update_lagrange(buf, upd).df)
+        row["update_2000_s"] = timed(delta_cells(buf, upd))  # what an appended update writes
         out[f"b{b}_N{order}"] = row
         held.unpersist()
     return out
