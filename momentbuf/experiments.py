@@ -23,6 +23,7 @@ from momentbuf.operators.relational import range_length_deciles
 from momentbuf.plans import cost as C
 from momentbuf.sources.arrays import IndexedArray, density, virtual_array
 from momentbuf.sources.fixtures import fixture
+from momentbuf.sources.store import hold_lagrange, read_array, shared_path, write_array
 
 Experiment = Callable[[SparkSession, str], DataFrame]
 
@@ -101,20 +102,15 @@ def build_over_grid(spark: SparkSession, d: str, n: int = 1 << 17) -> DataFrame:
 
 def updates_over_grid(spark: SparkSession, d: str, n: int = 1 << 17, count: int = 2000) -> DataFrame:
     """Cells that an update touches (mean and most, against 2N a level) and seconds of a batch, by bin size and order."""
-    x = F.col("id")
+    x, st = F.col("id"), Stencil.of
     upd = spark.range(count).select(((x * 2654435761 + 13) % n).alias("idx"), ((x * 31) % 200 - 100).cast("double").alias("delta")).persist()
     rows = []
     for b, o in ((32, 4), (128, 4), (1024, 4), (128, 2), (128, 8), (128, 16)):
         levels = num_levels(n, b, o)
-        touched = []
-        for j in range(7, n, n // 24):
-            cur, total, st = {j}, 0, Stencil.of(o)
-            for lv in range(1, levels + 1):
-                cur = {p for i in cur for p in ([i // b] if i % b == 0 else [i // b + k for k in st.nodes]) if 0 <= p * b**lv < n}
-                total += len(cur)
-            touched.append(total)
+        cells = L.touched(upd.select(F.col("idx").alias("j")).distinct(), b, st(o), levels, n).groupBy("j").agg(F.count("*").alias("c"))
+        t = cells.agg(F.avg("c").alias("mean"), F.max("c").alias("most")).first()
         delta = IndexedArray(upd.withColumnRenamed("delta", "val").groupBy("idx").agg(F.sum("val").alias("val")), n)
-        rows.append((b, o, levels, sum(touched) / len(touched), max(touched), C.touched_cells(o, levels), seconds(L.build_lagrange(delta, b, o, levels, "double").df)))
+        rows.append((b, o, levels, t["mean"], t["most"], C.touched_cells(o, levels), seconds(L.build_lagrange(delta, b, o, levels, "double").df)))
     return spark.createDataFrame(rows, "b int, N int, levels int, touched_mean double, touched_most int, bound int, batch_s double")
 
 
@@ -137,40 +133,29 @@ def scan_comparison(spark: SparkSession, d: str) -> DataFrame:
 
 
 def disk_array(spark: SparkSession, d: str, n: int = 1 << 16) -> DataFrame:
-    """A 32-bit sine array in clustered files: answers from pruned reads, rows scanned and files touched against the whole."""
-    from momentbuf.sources.store import read_array, write_array
-
-    base = spark.conf.get("spark.checkpoint.dir", None)
-    if not base:
-        import tempfile
-
-        base = tempfile.mkdtemp(prefix="momentbuf-disk")
-    import uuid
-
-    path = f"{base.rstrip('/')}/disk-{uuid.uuid4().hex}"
+    """A 32-bit sine array in clustered files: answers of plain queries over it, rows read and files opened against the whole."""
+    path = shared_path(spark, "disk")
     write_array(virtual_array(spark, n), path, chunk=n // 16, single=True)
     whole = read_array(spark, path)
-    b = 64
-    buf = L.build_lagrange(whole, b, 4, 1, "double")
+    buf = hold_lagrange(L.build_lagrange(whole, 64, 4, 1, "double"))
+    files = C.blocks_read(whole.df)
     rows = []
     for p, q in ((1000, 50_000), (123, 4567), (30_000, 30_100)):
         r = spark.createDataFrame([(0, p, q)], "qid long, p long, q long")
-        lo = read_array(spark, path, max(0, p - 3 * b), p + 3 * b).df
-        hi = read_array(spark, path, max(0, q - 3 * b), q + 3 * b).df
-        near = lo.union(hi).distinct()
-        got = L.query_lagrange(IndexedArray(near, n), buf, r).first()["result"]
+        answer = L.query_lagrange(whole, buf, r)
         want = whole.df.where(F.col("idx").between(p, q)).agg(F.sum(F.col("val").cast("double"))).first()[0]
-        rows.append((p, q, abs(got - want) < 1e-6, near.count(), C.blocks_read(lo), C.blocks_read(whole.df)))
-    return spark.createDataFrame(rows, "p long, q long, equal boolean, rows_read long, files_near int, files_all int")
+        read = C.scan_metrics(answer, "val")
+        rows.append((p, q, abs(answer.first()["result"] - want) < 1e-6, read["rows"], read["files"], files))
+    return spark.createDataFrame(rows, "p long, q long, equal boolean, rows_read long, files_read int, files_all int")
 
 
 def sparse_and_dense(spark: SparkSession, d: str) -> DataFrame:
     """Density, seconds of both strategies, and the choice between them, for sparse and dense arrays."""
     rows = []
-    for name in ("event_minute", "event_value"):
+    for name in ("event_second", "event_minute", "event_value"):
         arr = _held(fixture(spark, d, name))
-        levels = num_levels(arr.n, 32, 4)
-        rows.append((name, density(arr), *(seconds(L.build_lagrange(arr, 32, 4, mode="double", strategy=s).df) for s in ("sparse", "dense")), arr.df.count() < arr.n / (4 * levels)))
+        pays = L.sparse_pays(arr.df.count(), arr.n, 4, num_levels(arr.n, 32, 4))
+        rows.append((name, density(arr), *(seconds(L.build_lagrange(arr, 32, 4, mode="double", strategy=s).df) for s in ("sparse", "dense")), pays))
     return spark.createDataFrame(rows, "array string, density double, sparse_s double, dense_s double, updates_pay boolean")
 
 
