@@ -28,13 +28,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from momentbuf.llm.common import arrow_map, cut, records, table
+from momentbuf.llm.common import arrow_map, cut, hot_keys, records, salted_join, table
 from momentbuf.llm.embeddings import usable
 
 LEAF = 64
 #: Rows of a shard while there are few shards, and at most; BOXES shards' boxes at most are given to tasks (a few MB), beyond that boxes of neighbours are joined.
 SHARD, SHARD_MOST, BOXES = 2048, 1 << 18, 4096
 SAMPLE = 1 << 16
+#: Queries that one task answers for a shard; a shard with more is given to several tasks.
+ASKED = 4096
 #: Components below this keep a score and a rank together in a long.
 SMALL = 1 << 17
 
@@ -151,7 +153,7 @@ def _kind(*parts: np.ndarray) -> type:
 
 
 def _search(rows: DataFrame, k: int) -> DataFrame:
-    """rows: shard, query (boolean), row, vec_id, v, least, sorted by shard with candidates first."""
+    """rows: shard, lot, query (boolean), row, vec_id, v, least, sorted by shard and lot with candidates first."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def flush(cands: list, asked: list) -> Iterator[pa.RecordBatch]:
@@ -180,7 +182,8 @@ def _search(rows: DataFrame, k: int) -> DataFrame:
         for b in batches:
             if not b.num_rows:
                 continue
-            shard, query = b.column("shard").to_numpy(), b.column("query").to_numpy(zero_copy_only=False)
+            query = b.column("query").to_numpy(zero_copy_only=False)
+            shard = b.column("shard").to_numpy().astype(np.int64) << 32 | b.column("lot").to_numpy()
             cuts = np.flatnonzero(np.r_[True, (shard[1:] != shard[:-1]) | (query[1:] != query[:-1]), True])
             for p, e in zip(cuts[:-1], cuts[1:], strict=True):
                 part = b.slice(p, e - p)
@@ -253,7 +256,15 @@ def search(vectors: DataFrame, every: int = 20, k: int = 20) -> DataFrame:
     routed = cut(_routed(kept, splits))
     queries = cut(_routed(base.where(F.col("vec_id") % every == 0), splits).withColumn("least", F.lit(lowest)))
     cands = routed.select("shard", F.lit(False).alias("query"), "row", "vec_id", "v", F.lit(lowest).alias("least"))
-    deal = lambda q: cands.union(q.select("shard", F.lit(True).alias("query"), "row", "vec_id", "v", "least")).repartition(parts, "shard").sortWithinPartitions("shard", "query", "vec_id", "row")
+
+    def deal(q: DataFrame) -> DataFrame:
+        # A shard that many queries ask for (a third may hold one vector) answers them in lots, each with the shard's candidates.
+        lots = cut(q.groupBy("shard").agg(F.count("*").alias("n")).withColumn("lots", F.ceil(F.col("n") / ASKED).cast("int")))
+        lot = F.pmod(F.xxhash64("row"), F.col("lots")).cast("int")
+        asked = salted_join(q, lots, "shard", "row", hot_keys(lots, "shard", "n")).select("shard", lot.alias("lot"), F.lit(True).alias("query"), "row", "vec_id", "v", "least")
+        given = cands.join(lots, "shard").select("shard", F.explode(F.sequence(F.lit(0), F.col("lots") - 1)).alias("lot"), "query", "row", "vec_id", "v", "least")
+        return given.union(asked).repartition(parts, "shard", "lot").sortWithinPartitions("shard", "lot", "query", "vec_id", "row")
+
     home = cut(_search(deal(queries), k))
     hits = home
     if leaves > 1:
@@ -283,7 +294,7 @@ def search(vectors: DataFrame, every: int = 20, k: int = 20) -> DataFrame:
                     yield records(schema, shard=to[on].astype(np.int32), row=b.column("row").take(take), vec_id=b.column("vec_id").take(take), v=b.column("v").take(take), least=b.column("least").take(take))
 
         dealt = arrow_map(known.select("shard", "row", "vec_id", "v", "least"), away, "shard int, row long, vec_id long, v binary, least long")
-        hits = home.union(_search(deal(dealt), k))
+        hits = home.union(_search(deal(cut(dealt)), k))
     order = Window.partitionBy("query").orderBy(F.desc("score"), "vec_id", "row")
     return hits.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 

@@ -205,8 +205,8 @@ def test_top_k(spark):
     want_odd = sorted((a_id, rank + 1, b_id, -s) for i, a_id, a in num if a_id % 20 == 0 for rank, (s, b_id) in enumerate(sorted((-int(a @ b), b_id) for j, b_id, b in num if j != i)[:20]))
     got_odd = sorted(tuple(x) for x in topk.search(topk.whole(spark.createDataFrame(odd, "vec_id long, embedding array<double>"))).collect())
     assert got_odd == want_odd
-    topk.SHARD, keep = 16, topk.SHARD
-    try:  # a vector that most rows hold, and boxes that close shards
+    topk.SHARD, topk.ASKED, keep = 16, 3, (topk.SHARD, topk.ASKED)
+    try:  # a vector that most rows hold, boxes that close shards, and shards that answer in lots
         r2 = np.random.default_rng(4)
         many = [(i, [1.0] * 4 if i % 3 else [float(x) for x in (r2.normal(size=4) + 20 * (i % 2)).round(2)]) for i in range(300)]
         got_many = {}
@@ -214,7 +214,7 @@ def test_top_k(spark):
             got_many.setdefault(x["query_id"], []).append((x["vec_id"], -x["score"]))
         assert got_many == brute.top_k(many)
     finally:
-        topk.SHARD = keep
+        topk.SHARD, topk.ASKED = keep
     few = topk.search(topk.whole(df.where("vec_id < 4"))).collect()
     assert [x["rank"] for x in few] == [1, 2, 3]
     assert topk.search(topk.whole(df.where("false"))).count() == 0
@@ -554,7 +554,7 @@ def test_random_runs_and_hot_values(spark, monkeypatch):
     rare, copied = "q7Zr2LmX9cTbV4nKs8HdWy3P", "mN5vB8xC2zL7kJ4hG9fD3sA6"
     docs = [(i, f"id {copied} here") for i in range(40)] + [(50, f"key {rare}."), (51, "a" * 40), (52, f"token={rare}x")]
     got = {x["doc_id"]: x for x in secrets.digest(secrets.scan(frame(spark, docs))).collect()}
-    assert got[50]["spans"] == f"random:4:{4 + len(rare)}" and got[3]["spans"] == "" and got[3]["n_copied"] == 1 and got[51]["spans"] == ""
+    assert got[50]["spans"] == f"random:4:{4 + len(rare)}" and got[3]["spans"] == "" and got[3]["n_copied"] == 1 and got[51]["spans"] == "hex:0:40"
     assert got[52]["spans"].startswith("assign:0:") and "random" not in got[52]["spans"]
 
 
