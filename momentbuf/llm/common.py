@@ -130,7 +130,7 @@ def local_forest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 #: A key with more rows than this is dealt out over SALTS tasks; so many such keys at most, the largest ones, are known to the driver.
-HOT, SALTS, HOT_KEYS = 2048, 64, 1000
+HOT, SALTS, HOT_KEYS = 1024, 64, 1000
 
 
 def hot_keys(sizes: DataFrame, key: str, n: str) -> list:
@@ -148,6 +148,11 @@ def salted_join(rows: DataFrame, per_key: DataFrame, key: str, by: str, hot: lis
     return left.join(right, [key, "_salt"]).drop("_salt")
 
 
+def spread_join(rows: DataFrame, per_key: DataFrame, key: str, by: str) -> DataFrame:
+    """salted_join whose hot keys are counted here; rows must be a written frame, or one made from it by joins that keep its columns."""
+    return salted_join(rows, per_key, key, by, hot_keys(rows.groupBy(key).agg(F.count("*").alias("n")), key, "n"))
+
+
 #: Edges of one partition in which components are contracted locally.
 FOREST = 1_000_000
 

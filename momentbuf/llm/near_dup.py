@@ -43,7 +43,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from momentbuf.llm.common import arrow_map, components, cut, hot_keys, records, salted_join, table
+from momentbuf.llm.common import arrow_map, components, cut, hot_keys, records, salted_join, spread_join, table
 
 SHINGLE = 5
 SKETCH = 128
@@ -199,7 +199,8 @@ def _estimated(pairs: DataFrame, reps: DataFrame, similarity: float) -> DataFram
                 yield records(_PAIRS, a=x.column("a").filter(pa.array(keep)), b=x.column("b").filter(pa.array(keep)), like=like[keep])
 
     one = lambda s: reps.select(F.col("doc").alias(s), F.col("sketch").alias(f"s{s}"), F.col("n_shingles").alias(f"n{s}"))
-    both = pairs.select("a", "b").join(one("a"), "a").join(one("b"), "b")
+    pairs = cut(pairs.select("a", "b"))
+    both = spread_join(pairs, one("b"), "b", "a").join(one("a"), "a")
     return arrow_map(both.where(F.least("na", "nb") >= F.greatest("na", "nb") * (similarity - 1e-9)).select("a", "b", "sa", "sb"), run, "a long, b long, like double")
 
 
@@ -240,7 +241,7 @@ def confirmed(pairs: DataFrame, docs: DataFrame, percent: int) -> DataFrame:
         return pairs.select("a", "b")
     sets = sets_of(docs, pairs.select(F.col("a").alias("doc")).union(pairs.select(F.col("b").alias("doc"))).distinct(), 2 * n)
     one = lambda s: sets.select(F.col("doc").alias(s), F.col("shingles").alias(f"h{s}"))
-    return arrow_map(pairs.select("a", "b").join(one("a"), "a").join(one("b"), "b").select("a", "b", "ha", "hb"), run, "a long, b long")
+    return arrow_map(spread_join(pairs.select("a", "b"), one("b"), "b", "a").join(one("a"), "a").select("a", "b", "ha", "hb"), run, "a long, b long")
 
 
 def _alike(nodes: DataFrame, sketches: DataFrame) -> DataFrame:
@@ -252,7 +253,8 @@ def _alike(nodes: DataFrame, sketches: DataFrame) -> DataFrame:
                 u, v = (np.frombuffer(b"".join(x.column(c).to_pylist()), np.uint32).reshape(-1, SKETCH) for c in ("sketch", "other"))
                 yield pa.RecordBatch.from_arrays([x.column("node"), pa.array((u == v).mean(axis=1))], names=["node", "like"])
 
-    both = nodes.join(sketches.select("doc", "sketch"), "doc").join(sketches.select(F.col("doc").alias("peer"), F.col("sketch").alias("other")), "peer")
+    nodes = cut(nodes)
+    both = spread_join(nodes, sketches.select(F.col("doc").alias("peer"), F.col("sketch").alias("other")), "peer", "doc").join(sketches.select("doc", "sketch"), "doc")
     return arrow_map(both.select("node", "sketch", "other"), run, "node long, like double").groupBy("node").agg(F.avg("like").alias("alike"))
 
 
