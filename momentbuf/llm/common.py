@@ -129,28 +129,33 @@ def local_forest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     yield pa.RecordBatch.from_arrays([pa.array(ids[on]), pa.array(ids[root[on]])], names=["u", "v"])
 
 
-#: A key with more rows than this is dealt out over SALTS tasks; so many such keys at most, the largest ones, are known to the driver.
-HOT, SALTS, HOT_KEYS = 1024, 64, 1000
+#: A key with more rows than HOT is dealt out, in parts of about HOT rows and MOST_SALTS at most; so many such keys, the largest ones, are known to the driver.
+HOT, MOST_SALTS, HOT_KEYS = 1024, 1 << 14, 1000
 
 
-def hot_keys(sizes: DataFrame, key: str, n: str) -> list:
-    """The keys with most rows, if they have more than HOT: HOT_KEYS at most."""
-    return [r[0] for r in sizes.where(F.col(n) > HOT).orderBy(F.desc(n), key).select(key).limit(HOT_KEYS).collect()]
+def hot_keys(sizes: DataFrame, key: str, n: str) -> dict[int, list]:
+    """The keys with most rows, if they have more than HOT, by the number of parts they are dealt into (a power of two): HOT_KEYS at most."""
+    parts: dict[int, list] = {}
+    for k, rows in sizes.where(F.col(n) > HOT).orderBy(F.desc(n), key).select(key, n).limit(HOT_KEYS).collect():
+        parts.setdefault(min(MOST_SALTS, 1 << (-(-rows // HOT) - 1).bit_length()), []).append(k)
+    return parts
 
 
-def salted_join(rows: DataFrame, per_key: DataFrame, key: str, by: str, hot: list) -> DataFrame:
-    """Rows joined with the one row a key has in per_key; rows of the hot keys are dealt out by a hash of column `by`."""
+def salted_join(rows: DataFrame, per_key: DataFrame, key: str, by: str, hot: dict[int, list]) -> DataFrame:
+    """Rows joined with the one row a key has in per_key; rows of the hot keys are dealt out by a hash of column `by`, and per_key's row is copied once a part."""
     if not hot:
         return rows.join(per_key, key)
-    is_hot = F.col(key).isin(hot)
-    left = rows.withColumn("_salt", F.when(is_hot, F.pmod(F.xxhash64(by), F.lit(SALTS)).cast("int")).otherwise(0))
-    right = per_key.withColumn("_salt", F.explode(F.when(is_hot, F.sequence(F.lit(0), F.lit(SALTS - 1))).otherwise(F.array(F.lit(0)))))
+    parts = F.lit(1)
+    for n, keys in hot.items():
+        parts = F.when(F.col(key).isin(keys), n).otherwise(parts)
+    left = rows.withColumn("_salt", F.pmod(F.xxhash64(by), parts).cast("int"))
+    right = per_key.withColumn("_salt", F.explode(F.sequence(F.lit(0), parts - 1)))
     return left.join(right, [key, "_salt"]).drop("_salt")
 
 
-def spread_join(rows: DataFrame, per_key: DataFrame, key: str, by: str) -> DataFrame:
-    """salted_join whose hot keys are counted here; rows must be a written frame, or one made from it by joins that keep its columns."""
-    return salted_join(rows, per_key, key, by, hot_keys(rows.groupBy(key).agg(F.count("*").alias("n")), key, "n"))
+def spread_join(rows: DataFrame, per_key: DataFrame, key: str, by: str, counted: DataFrame | None = None) -> DataFrame:
+    """salted_join whose hot keys are counted here, in rows or in another (written) frame that holds a row for each of theirs."""
+    return salted_join(rows, per_key, key, by, hot_keys((rows if counted is None else counted).groupBy(key).agg(F.count("*").alias("n")), key, "n"))
 
 
 #: Edges of one partition in which components are contracted locally.

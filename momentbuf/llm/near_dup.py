@@ -200,7 +200,7 @@ def _estimated(pairs: DataFrame, reps: DataFrame, similarity: float) -> DataFram
 
     one = lambda s: reps.select(F.col("doc").alias(s), F.col("sketch").alias(f"s{s}"), F.col("n_shingles").alias(f"n{s}"))
     pairs = cut(pairs.select("a", "b"))
-    both = spread_join(pairs, one("b"), "b", "a").join(one("a"), "a")
+    both = spread_join(spread_join(pairs, one("b"), "b", "a"), one("a"), "a", "b", counted=pairs)
     return arrow_map(both.where(F.least("na", "nb") >= F.greatest("na", "nb") * (similarity - 1e-9)).select("a", "b", "sa", "sb"), run, "a long, b long, like double")
 
 
@@ -241,7 +241,8 @@ def confirmed(pairs: DataFrame, docs: DataFrame, percent: int) -> DataFrame:
         return pairs.select("a", "b")
     sets = sets_of(docs, pairs.select(F.col("a").alias("doc")).union(pairs.select(F.col("b").alias("doc"))).distinct(), 2 * n)
     one = lambda s: sets.select(F.col("doc").alias(s), F.col("shingles").alias(f"h{s}"))
-    return arrow_map(spread_join(pairs.select("a", "b"), one("b"), "b", "a").join(one("a"), "a").select("a", "b", "ha", "hb"), run, "a long, b long")
+    both = spread_join(spread_join(pairs.select("a", "b"), one("b"), "b", "a"), one("a"), "a", "b", counted=pairs)
+    return arrow_map(both.select("a", "b", "ha", "hb"), run, "a long, b long")
 
 
 def _alike(nodes: DataFrame, sketches: DataFrame) -> DataFrame:
