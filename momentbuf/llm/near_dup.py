@@ -102,6 +102,26 @@ def sketch(s: np.ndarray) -> np.ndarray:
     return (low >> np.uint64(32)).astype(np.uint32)
 
 
+def planes(values: np.ndarray) -> bytes:
+    """A sketch by bytes of equal weight: the lowest byte of every value first. Estimates read those alone (see LOW), walks all."""
+    return values.astype("<u4").view(np.uint8).reshape(-1, 4).T.tobytes()
+
+
+def unplaned(column: pa.Array) -> np.ndarray:
+    """The rows of minwise values that planes has packed."""
+    packed = np.frombuffer(b"".join(column.to_pylist()), np.uint8).reshape(-1, 4, SKETCH)
+    return np.ascontiguousarray(packed.transpose(0, 2, 1)).view("<u4").reshape(-1, SKETCH)
+
+
+def lows(column: pa.Array) -> np.ndarray:
+    """The rows of lowest bytes of minwise values."""
+    return np.frombuffer(b"".join(column.to_pylist()), np.uint8).reshape(-1, SKETCH)
+
+
+#: The lowest bytes of a sketch, a quarter of it: equal values have equal bytes, so an estimate from them is never lower, and higher by a 256th of the rest.
+LOW = f"substring(sketch, 1, {SKETCH})"
+
+
 _SIGNED = pa.schema([("doc_id", pa.int64()), ("n_shingles", pa.int64()), ("digest", pa.binary()), ("sketch", pa.binary())])
 
 
@@ -112,7 +132,7 @@ def _sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             s = shingles(t)
             n.append(len(s))
             digest.append(hashlib.blake2b(s.tobytes(), digest_size=16).digest() if len(s) else None)
-            values.append(sketch(s).tobytes() if len(s) else None)
+            values.append(planes(sketch(s)) if len(s) else None)
         yield records(_SIGNED, doc_id=b.column("doc_id"), n_shingles=n, digest=digest, sketch=values)
 
 
@@ -172,7 +192,7 @@ def _walk(df: DataFrame, similarity: float, levels: int, trees: int = 0, roots:
             if not b.num_rows:
                 continue
             doc = b.column("doc").to_numpy(zero_copy_only=False)
-            values = np.frombuffer(b"".join(b.column("sketch").to_pylist()), np.uint32).reshape(-1, SKETCH)
+            values = unplaned(b.column("sketch"))
             if trees:
                 node, row = np.repeat(mix(np.arange(1, trees + 1, dtype=np.uint64)), len(doc)), np.tile(np.arange(len(doc)), trees)
             else:
@@ -193,12 +213,12 @@ def _estimated(pairs: DataFrame, reps: DataFrame, similarity: float) -> DataFram
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for x in batches:
             if x.num_rows:
-                u, v = (np.frombuffer(b"".join(x.column(c).to_pylist()), np.uint32).reshape(-1, SKETCH) for c in ("sa", "sb"))
+                u, v = (lows(x.column(c)) for c in ("sa", "sb"))
                 like = (u == v).mean(axis=1)
                 keep = like >= similarity - MARGIN
                 yield records(_PAIRS, a=x.column("a").filter(pa.array(keep)), b=x.column("b").filter(pa.array(keep)), like=like[keep])
 
-    one = lambda s: reps.select(F.col("doc").alias(s), F.col("sketch").alias(f"s{s}"), F.col("n_shingles").alias(f"n{s}"))
+    one = lambda s: reps.select(F.col("doc").alias(s), F.expr(LOW).alias(f"s{s}"), F.col("n_shingles").alias(f"n{s}"))
     pairs = cut(pairs.select("a", "b"))
     both = spread_join(spread_join(pairs, one("b"), "b", "a"), one("a"), "a", "b", counted=pairs)
     return arrow_map(both.where(F.least("na", "nb") >= F.greatest("na", "nb") * (similarity - 1e-9)).select("a", "b", "sa", "sb"), run, "a long, b long, like double")
@@ -251,12 +271,12 @@ def _alike(nodes: DataFrame, sketches: DataFrame) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for x in batches:
             if x.num_rows:
-                u, v = (np.frombuffer(b"".join(x.column(c).to_pylist()), np.uint32).reshape(-1, SKETCH) for c in ("sketch", "other"))
+                u, v = (lows(x.column(c)) for c in ("low", "other"))
                 yield pa.RecordBatch.from_arrays([x.column("node"), pa.array((u == v).mean(axis=1))], names=["node", "like"])
 
     nodes = cut(nodes)
-    both = spread_join(nodes, sketches.select(F.col("doc").alias("peer"), F.col("sketch").alias("other")), "peer", "doc").join(sketches.select("doc", "sketch"), "doc")
-    return arrow_map(both.select("node", "sketch", "other"), run, "node long, like double").groupBy("node").agg(F.avg("like").alias("alike"))
+    both = spread_join(nodes, sketches.select(F.col("doc").alias("peer"), F.expr(LOW).alias("other")), "peer", "doc").join(sketches.select("doc", F.expr(LOW).alias("low")), "doc")
+    return arrow_map(both.select("node", "low", "other"), run, "node long, like double").groupBy("node").agg(F.avg("like").alias("alike"))
 
 
 def _exhaust(cluster: DataFrame, sketches: DataFrame, docs: DataFrame, percent: int, block: int = 512) -> DataFrame:
@@ -269,7 +289,7 @@ def _exhaust(cluster: DataFrame, sketches: DataFrame, docs: DataFrame, percent:
             if not u or not v:
                 return records(_EDGES, a=[], b=[])
             full = [[np.frombuffer(r[6], np.uint64) for r in x] for x in (u, v)]
-            low = [np.frombuffer(b"".join(r[5] for r in x), np.uint32).reshape(-1, SKETCH).astype(np.uint8) for x in (u, v)]
+            low = [np.frombuffer(b"".join(r[5] for r in x), np.uint8).reshape(-1, SKETCH) for x in (u, v)]
             same = np.zeros((len(u), len(v)), np.int16)
             for c in range(SKETCH):
                 same += low[0][:, c, None] == low[1][None, :, c]
@@ -299,7 +319,7 @@ def _exhaust(cluster: DataFrame, sketches: DataFrame, docs: DataFrame, percent:
 
         held: list[tuple] = []
         for b in batches:
-            for r in zip(*(b.column(c).to_pylist() for c in ("cluster", "i", "j", "side", "component", "sketch", "shingles", "doc")), strict=True):
+            for r in zip(*(b.column(c).to_pylist() for c in ("cluster", "i", "j", "side", "component", "low", "shingles", "doc")), strict=True):
                 if held and r[:3] != held[0][:3]:
                     yield compare(held)
                     held = []
@@ -317,8 +337,8 @@ def _exhaust(cluster: DataFrame, sketches: DataFrame, docs: DataFrame, percent:
     as_any = F.transform(F.sequence(F.lit(0), F.col("ni") - 1), lambda x: row(x, lot("nj"), 1))
     dealt = own.where("ni > 0").select("cluster", "doc", "component", F.inline(F.concat(as_odd, as_any)))
     parts = max(1, int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")))
-    rows = dealt.join(sketches.select("doc", "sketch"), "doc").join(sets, "doc").repartition(parts, "cluster", "i", "j").sortWithinPartitions("cluster", "i", "j", "side", "doc")
-    return arrow_map(rows.select("cluster", "i", "j", "side", "component", "sketch", "shingles", "doc"), run, "a long, b long")
+    rows = dealt.join(sketches.select("doc", F.expr(LOW).alias("low")), "doc").join(sets, "doc").repartition(parts, "cluster", "i", "j").sortWithinPartitions("cluster", "i", "j", "side", "doc")
+    return arrow_map(rows.select("cluster", "i", "j", "side", "component", "low", "shingles", "doc"), run, "a long, b long")
 
 
 def join_components(docs: DataFrame, percent: int = 85, trees: int | None = None, small: int = 4096, dense: float = 0.6) -> DataFrame:
