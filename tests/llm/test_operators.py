@@ -6,10 +6,11 @@ import random
 import zlib
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
-from momentbuf.llm import embeddings, html, near_dup, packing, pieces, secrets, sstable, suffix_dedup, tokens, topk, toxicity
+from momentbuf.llm import common, embeddings, html, near_dup, packing, pieces, secrets, sstable, suffix_dedup, tokens, topk, toxicity
 from momentbuf.llm.common import arrow_map, components, cut, shared_dir
 from tests.llm import brute
 from tests.llm.conftest import corpus, frame
@@ -522,6 +523,23 @@ def test_trees_follow_from_the_recall():
         assert near_dup.parted(s, 2) ** trees < 1e-4
 
 
+def test_sketches_are_packed_by_planes():
+    values = np.random.default_rng(4).integers(0, 1 << 32, (7, near_dup.SKETCH), dtype=np.uint64).astype(np.uint32)
+    packed = [near_dup.planes(v) for v in values]
+    assert (near_dup.unplaned(pa.array(packed)) == values).all()
+    assert (near_dup.lows(pa.array([p[: near_dup.SKETCH] for p in packed])) == values.astype(np.uint8)).all()
+
+
+def test_salts_follow_the_rows_of_a_key(spark, monkeypatch):
+    monkeypatch.setattr(common, "HOT", 5)
+    rows = spark.createDataFrame([(k, i) for k, n in ((1, 40), (2, 6), (3, 5)) for i in range(n)], "k long, i long").cache()
+    hot = common.hot_keys(rows.groupBy("k").count(), "k", "count")
+    assert hot == {8: [1], 2: [2]}
+    names = spark.createDataFrame([(1, "a"), (2, "b"), (3, "c")], "k long, name string")
+    got = common.salted_join(rows, names, "k", "i", hot)
+    assert sorted(map(tuple, got.select("k", "i", "name").collect())) == sorted((r.k, r.i, "abc"[r.k - 1]) for r in rows.collect())
+
+
 def test_cloud_with_one_odd_document_costs_its_own_size(spark, monkeypatch):
     r = random.Random(2)
     words = [f"w{i}" for i in range(4000)]
@@ -548,7 +566,6 @@ def test_cloud_with_one_odd_document_costs_its_own_size(spark, monkeypatch):
 
 
 def test_random_runs_and_hot_values(spark, monkeypatch):
-    from momentbuf.llm import common
 
     monkeypatch.setattr(common, "HOT", 5)
     rare, copied = "q7Zr2LmX9cTbV4nKs8HdWy3P", "mN5vB8xC2zL7kJ4hG9fD3sA6"
