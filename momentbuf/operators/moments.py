@@ -113,13 +113,14 @@ def segment(arr: IndexedArray, buf: LagrangeBuffer, squares: LagrangeBuffer, arr
 
     Cuts are tried at `tries` even places, then again between the neighbours of the best
     one, until the places tried stand next to each other. Each round is one batch of ranges.
+    Fewer than eight tries are taken as eight: two or three would try the same places for ever.
     """
-    spark = arr.df.sparkSession
+    spark, steps = arr.df.sparkSession, max(8, tries) - 1
 
     def energies(spans: list[tuple[int, int]]) -> list[float]:
         r = spark.createDataFrame([(i, p, q) for i, (p, q) in enumerate(spans)], "qid long, p long, q long")
         m = moments_of_ranges(arr, buf, r, degree).join(F.broadcast(r), "qid")
-        got = residual(fit_poly(m, degree), query_lagrange(arr2, squares, r)).collect()  # one row for each asked span
+        got = residual(fit_poly(m, degree), query_lagrange(arr2, squares, r, wide=True)).collect()  # one row for each asked span
         by = {x["qid"]: x["residual"] for x in got}
         return [by[i] if by[i] is not None else 0.0 for i in range(len(spans))]
 
@@ -131,7 +132,7 @@ def segment(arr: IndexedArray, buf: LagrangeBuffer, squares: LagrangeBuffer, arr
         if lo > hi:
             break
         while True:
-            cuts = sorted({lo + (hi - lo) * i // max(1, tries - 1) for i in range(tries)} - known.keys())
+            cuts = sorted({lo + (hi - lo) * i // steps for i in range(steps + 1)} - known.keys())
             if cuts:
                 e = energies([s for c in cuts for s in ((p, c - 1), (c, q))])
                 known |= {c: (e[2 * i], e[2 * i + 1]) for i, c in enumerate(cuts)}

@@ -5,10 +5,12 @@ from fractions import Fraction
 import pytest
 from pyspark.sql import functions as F
 
+from momentbuf import workloads as W
 from momentbuf.functions import algebra as A
 from momentbuf.functions.weights import Stencil, lagrange_eval, num_levels
 from momentbuf.operators import binbuf as B
 from momentbuf.operators import lagrange_buffer as L
+from momentbuf.operators import moments as M
 from momentbuf.operators import overlap as O
 from momentbuf.operators import progressive as G
 from momentbuf.operators import pyramid as P
@@ -219,3 +221,22 @@ def test_virtual_source_pushes_bounds(spark):
     register(spark)
     df = spark.read.format("virtual_array").option("n", 1000).option("partitions", 4).load().where("idx >= 100 and idx < 300")
     assert df.count() == 200 and df.agg(F.min("idx")).first()[0] == 100
+
+
+def test_exact_answers_beyond_longs(spark):
+    n, top = 40, 3 * 10**18
+    arr = make_array(spark.range(n).selectExpr("id", f"CAST({top} + id AS DECIMAL(38,0)) AS v"), F.col("id"), F.col("v"), n, unique=True)
+    r = spark.createDataFrame([(0, 0, n - 1), (1, 7, 8)], "qid long, p long, q long")
+    buf = L.build_lagrange(arr, 4, 4, 2, "exact")
+    want = {0: sum(top + i for i in range(n)), 1: 2 * top + 15}
+    assert {x["qid"]: int(x["result"]) for x in L.query_lagrange(arr, buf, r, wide=True).collect()} == want
+    with pytest.raises(Exception, match="CAST_OVERFLOW|out of range|OVERFLOW"):
+        L.query_lagrange(arr, buf, r).collect()
+
+
+def test_segments_of_values_whose_squares_outgrow_longs(spark):
+    level = [10**10 * (1 if i < 20 else 5) for i in range(48)]
+    arr = from_rows(spark, list(enumerate(level)), 48)
+    sq = W._squares(arr)
+    got = M.segment(arr, L.build_lagrange(arr, 8, 4, 1), L.build_lagrange(sq, 8, 4, 1), sq, 2, tries=2)
+    assert [x[:2] for x in got] == [(0, 19), (20, 47)] and all(x[2] < 1e-9 * sum(v * v for v in level) for x in got)
