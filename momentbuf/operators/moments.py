@@ -7,7 +7,7 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from momentbuf.functions.scalars import BIG, power, power_sum
+from momentbuf.functions.scalars import BIG, power
 from momentbuf.operators.lagrange_buffer import LagrangeBuffer, moment_poly, query_lagrange, query_many
 from momentbuf.operators.ranges import beside, ends, match
 from momentbuf.sources.arrays import IndexedArray
@@ -22,6 +22,11 @@ def _ratio(a: Column, b: Column) -> Column:
     return F.try_divide(a.cast("double"), b.cast("double"))
 
 
+def _wide(m: DataFrame, c: str) -> Column:
+    """A moment as it is in double precision, else in DECIMAL: times a length it may outgrow a long."""
+    return F.col(c) if m.schema[c].dataType.simpleString() == "double" else F.col(c).cast(BIG)
+
+
 def price_stats(arr: IndexedArray, buf: LagrangeBuffer, ranges: DataFrame) -> DataFrame:
     """qid, items, value (sum of position times count), mean and std of positions in each range of a histogram."""
     m = moments_of_ranges(arr, buf, ranges, 2).join(F.broadcast(ranges.select("qid", "p")), "qid")
@@ -43,12 +48,10 @@ def grid_ranges(spark: SparkSession, lo: int, hi: int, cells: int) -> DataFrame:
 
 
 def fit_line(m: DataFrame) -> DataFrame:
-    """qid, intercept, slope of the least-squares line over a dense range: moments about p and closed-form power sums."""
-    n = (F.col("q") - F.col("p") + 1)
-    s1, s2 = power_sum(1, F.lit(0).cast("long"), n - 1), power_sum(2, F.lit(0).cast("long"), n - 1)
-    det = (n * s2 - s1 * s1).cast("double")
-    slope = F.try_divide((n * F.col("m1") - s1 * F.col("m0")).cast("double"), det)
-    return m.withColumn("slope", slope).withColumn("intercept", _ratio(F.col("m0"), n) - F.col("slope") * _ratio(s1, n)).select("qid", "intercept", "slope")
+    """qid, intercept, slope of the least-squares line over a dense range: moments about p, and power sums in closed form with their common factors taken out."""
+    n, m0, m1 = (F.col("q") - F.col("p") + 1).cast(BIG), _wide(m, "m0"), _wide(m, "m1")
+    slope = _ratio(12 * m1 - 6 * (n - 1) * m0, n * (n * n - 1))
+    return m.select("qid", _ratio((4 * n - 2) * m0 - 6 * m1, n * (n + 1)).alias("intercept"), slope.alias("slope"))
 
 
 def _solved(a: list[list[Column]], y: list[Column]) -> list[Column]:

@@ -240,3 +240,13 @@ def test_segments_of_values_whose_squares_outgrow_longs(spark):
     sq = W._squares(arr)
     got = M.segment(arr, L.build_lagrange(arr, 8, 4, 1), L.build_lagrange(sq, 8, 4, 1), sq, 2, tries=2)
     assert [x[:2] for x in got] == [(0, 19), (20, 47)] and all(x[2] < 1e-9 * sum(v * v for v in level) for x in got)
+
+
+def test_line_through_moments_near_the_end_of_longs(spark):
+    m = spark.createDataFrame([(0, 0, 2499, 10**16, 5 * 10**18), (1, 3, 6, 10, 20), (2, 5, 5, 7, 0)], "qid long, p long, q long, m0 long, m1 long")
+    got = {x["qid"]: (x["intercept"], x["slope"]) for x in M.fit_line(m).collect()}
+    for qid, n, m0, m1 in ((0, 2500, 10**16, 5 * 10**18), (1, 4, 10, 20)):
+        s1, s2 = sum(range(n)), sum(i * i for i in range(n))
+        det = n * s2 - s1 * s1
+        assert got[qid] == pytest.approx((float(Fraction(s2 * m0 - s1 * m1, det)), float(Fraction(n * m1 - s1 * m0, det))), rel=1e-14)
+    assert got[2][1] is None
