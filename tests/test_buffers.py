@@ -250,3 +250,13 @@ def test_line_through_moments_near_the_end_of_longs(spark):
         det = n * s2 - s1 * s1
         assert got[qid] == pytest.approx((float(Fraction(s2 * m0 - s1 * m1, det)), float(Fraction(n * m1 - s1 * m0, det))), rel=1e-14)
     assert got[2][1] is None
+
+
+def test_tabulated_ends_beyond_doubles(spark):
+    n, top = 20, 2**54
+    a = [top + 1 + i % 3 for i in range(n)]
+    arr = from_rows(spark, list(enumerate(a)), n)
+    r = every_range(spark, n).selectExpr("*", "0 AS c0", "4 AS c1")
+    arr = arr.with_df(arr.df.withColumn("val", F.col("val").cast("decimal(38,0)")))
+    got = L.query_tabulated(arr, L.build_lagrange(arr, 4, 4, 1, "exact"), r, L.endpoint_table(spark, 4, Stencil.of(4), "exact"), ["c0", "c1"])
+    check_all(got, n, lambda p, q: sum((i - p) * a[i] for i in range(p, q + 1)))
