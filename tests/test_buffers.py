@@ -260,3 +260,15 @@ def test_tabulated_ends_beyond_doubles(spark):
     arr = arr.with_df(arr.df.withColumn("val", F.col("val").cast("decimal(38,0)")))
     got = L.query_tabulated(arr, L.build_lagrange(arr, 4, 4, 1, "exact"), r, L.endpoint_table(spark, 4, Stencil.of(4), "exact"), ["c0", "c1"])
     check_all(got, n, lambda p, q: sum((i - p) * a[i] for i in range(p, q + 1)))
+
+
+@pytest.mark.parametrize("scan", ["full", "candidates"])
+def test_hats_beyond_doubles(spark, scan):
+    from momentbuf.functions.weights import hat_weight
+
+    n, top = 20, 2**54
+    a = [top + 1 + i % 3 for i in range(n)]
+    arr = from_rows(spark, list(enumerate(a)), n)
+    buf = O.build_overlap(arr, 4, 1, 1, hat_weight, scale=4)
+    got = O.query_overlap(arr, buf, 4, 1, 1, hat_weight, lambda x: x - F.col("p"), every_range(spark, n), scan, scale=4)
+    check_all(got, n, lambda p, q: sum((i - p) * a[i] for i in range(p, q + 1)))
