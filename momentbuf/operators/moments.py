@@ -164,21 +164,23 @@ def rect_moments(cells: DataFrame, rects: DataFrame, b: int) -> DataFrame:
 
     cells of the buffer: weighted sums over b x b bins and their neighbours; the residual is
     read along the rectangles' borders (the frame), where the product of interpolants errs.
+    Whole numbers throughout: weights times b * b, divided once at the end.
     """
-    f0 = lambda x: F.when((x >= F.col("p0")) & (x <= F.col("q0")), 1.0).otherwise(0.0)
-    f1 = lambda x: F.when((x >= F.col("p1")) & (x <= F.col("q1")), 1.0).otherwise(0.0)
-    g0 = lambda x: f0(x) * x.cast("double")
+    big = lambda x: x.cast(BIG)
+    f0 = lambda x: F.when((x >= F.col("p0")) & (x <= F.col("q0")), 1).otherwise(0)
+    f1 = lambda x: F.when((x >= F.col("p1")) & (x <= F.col("q1")), 1).otherwise(0)
+    g0 = lambda x: f0(x) * x
     c = cells.withColumn("b0", F.expr(f"i0 div {b}")).withColumn("b1", F.expr(f"i1 div {b}"))
-    t0, t1 = (F.expr(f"i{a} % {b}") / F.lit(float(b)) for a in (0, 1))
-    w = {(u, v): (t0 if u else 1 - t0) * (t1 if v else 1 - t1) for u in (0, 1) for v in (0, 1)}
-    sums = c.groupBy("b0", "b1").agg(*[F.sum(x * F.col("val")).alias(f"s{u}{v}") for (u, v), x in w.items()])
-    buf = sums.select(F.inline(F.array(*[F.struct((F.col("b0") + u).alias("k0"), (F.col("b1") + v).alias("k1"), F.col(f"s{u}{v}").alias("v")) for u, v in w]))).groupBy("k0", "k1").agg(F.sum("v").alias("v"))
+    t0, t1 = (F.expr(f"i{a} % {b}") for a in (0, 1))
+    w = {(u, v): (t0 if u else b - t0) * (t1 if v else b - t1) for u in (0, 1) for v in (0, 1)}
+    sums = c.groupBy("b0", "b1").agg(*[big(F.sum(big(big(x) * big(F.col("val"))))).alias(f"s{u}{v}") for (u, v), x in w.items()])
+    buf = sums.select(F.inline(F.array(*[F.struct((F.col("b0") + u).alias("k0"), (F.col("b1") + v).alias("k1"), F.col(f"s{u}{v}").alias("v")) for u, v in w]))).groupBy("k0", "k1").agg(big(F.sum("v")).alias("v"))
     # Buffer cells inside a rectangle: pieces of the first axis by equality, the second axis by its bounds.
     n0 = rects.select(*[F.expr(f"(p{a} + {b - 1}) div {b}").alias(f"first{a}") for a in (0, 1)], *[F.expr(f"q{a} div {b}").alias(f"last{a}") for a in (0, 1)], "*").where("first0 <= last0")
     known = ends(rects.select(F.col("p0").alias("p"), F.col("q0").alias("q")))
     lengths = None if known is None else known[:, 1] // b + (-known[:, 0] // b) + 1
     inner = match(buf, "k0", n0, "first0", "last0", 1 << 40, known, lengths).where(F.col("k1").between(F.col("first1"), F.col("last1")))
-    inner = inner.select("qid", F.col("v").alias("x"), (F.col("v") * F.col("k0") * b).alias("y"))
+    inner = inner.select("qid", F.col("v").alias("x"), big(F.col("v") * big(F.col("k0") * b)).alias("y"))
     # The frame: bins of three strips across each axis, each strip by equality; those across the second axis leave out what the others hold.
     strips = lambda a: F.array_distinct(F.array(F.expr(f"p{a} div {b}"), F.expr(f"p{a} div {b}") - 1, F.expr(f"q{a} div {b}")))
     within = lambda x, a: F.col(x).between(F.expr(f"p{a} div {b}") - 1, F.expr(f"q{a} div {b}"))
@@ -187,11 +189,12 @@ def rect_moments(cells: DataFrame, rects: DataFrame, b: int) -> DataFrame:
     frame = across0.unionByName(across1)
 
     def rest(h0, h1):
-        out = h0(F.col("i0")) * h1(F.col("i1"))
+        out = h0(F.col("i0")) * h1(F.col("i1")) * b * b
         for (u, v), x in w.items():
             out = out - h0((F.col("b0") + u) * b) * h1((F.col("b1") + v) * b) * x
         return out
 
-    outer = frame.select("qid", (rest(f0, f1) * F.col("val")).alias("x"), (rest(g0, f1) * F.col("val")).alias("y"))
+    outer = frame.select("qid", *[big(big(rest(h, f1)) * big(F.col("val"))).alias(c) for c, h in (("x", f0), ("y", g0))])
     got = inner.unionByName(outer).groupBy("qid").agg(F.sum("x").alias("x"), F.sum("y").alias("y"))
-    return rects.select("qid").join(got, "qid", "left").select("qid", F.round(F.coalesce("x", F.lit(0.0))).cast("long").alias("total"), F.round(F.coalesce("y", F.lit(0.0))).cast("long").alias("m1"))
+    answer = lambda c: F.coalesce((big(F.col(c)) / big(F.lit(b * b))).cast("long"), F.lit(0).cast("long"))
+    return rects.select("qid").join(got, "qid", "left").select("qid", answer("x").alias("total"), answer("y").alias("m1"))

@@ -272,3 +272,13 @@ def test_hats_beyond_doubles(spark, scan):
     buf = O.build_overlap(arr, 4, 1, 1, hat_weight, scale=4)
     got = O.query_overlap(arr, buf, 4, 1, 1, hat_weight, lambda x: x - F.col("p"), every_range(spark, n), scan, scale=4)
     check_all(got, n, lambda p, q: sum((i - p) * a[i] for i in range(p, q + 1)))
+
+
+def test_rectangles_beyond_doubles(spark):
+    a = {(i, j): 2**53 + 1 + (3 * i + j) % 5 for i in range(13) for j in range(9)}
+    cells = spark.createDataFrame([(*k, v) for k, v in a.items()], "i0 long, i1 long, val long")
+    rects = [(0, 0, 12, 0, 8), (1, 2, 11, 1, 6), (2, 4, 4, 4, 4), (3, 0, 3, 5, 8)]
+    got = {x["qid"]: (x["total"], x["m1"]) for x in M.rect_moments(cells, spark.createDataFrame(rects, "qid long, p0 long, q0 long, p1 long, q1 long"), 4).collect()}
+    for qid, p0, q0, p1, q1 in rects:
+        held = [(i, v) for (i, j), v in a.items() if p0 <= i <= q0 and p1 <= j <= q1]
+        assert got[qid] == (sum(v for _, v in held), sum(i * v for i, v in held))
