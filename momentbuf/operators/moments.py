@@ -13,9 +13,9 @@ from momentbuf.operators.ranges import beside, ends, match
 from momentbuf.sources.arrays import IndexedArray
 
 
-def moments_of_ranges(arr: IndexedArray, buf: LagrangeBuffer, ranges: DataFrame, order: int, c: str = "p") -> DataFrame:
-    """(keys,) qid and m0 .. m{order} about column c, all from one pass over the one buffer."""
-    return query_many(arr, buf, ranges, {f"m{k}": moment_poly(k, c) for k in range(order + 1)})
+def moments_of_ranges(arr: IndexedArray, buf: LagrangeBuffer, ranges: DataFrame, order: int, c: str = "p", wide: bool = False) -> DataFrame:
+    """(keys,) qid and m0 .. m{order} about column c, all from one pass over the one buffer. wide: whole numbers beyond longs, in DECIMAL."""
+    return query_many(arr, buf, ranges, {f"m{k}": moment_poly(k, c) for k in range(order + 1)}, wide=wide)
 
 
 def _ratio(a: Column, b: Column) -> Column:
@@ -54,36 +54,31 @@ def fit_line(m: DataFrame) -> DataFrame:
     return m.select("qid", _ratio((4 * n - 2) * m0 - 6 * m1, n * (n + 1)).alias("intercept"), slope.alias("slope"))
 
 
-def _solved(a: list[list[Column]], y: list[Column]) -> list[Column]:
-    """Solution of a small linear system by determinants; null where it has none."""
-
-    def det(m: list[list[Column]]) -> Column:
-        if len(m) == 1:
-            return m[0][0]
-        parts = [m[0][j] * det([[r[i] for i in range(len(m)) if i != j] for r in m[1:]]) for j in range(len(m))]
-        return reduce(lambda x, t: x + t if t is not None else x, [p if j % 2 == 0 else -p for j, p in enumerate(parts)])
-
-    whole = det(a)
-    return [F.try_divide(det([[y[i] if k == j else x for k, x in enumerate(row)] for i, row in enumerate(a)]), whole) for j in range(len(y))]
-
-
 def fit_poly(m: DataFrame, degree: int) -> DataFrame:
     """qid, coef, explained: least-squares polynomial in u = (i - p) / (q - p + 1) from m0 .. m{degree}.
 
-    The matrix holds power sums alone, in closed form. Degrees 0 to 2 are solved in
-    columns; higher ones in Arrow batches, all ranges of a batch at once. explained: coef
-    times right-hand side, which the sum of squares exceeds by the residual. Ranges with
+    Degrees 0 to 2 are projections on orthogonal polynomials with whole-number coefficients,
+    exact up to the last division where the moments are whole; higher ones are solved from
+    power sums in Arrow batches, all ranges of a batch at once. explained: coef times
+    right-hand side, which the sum of squares exceeds by the residual. Ranges with
     fewer cells than coefficients have null coefficients.
     """
     n = (F.col("q") - F.col("p") + 1).cast("double")
-    sums = [n, (n - 1) / 2, (n - 1) * (2 * n - 1) / (6 * n), (n - 1) * (n - 1) / (4 * n), (n - 1) * (2 * n - 1) * (3 * n * n - 3 * n - 1) / (30 * n * n * n)]
-    y = [F.col(f"m{k}").cast("double") / (F.pow(n, F.lit(float(k))) if k else F.lit(1.0)) for k in range(degree + 1)]
     if degree <= 2:
-        rows = m.select("qid", n.alias("n"), *[x.alias(f"y{k}") for k, x in enumerate(y)], *[x.alias(f"u{k}") for k, x in enumerate(sums[: 2 * degree + 1])])
-        coef = _solved([[F.col(f"u{i + j}") for j in range(degree + 1)] for i in range(degree + 1)], [F.col(f"y{k}") for k in range(degree + 1)])
-        coef = [F.when(F.col("n") > degree, x) for x in coef]
-        fit = rows.select("qid", *[c.alias(f"c{k}") for k, c in enumerate(coef)], *[f"y{k}" for k in range(degree + 1)])
-        return fit.select("qid", F.array(*[f"c{k}" for k in range(degree + 1)]).alias("coef"), reduce(lambda a, b: a + b, [F.col(f"c{k}") * F.col(f"y{k}") for k in range(degree + 1)]).alias("explained"))
+        w = (F.col("q") - F.col("p") + 1).cast(BIG)
+        ms = [_wide(m, f"m{k}") for k in range(degree + 1)]
+        sides = [ms[0]]  # sums of 1, 2x - (n-1) and 6x^2 - 6(n-1)x + (n-1)(n-2), x = i - p, times the cells
+        if degree > 0:
+            sides.append(2 * ms[1] - (w - 1) * ms[0])
+        if degree > 1:
+            sides.append(6 * ms[2] - 6 * (w - 1) * ms[1] + (w - 1) * (w - 2) * ms[0])
+        norms = [n, n * (n * n - 1) / 3, n * (n * n - 1) * (n * n - 4) / 5]
+        rows = m.select("qid", n.alias("n"), *[s.cast("double").alias(f"s{k}") for k, s in enumerate(sides)], *[F.when(n > degree, F.try_divide(s.cast("double"), norms[k])).alias(f"a{k}") for k, s in enumerate(sides)])
+        n, (a0, a1, a2) = F.col("n"), [F.col(f"a{k}") if k <= degree else F.lit(0.0) for k in range(3)]
+        coef = [a0 - (n - 1) * a1 + (n - 1) * (n - 2) * a2, n * (2 * a1 - 6 * (n - 1) * a2), n * n * 6 * a2][: degree + 1]
+        return rows.select("qid", F.array(*coef).alias("coef"), reduce(lambda x, y: x + y, [F.col(f"a{k}") * F.col(f"s{k}") for k in range(degree + 1)]).alias("explained"))
+
+    y = [F.col(f"m{k}").cast("double") / (F.pow(n, F.lit(float(k))) if k else F.lit(1.0)) for k in range(degree + 1)]
 
     def solve(batches):
         import numpy as np
@@ -122,7 +117,7 @@ def segment(arr: IndexedArray, buf: LagrangeBuffer, squares: LagrangeBuffer, arr
 
     def energies(spans: list[tuple[int, int]]) -> list[float]:
         r = spark.createDataFrame([(i, p, q) for i, (p, q) in enumerate(spans)], "qid long, p long, q long")
-        m = moments_of_ranges(arr, buf, r, degree).join(F.broadcast(r), "qid")
+        m = moments_of_ranges(arr, buf, r, degree, wide=True).join(F.broadcast(r), "qid")
         got = residual(fit_poly(m, degree), query_lagrange(arr2, squares, r, wide=True)).collect()  # one row for each asked span
         by = {x["qid"]: x["residual"] for x in got}
         return [by[i] if by[i] is not None else 0.0 for i in range(len(spans))]

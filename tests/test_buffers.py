@@ -1,5 +1,6 @@
 """Brute force over every range of small arrays, invariants of weights, updates, worked examples, plans."""
 
+from decimal import Decimal
 from fractions import Fraction
 
 import pytest
@@ -282,3 +283,23 @@ def test_rectangles_beyond_doubles(spark):
     for qid, p0, q0, p1, q1 in rects:
         held = [(i, v) for (i, j), v in a.items() if p0 <= i <= q0 and p1 <= j <= q1]
         assert got[qid] == (sum(v for _, v in held), sum(i * v for i, v in held))
+
+
+def test_quadratic_far_above_its_noise(spark):
+    """Exact moments of a parabola on a base of 10^12 over 43,200 cells give its coefficients and its whole energy."""
+    n, c = 43_200, (10**12, 3, -2)
+    y = [c[0] + c[1] * i + c[2] * i * i for i in range(n)]
+    ms = [sum(v * i**k for i, v in enumerate(y)) for k in range(3)]
+    m = spark.createDataFrame([(0, 0, n - 1, *map(Decimal, ms))], "qid long, p long, q long, m0 decimal(38,0), m1 decimal(38,0), m2 decimal(38,0)")
+    got = M.fit_poly(m, 2).first()
+    want = [c[0], c[1] * n, c[2] * n * n]
+    assert all(abs(g - w) < 0.004 for g, w in zip(got["coef"], want)), got["coef"]
+    assert got["explained"] == pytest.approx(float(sum(v * v for v in y)), rel=1e-15)
+
+
+def test_fit_whose_second_moment_outgrows_longs(spark):
+    arr = make_array(spark.range(4000).selectExpr("id", "CAST(1000000000 + 7 * id AS BIGINT) AS v"), F.col("id"), F.col("v"), 4000, unique=True)
+    r = spark.createDataFrame([(0, 0, 3999)], "qid long, p long, q long")
+    m = M.moments_of_ranges(arr, L.build_lagrange(arr, 32, 4, 2), r, 2, wide=True).join(r, "qid")
+    assert m.first()["m2"] > 2**63
+    assert M.fit_poly(m, 2).first()["coef"] == pytest.approx([1e9, 28_000.0, 0.0], abs=1e-3)
