@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from momentbuf.functions.scalars import power
 from momentbuf.operators.lagrange_buffer import build_lagrange
 from momentbuf.sources.arrays import IndexedArray
-from momentbuf.sources.store import append_delta
+from momentbuf.sources.store import append_delta, shared_path
 
 
 def event_stream(spark: SparkSession, path: str, schema, ts: str = "ts") -> DataFrame:
@@ -44,10 +44,20 @@ def deduplicated(stream: DataFrame, key: str, late: str = "2 days") -> DataFrame
 
 
 def drain(df: DataFrame, name: str, mode: str = "complete") -> DataFrame:
-    """Run a stream over what is there now and return the memory table it leaves."""
-    q = df.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
-    q.awaitTermination()
-    return df.sparkSession.table(name)
+    """Run a stream over what is there now and return what it leaves: files that tasks write below the shared folder, so the driver holds no rows.
+
+    Each batch of complete mode is the whole answer, and the last one holds; other modes' batches add up.
+    """
+    spark, path, written = df.sparkSession, shared_path(df.sparkSession, name), {}
+
+    def batch(out: DataFrame, batch_id: int) -> None:
+        at = f"{path}/batch-{batch_id}"
+        out.write.mode("overwrite").parquet(at)
+        written[batch_id] = at
+
+    df.writeStream.outputMode(mode).foreachBatch(batch).trigger(availableNow=True).start().awaitTermination()
+    paths = [written[max(written)]] if written and mode == "complete" else list(written.values())
+    return spark.read.schema(df.schema).parquet(*paths) if paths else spark.createDataFrame([], df.schema)
 
 
 def maintain(stream: DataFrame, path: str, n: int, b: int, order: int = 4, levels: int = 1, checkpoint: str | None = None, mode: str = "exact"):

@@ -36,3 +36,8 @@ def test_text_measures_of_every_document(spark, sf, tmp_path):
         got = [tuple(x) for x in W.QUERIES["text_measures"](spark, d).select("doc_id", "chars", "words").collect()]
         want = [(i, None, None) if t is None else (i, len(t), len(re.findall(r"[^ \t\n\x0b\x0c\r]+", t))) for i, t in rows_in]
         assert sorted(got) == sorted(want)
+
+
+@pytest.mark.parametrize("name", ["stream_session", "stream_tumbling", "stream_stateful_buffer"])
+def test_streams_leave_files_not_driver_memory(spark, sf, name):
+    assert W.QUERIES[name](spark, sf).inputFiles()
