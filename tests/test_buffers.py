@@ -303,3 +303,9 @@ def test_fit_whose_second_moment_outgrows_longs(spark):
     m = M.moments_of_ranges(arr, L.build_lagrange(arr, 32, 4, 2), r, 2, wide=True).join(r, "qid")
     assert m.first()["m2"] > 2**63
     assert M.fit_poly(m, 2).first()["coef"] == pytest.approx([1e9, 28_000.0, 0.0], abs=1e-3)
+
+
+def test_edges_of_many_updates_are_those_of_each(spark):
+    js, st = [0, 7, 16, 41, 63], Stencil.of(4)
+    got = [tuple(x) for x in L.update_edges(spark.createDataFrame([(j,) for j in js], "j long"), 2, st, 3, 64).collect()]
+    assert len(got) == len(set(got)) and set(got) == {tuple(x) for j in js for x in L.update_dag(spark, j, 2, st, 3, 64).collect()}
