@@ -1,5 +1,6 @@
 import re
 
+import duckdb
 import pytest
 
 from momentbuf import workloads as W
@@ -41,3 +42,27 @@ def test_text_measures_of_every_document(spark, sf, tmp_path):
 @pytest.mark.parametrize("name", ["stream_session", "stream_tumbling", "stream_stateful_buffer"])
 def test_streams_leave_files_not_driver_memory(spark, sf, name):
     assert W.QUERIES[name](spark, sf).inputFiles()
+
+
+def test_second_moments_whose_parts_leave_bigint(spark, tmp_path):
+    """Terms of a whole bin and of a fragment lie beyond 2^63, their sum doesn't; one that does raises, and is had in full from the bins."""
+    from momentbuf.functions import algebra as A
+    from momentbuf.operators import binbuf as B
+    from momentbuf.sources.fixtures import fixture
+
+    at = 2_900_000_000
+    for name, back in (("fits", -0.02), ("beyond", 0.0)):
+        (tmp_path / name).mkdir()
+        spark.createDataFrame([(0, 0.0), (at, back), (at + 1000, 0.03)], "event_id long, value double").write.parquet(str(tmp_path / name / "events.parquet"))
+    d = str(tmp_path / "fits")
+    con = duckdb.connect()
+    con.sql(f"create view events as select * from '{d}/events.parquet/*.parquet'")
+    got = W.QUERIES["bin_query_moment2"](spark, d).toPandas()
+    assert rows(got) == rows(con.sql(W.ORACLES["bin_query_moment2"]).df())
+    assert got.set_index("qid")["result"][W.COUNT] == 3 * (at + 1000) ** 2 - 2 * at**2
+    d = str(tmp_path / "beyond")
+    with pytest.raises(Exception, match="OVERFLOW"):
+        W.QUERIES["bin_query_moment2"](spark, d).collect()
+    arr = fixture(spark, d, "event_value")
+    whole = spark.createDataFrame([(0, 0, arr.n - 1)], "qid long, p long, q long")
+    assert int(B.query_bins(arr, B.build_bins(arr, A.moment_spec(2, exact=True), 32), whole).first()["result"]) == 3 * (at + 1000) ** 2
